@@ -30,6 +30,16 @@ def op3_simhash_anchor_covering(spark: SparkSession, sf_dir: str) -> DataFrame:
     return near_duplicates(documents(spark, sf_dir)).select("doc_id", F.lpad(F.lower(F.hex("fingerprint")), 16, "0").alias("fingerprint"), "component_id")
 
 
+def op8_positional_index_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from corpusdedup.llm.decontaminate import decontaminate, items_digest, n_hit
+
+    found = decontaminate(documents(spark, sf_dir), spark.read.parquet(f"{sf_dir}/benchmark.parquet"))
+    return found.select(
+        "doc_id", "n_words", n_hit("hits").alias("n_hit"), F.size("items").cast("long").alias("n_items"), items_digest("items").alias("items_sha256"), (F.size("items") > 0).alias("contaminated"),
+        F.size("near_items").cast("long").alias("n_near_items"),
+    )
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {k: f for k, f in globals().items() if k.startswith("op") and callable(f)}
 
