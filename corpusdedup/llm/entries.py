@@ -47,6 +47,18 @@ def op9_sampled_splitters(spark: SparkSession, sf_dir: str) -> DataFrame:
     return placed.select("doc_id", "size", "text_crc32", F.lit("bytes").alias("law"), "shard", "slot", F.lit(None).cast("int").alias("grown_shard"))
 
 
+def op4_word_crf_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from corpusdedup.llm.language import identify
+
+    return identify(documents(spark, sf_dir))
+
+
+def op6_subword_embedding_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from corpusdedup.llm.quality_model import classify
+
+    return classify(documents(spark, sf_dir), spark.read.parquet(f"{sf_dir}/labels.parquet"))
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {k: f for k, f in globals().items() if k.startswith("op") and callable(f)}
 
