@@ -1,7 +1,8 @@
 """Quality classifier on supervised subword embeddings.
 
 Words and their character n-grams have hashed vectors; a word's vector is the mean of its features', a document's the mean
-of its words'; a softmax over two labels follows.  All is learned by stochastic gradient descent in numpy.  Since the output
+of its words'; a word that repeats the one before it adds the vector of that event, the one word pair that is told from all
+others.  A softmax over two labels follows.  All is learned by stochastic gradient descent in numpy.  Since the output
 is linear in the document's vector, a feature's share of the margin is one number, which is all that scoring needs.
 """
 
@@ -28,6 +29,7 @@ THRESHOLD = 0.7
 class Scorer:
     grams: np.ndarray  # a feature's share of the margin between the labels
     words: np.ndarray
+    again: float  # share of a word that repeats the one before
     bias: float
 
     def scores(self, texts: list[bytes]) -> np.ndarray:
@@ -38,15 +40,24 @@ class Scorer:
             each = feats.sums(self.grams, self.words) / feats.number
             before = np.concatenate(([0.0], np.cumsum(each[ids])))
             ends = np.cumsum(counts)
-            margin = (before[ends] - before[ends - counts]) / np.maximum(counts, 1)
+            margin = (before[ends] - before[ends - counts]) / np.maximum(counts, 1) + self.again * repeats(ids, counts)
         return 1 / (1 + np.exp(-np.clip(margin + self.bias, -700, 700)))
 
 
+def repeats(ids: np.ndarray, counts: np.ndarray) -> np.ndarray:
+    """Share of each text's words that equal the word before."""
+    same = np.concatenate(([False], ids[1:] == ids[:-1])) if len(ids) else np.zeros(0, bool)
+    ends = np.cumsum(counts)
+    same[(ends - counts)[counts > 0]] = False
+    before = np.concatenate(([0], np.cumsum(same)))
+    return (before[ends] - before[ends - counts]) / np.maximum(counts, 1)
+
+
 def _bags(texts: list[bytes]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Features of each text and their weights: n-grams first, then words shifted by the number of buckets."""
+    """Features of each text and their weights: n-grams, then words, then the repeated word, each shifted by the buckets before."""
     which, weights, sizes = [], [], []
     for t in texts:
-        ids, distinct, _ = tokens([t])
+        ids, distinct, count = tokens([t])
         if not len(ids):
             sizes.append(0)
             continue
@@ -55,7 +66,7 @@ def _bags(texts: list[bytes]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
         share = share / feats.number
         w, b = feats.pairs()
         own, at = np.unique(np.concatenate((b, feats.word + BUCKETS)), return_inverse=True)
-        which.append(own), weights.append(np.bincount(at, np.concatenate((share[w], share)))), sizes.append(len(own))
+        which.append(np.append(own, 2 * BUCKETS)), weights.append(np.append(np.bincount(at, np.concatenate((share[w], share))), repeats(ids, count))), sizes.append(len(own) + 1)
     cat = lambda x: np.concatenate(x) if x else np.zeros(0)
     return cat(which).astype(np.int64), cat(weights), np.array(sizes, dtype=np.int64)
 
@@ -66,10 +77,10 @@ def train(texts: list[bytes], labels: list[int], width: int = WIDTH, epochs: int
     y = np.array(labels, dtype=np.int64)
     if len(set(labels)) < 2:
         only = float(np.mean(y)) if len(y) else 0.5
-        return Scorer(np.zeros(BUCKETS), np.zeros(BUCKETS), float(np.clip(np.log((only + 1e-3) / (1 - only + 1e-3)), -7, 7)))
+        return Scorer(np.zeros(BUCKETS), np.zeros(BUCKETS), 0.0, float(np.clip(np.log((only + 1e-3) / (1 - only + 1e-3)), -7, 7)))
     which, weights, sizes = _bags(texts)
     starts = np.cumsum(sizes) - sizes
-    vectors = ((rng.random((2 * BUCKETS, width)) - 0.5) / width).astype(np.float32)
+    vectors = ((rng.random((2 * BUCKETS + 1, width)) - 0.5) / width).astype(np.float32)
     out, bias = np.zeros((width, 2)), np.zeros(2)
     steps = epochs * -(-len(y) // batch)
     done = 0
@@ -97,7 +108,7 @@ def train(texts: list[bytes], labels: list[int], width: int = WIDTH, epochs: int
             vectors[own] -= (lr * 4 * g).astype(np.float32)
             done += 1
     shares = vectors @ (out[:, 1] - out[:, 0])
-    return Scorer(shares[:BUCKETS].astype(np.float64), shares[BUCKETS:].astype(np.float64), float(bias[1] - bias[0]))
+    return Scorer(shares[:BUCKETS].astype(np.float64), shares[BUCKETS:-1].astype(np.float64), float(shares[-1]), float(bias[1] - bias[0]))
 
 
 def fit(docs: DataFrame, labels: DataFrame, learn: Column, per_label: int = PER_LABEL) -> Scorer:
