@@ -24,6 +24,12 @@ def op7_best_fit_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return pack_documents(documents(spark, sf_dir), tokenizer_path(), keep_ids=False).select("doc_id", "piece", "start", "length", "ids_crc32", "sequence_id", "offset")
 
 
+def op2_line_crf_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from corpusdedup.llm.line_quality import rate
+
+    return rate(documents(spark, sf_dir), spark.read.parquet(f"{sf_dir}/labels.parquet"))
+
+
 def op3_simhash_anchor_covering(spark: SparkSession, sf_dir: str) -> DataFrame:
     from corpusdedup.llm.simhash import near_duplicates
 
