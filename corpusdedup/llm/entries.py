@@ -24,6 +24,14 @@ def op7_best_fit_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return pack_documents(documents(spark, sf_dir), tokenizer_path(), keep_ids=False).select("doc_id", "piece", "start", "length", "ids_crc32", "sequence_id", "offset")
 
 
+def op1_weak_supervision_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from corpusdedup.llm.pii import KINDS, find, joined
+
+    of = lambda kind: F.size(F.filter("base", lambda s: s["kind"] == kind)).cast("long").alias(f"n_{kind}")
+    found = find(documents(spark, sf_dir))
+    return found.select("doc_id", *map(of, KINDS), F.sha2(joined("base"), 256).alias("base_sha256"), joined("spans").alias("spans"))
+
+
 def op2_line_crf_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     from corpusdedup.llm.line_quality import rate
 
