@@ -6,6 +6,7 @@ import tempfile
 import uuid
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 
 def shared_dir(spark: SparkSession) -> str:
@@ -25,3 +26,15 @@ def materialise(df: DataFrame, name: str) -> DataFrame:
     path = f"{shared_dir(df.sparkSession)}/{name}-{uuid.uuid4().hex}"
     df.write.parquet(path)
     return df.sparkSession.read.schema(df.schema).parquet(path)
+
+
+#: Estimated bytes up to which ``fitted`` marks a table for broadcasting.
+BROADCAST_BYTES = 24 << 20
+
+
+def fitted(table: DataFrame, row_bytes: int, limit: int = BROADCAST_BYTES) -> DataFrame:
+    """``table``, marked for broadcasting if its counted rows take at most ``limit`` bytes; else left to a shuffled join.
+
+    The table is counted, so pass a written one.
+    """
+    return F.broadcast(table) if table.count() * row_bytes <= limit else table
