@@ -73,9 +73,45 @@ def op6_subword_embedding_quality(spark: SparkSession, sf_dir: str) -> DataFrame
     return classify(documents(spark, sf_dir), spark.read.parquet(f"{sf_dir}/labels.parquet"))
 
 
+def op10_deletion_neighbourhood_lines(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from corpusdedup.llm.line_dedup import dedup_lines
+
+    found = dedup_lines(documents(spark, sf_dir))
+    return found.select("doc_id", F.size("dropped_lines").cast("long").alias("n_dropped"), F.array_join(F.transform("dropped_lines", lambda x: x.cast("string")), ",").alias("dropped_lines"), F.sha2("text", 256).alias("text_sha256"))
+
+
+OP10_SQL = """
+WITH raw AS (
+  SELECT doc_id, i AS line_no, string_split(text, chr(10))[i + 1] AS line
+  FROM documents, unnest(range(len(string_split(text, chr(10))))) AS t(i)
+), lines AS (
+  SELECT doc_id, line_no, line, lower(trim(regexp_replace(line, '[ \t\r\f\v]+', ' ', 'g'))) AS norm FROM raw
+), ranked AS (
+  SELECT *, row_number() OVER (PARTITION BY norm ORDER BY doc_id, line_no) AS k FROM lines WHERE norm <> ''
+), firsts AS (
+  SELECT norm, {'d': doc_id, 'l': line_no} AS ord, string_split(norm, ' ') AS w FROM ranked WHERE k = 1 AND len(string_split(norm, ' ')) >= 5
+), lacking AS (
+  SELECT norm, ord, i, md5(array_to_string(w[1:i] || w[i + 2:], ' ')) AS rest FROM firsts, unnest(range(len(w))) AS t(i)
+), near AS (
+  SELECT norm FROM (SELECT norm, ord, min(ord) OVER (PARTITION BY rest, i) AS head FROM lacking) WHERE ord > head
+  UNION SELECT a.norm FROM lacking a JOIN firsts b ON a.rest = md5(b.norm) WHERE b.ord < a.ord
+  UNION SELECT b.norm FROM lacking a JOIN firsts b ON a.rest = md5(b.norm) WHERE a.ord < b.ord
+), dropped AS (
+  SELECT doc_id, line_no FROM ranked WHERE k > 1 OR norm IN (SELECT norm FROM near)
+), per_doc AS (
+  SELECT doc_id, count(*) AS n, string_agg(CAST(line_no AS VARCHAR), ',' ORDER BY line_no) AS nos FROM dropped GROUP BY doc_id
+), kept AS (
+  SELECT doc_id, string_agg(line, chr(10) ORDER BY line_no) AS text FROM lines l
+  WHERE NOT EXISTS (SELECT 1 FROM dropped x WHERE x.doc_id = l.doc_id AND x.line_no = l.line_no) GROUP BY doc_id
+)
+SELECT d.doc_id, CAST(coalesce(p.n, 0) AS BIGINT) AS n_dropped, coalesce(p.nos, '') AS dropped_lines, CASE WHEN d.text IS NULL THEN NULL ELSE sha256(coalesce(k.text, '')) END AS text_sha256
+FROM documents d LEFT JOIN per_doc p USING (doc_id) LEFT JOIN kept k USING (doc_id)
+"""
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {k: f for k, f in globals().items() if k.startswith("op") and callable(f)}
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    return {"op10_deletion_neighbourhood_lines": OP10_SQL}
