@@ -67,6 +67,12 @@ def op4_word_crf_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
     return identify(documents(spark, sf_dir))
 
 
+def op5_quotation_linking(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from corpusdedup.llm.quotations import order_replies
+
+    return order_replies(spark.read.parquet(f"{sf_dir}/conversations.parquet"))
+
+
 def op6_subword_embedding_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     from corpusdedup.llm.quality_model import classify
 
