@@ -19,6 +19,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from corpusdedup.llm.common import materialise, slices, text_bytes
+from corpusdedup.plans.shared import fitted
 
 WINDOW = 10
 #: Proximity: each word may stand this many places off.
@@ -226,6 +227,6 @@ def n_hit(column: str) -> Column:
 
 
 def drop_contaminated(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
-    """The documents without an exact benchmark window, all columns kept."""
-    hit = decontaminate(docs, benchmark).where(F.size("items") > 0).select("doc_id")
-    return docs.join(hit, "doc_id", "left_anti").select(docs.columns)
+    """The documents without an exact benchmark window, all columns kept; rows without doc_id stay as they are."""
+    hit = materialise(decontaminate(docs, benchmark).where((F.size("items") > 0) & F.col("doc_id").isNotNull()).select(F.col("doc_id").alias("_hit")).distinct(), "contaminated")
+    return docs.join(fitted(hit, 8), docs["doc_id"].cast("long") == hit["_hit"], "left_anti")

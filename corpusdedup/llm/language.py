@@ -166,23 +166,28 @@ def word_marginals(crf: Crf, texts: list[bytes]) -> tuple[np.ndarray, np.ndarray
     return p, letters[ids], counts
 
 
+def guess(crf: Crf, texts: list[bytes]) -> tuple[list[str], np.ndarray]:
+    """Language and score (share of the words' mass) of each text; ``und`` and 0 without any letter."""
+    p, letters, counts = word_marginals(crf, texts)
+    before = np.concatenate((np.zeros((1, len(crf.labels))), np.cumsum(p * letters[:, None], axis=0)))
+    ends = np.cumsum(counts)
+    words = np.concatenate(([0], np.cumsum(letters)))
+    total = words[ends] - words[ends - counts]
+    if not crf.labels:
+        return ["und"] * len(texts), np.zeros(len(texts))
+    mass = before[ends] - before[ends - counts]
+    names = [crf.labels[b] if k else "und" for b, k in zip(mass.argmax(axis=1).tolist(), (total > 0).tolist())]
+    return names, np.where(total > 0, np.clip(mass.max(axis=1) / np.maximum(total, 1), 0, 1), 0.0)
+
+
 def predict(docs: DataFrame, crf: Crf) -> DataFrame:
     """doc_id, lang_pred and score (share of the words' mass) of each whole text; ``und`` and 0 without any letter."""
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for part in slices(batch, "text"):
-                p, letters, counts = word_marginals(crf, part.column(1).to_pylist())
-                before = np.concatenate((np.zeros((1, len(crf.labels))), np.cumsum(p * letters[:, None], axis=0)))
-                ends = np.cumsum(counts)
-                mass = before[ends] - before[ends - counts]
-                words = np.concatenate(([0], np.cumsum(letters)))
-                total = words[ends] - words[ends - counts]
-                best = mass.argmax(axis=1) if crf.labels else np.zeros(len(counts), int)
-                known = (total > 0) & bool(crf.labels)
-                names = [crf.labels[b] if k else "und" for b, k in zip(best.tolist(), known.tolist())]
-                score = np.where(known, mass.max(axis=1, initial=0) / np.maximum(total, 1), 0.0)
-                yield pa.RecordBatch.from_arrays([part.column(0), pa.array(names), pa.array(np.clip(score, 0, 1))], names=["doc_id", "lang_pred", "score"])
+                names, score = guess(crf, part.column(1).to_pylist())
+                yield pa.RecordBatch.from_arrays([part.column(0), pa.array(names, pa.string()), pa.array(score)], names=["doc_id", "lang_pred", "score"])
 
     return docs.select(F.col("doc_id").cast("long").alias("doc_id"), text_bytes().alias("text")).mapInArrow(run, "doc_id long, lang_pred string, score double")
 
@@ -196,3 +201,17 @@ def identify(docs: DataFrame, learn: Column | None = None, per_language: int = P
     """
     crf = fit(docs, fold(5) != 0 if learn is None else learn, per_language)
     return predict(docs, crf).select("doc_id", F.coalesce(fold(5) == 0, F.lit(False)).alias("held_out"), "lang_pred", "score")
+
+
+def keep_identified(docs: DataFrame, learn: Column | None = None, per_language: int = PER_LANGUAGE, least: float = 0.5) -> DataFrame:
+    """The documents whose language is known with a score of at least ``least``, all columns kept."""
+    crf = fit(docs, fold(5) != 0 if learn is None else learn, per_language)
+    at = docs.columns.index("text")
+
+    def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for part in slices(batch, "text"):
+                _, score = guess(crf, [(t or "").encode("utf-8", "replace") for t in part.column(at).to_pylist()])
+                yield part.filter(pa.array(score >= least))
+
+    return docs.mapInArrow(run, docs.schema)

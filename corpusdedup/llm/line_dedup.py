@@ -141,3 +141,12 @@ def dedup_lines(docs: DataFrame) -> DataFrame:
     kept = F.array_except(F.sequence(F.lit(0), F.size("_lines") - 1), F.col("_dropped"))
     text = F.when(F.col("_dropped").isNull(), F.col("text")).otherwise(F.array_join(F.transform(kept, lambda i: F.get("_lines", i)), "\n"))
     return split.select(*[text.alias(c) if c == "text" else F.col(c) for c in columns], F.coalesce("_dropped", F.array().cast("array<int>")).alias("dropped_lines"))
+
+
+def drop_repeated_lines(docs: DataFrame) -> DataFrame:
+    """``docs`` with the text that ``dedup_lines`` leaves, n_chars brought up to date, and without the documents of which no word is left."""
+    left = dedup_lines(docs)
+    emptied = (F.size("dropped_lines") > 0) & ~F.col("text").rlike(r"[^ \t\n\x0b\f\r]")
+    kept = left.where(~F.coalesce(emptied, F.lit(False)))
+    n_chars = F.when(F.size("dropped_lines") > 0, F.length("text").cast("long")).otherwise(F.col("n_chars")) if "n_chars" in docs.columns else None
+    return kept.select(*[n_chars.alias(c) if c == "n_chars" else F.col(c) for c in docs.columns])

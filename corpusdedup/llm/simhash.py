@@ -20,6 +20,7 @@ from pyspark.sql import functions as F
 
 from corpusdedup.llm.common import materialise, slices, text_bytes
 from corpusdedup.operators.graph import contract, local_forest
+from corpusdedup.plans.shared import fitted
 
 SEED = 42
 SHINGLE = 3
@@ -187,6 +188,13 @@ def near_duplicates(docs: DataFrame, threshold: int = THRESHOLD, shingle: int =
 
 
 def keep_first(docs: DataFrame, threshold: int = THRESHOLD) -> DataFrame:
-    """The documents whose doc_id names their component: one of each group, all columns kept."""
-    heads = near_duplicates(docs, threshold).where("doc_id = component_id").select("doc_id").distinct()
-    return docs.dropDuplicates(["doc_id"]).join(heads, "doc_id", "left_semi").select(docs.columns)
+    """The documents whose doc_id names their component, one row each, all columns kept; rows without doc_id stay as they are.
+
+    Rows of equal doc_id are one document, of which any row stays.
+    """
+    found = materialise(near_duplicates(docs, threshold).where("doc_id is not null"), "simhash-groups")
+    gone = materialise(found.where("doc_id <> component_id").select(F.col("doc_id").alias("_gone")).distinct(), "simhash-gone")
+    kept = docs.join(fitted(gone, 8), docs["doc_id"].cast("long") == gone["_gone"], "left_anti")
+    if not found.groupBy("doc_id").count().where("count > 1").head(1):
+        return kept
+    return kept.where("doc_id is not null").dropDuplicates(["doc_id"]).union(kept.where("doc_id is null"))
