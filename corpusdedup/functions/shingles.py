@@ -13,9 +13,13 @@ def char_shingles(text: Column, k: int = 5) -> Column:
 
 
 def word_shingles(text: Column, k: int = 5) -> Column:
-    """k-grams of words, joined by single spaces; none for fewer words."""
+    """k-grams of words, joined by single spaces; none for fewer words.
+
+    The words are bound by an outer lambda: an expression used inside one is else evaluated again for each shingle.
+    """
     words = F.filter(F.split(text, r"\s+"), lambda w: w != "")
-    return F.when(F.size(words) >= k, F.transform(F.sequence(F.lit(1), F.size(words) - (k - 1)), lambda i: F.array_join(F.slice(words, i, k), " "))).otherwise(F.array().cast("array<string>"))
+    grams = lambda w: F.transform(F.sequence(F.lit(1), F.size(w) - (k - 1)), lambda i: F.array_join(F.slice(w, i, k), " "))
+    return F.get(F.transform(F.array(words), lambda w: F.when(F.size(w) >= k, grams(w)).otherwise(F.array().cast("array<string>"))), F.lit(0))
 
 
 def shingle_set(grams: Column) -> Column:
