@@ -39,11 +39,22 @@ def _buffer(x):
     return x.as_buffer() if x.is_valid else None
 
 
-def frame(**columns) -> pa.RecordBatch:
-    """An Arrow batch whose columns have the given Arrow types: name=(values, type)."""
-    return pa.RecordBatch.from_arrays([pa.array(v, type=t) for v, t in columns.values()], names=list(columns))
-
-
 def portable_unit(key: Column, salt: int) -> Column:
     """A number in (0, 1) fixed by the key: what a sample by rank is drawn with."""
     return (F.pmod(F.xxhash64(key, F.lit(salt)), F.lit(1 << 52)) + F.lit(0.5)) / F.lit(float(1 << 52))
+
+
+def unused(columns: list[str], *names: str) -> list[str]:
+    """The names, each with as many underscores before it as keep it apart from the columns."""
+    taken, out = {c.lower() for c in columns}, []
+    for n in names:
+        while n.lower() in taken:
+            n = "_" + n
+        taken.add(n.lower())
+        out.append(n)
+    return out
+
+
+def quoted(column: str) -> Column:
+    """A column by its exact name, dots and all."""
+    return F.col(f"`{column.replace('`', '``')}`")

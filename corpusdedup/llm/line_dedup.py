@@ -14,6 +14,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from corpusdedup.llm.common import quoted, unused
 from corpusdedup.plans.shared import fitted, materialise
 
 #: Lines of fewer words are compared for equality only: one word of four would be a similarity below 0.8.
@@ -134,19 +135,25 @@ def dedup_lines(docs: DataFrame) -> DataFrame:
     equal doc_id are one document, and lose the same line numbers; other columns stay, and a column named dropped_lines is
     replaced; an empty table gives an empty result.
     """
-    columns = [c for c in docs.columns if c != "dropped_lines"]
-    drops = materialise(find_repeats(docs), "line-drops")
-    joined = docs.select(columns).join(fitted(drops, 80), docs["doc_id"].cast("long") == drops["_doc"], "left")
-    split = joined.select(*columns, "_dropped", F.explode(F.array(F.when(F.col("_dropped").isNotNull(), F.split("text", "\n")))).alias("_lines"))
-    kept = F.array_except(F.sequence(F.lit(0), F.size("_lines") - 1), F.col("_dropped"))
-    text = F.when(F.col("_dropped").isNull(), F.col("text")).otherwise(F.array_join(F.transform(kept, lambda i: F.get("_lines", i)), "\n"))
-    return split.select(*[text.alias(c) if c == "text" else F.col(c) for c in columns], F.coalesce("_dropped", F.array().cast("array<int>")).alias("dropped_lines"))
+    columns = [c for c in docs.columns if c.lower() != "dropped_lines"]
+    key, gone, lines = unused(columns, "_doc", "_dropped", "_lines")
+    drops = materialise(find_repeats(docs), "line-drops").withColumnsRenamed({"_doc": key, "_dropped": gone})
+    own = [quoted(c) for c in columns]
+    joined = docs.select(own).join(fitted(drops, 80), F.col("doc_id").cast("long") == F.col(key), "left")
+    split = joined.select(*own, gone, F.explode(F.array(F.when(F.col(gone).isNotNull(), F.split("text", "\n")))).alias(lines))
+    kept = F.array_except(F.sequence(F.lit(0), F.size(lines) - 1), F.col(gone))
+    text = F.when(F.col(gone).isNull(), F.col("text")).otherwise(F.array_join(F.transform(kept, lambda i: F.get(lines, i)), "\n"))
+    return split.select(*[text.alias(c) if c.lower() == "text" else quoted(c) for c in columns], F.coalesce(gone, F.array().cast("array<int>")).alias("dropped_lines"))
 
 
 def drop_repeated_lines(docs: DataFrame) -> DataFrame:
-    """``docs`` with the text that ``dedup_lines`` leaves, n_chars brought up to date, and without the documents of which no word is left."""
+    """``docs`` with the text that ``dedup_lines`` leaves, n_chars brought up to date, and without the documents of which no word is left.
+
+    A column named dropped_lines does not pass.
+    """
     left = dedup_lines(docs)
-    emptied = (F.size("dropped_lines") > 0) & ~F.col("text").rlike(r"[^ \t\n\x0b\f\r]")
+    touched = F.size("dropped_lines") > 0
+    emptied = touched & ~F.col("text").rlike(r"[^ \t\n\x0b\f\r]")
     kept = left.where(~F.coalesce(emptied, F.lit(False)))
-    n_chars = F.when(F.size("dropped_lines") > 0, F.length("text").cast("long")).otherwise(F.col("n_chars")) if "n_chars" in docs.columns else None
-    return kept.select(*[n_chars.alias(c) if c == "n_chars" else F.col(c) for c in docs.columns])
+    n_chars = F.when(touched, F.length("text").cast("long"))
+    return kept.select(*[F.coalesce(n_chars, quoted(c)).alias(c) if c.lower() == "n_chars" else quoted(c) for c in left.columns if c != "dropped_lines"])

@@ -16,7 +16,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from corpusdedup.llm.common import materialise, slices, text_bytes
+from corpusdedup.llm.common import materialise, quoted, slices, text_bytes, unused
 
 KINDS = ("email", "ip", "card", "phone")
 #: Probability from which a candidate counts as personal data.
@@ -279,20 +279,26 @@ def joined(column: str) -> Column:
 
 
 def masked(docs: DataFrame, spans: DataFrame) -> DataFrame:
-    """The documents with each span replaced by its kind in angle brackets; overlapping spans count as the first."""
+    """The documents with each span replaced by its kind in angle brackets; of overlapping spans the first counts.
+
+    Rows of equal doc_id are masked by the spans of the first, so repeated ids must have equal texts.
+    """
+    key, found = unused(docs.columns, "_doc", "_spans")
+    at = [c.lower() for c in docs.columns].index("text")
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            rows = batch.to_pylist()
-            for r in rows:
-                text, out, done = r["text"] or "", [], 0
-                for s in sorted(r.pop("spans") or [], key=lambda s: (s["start"], s["end"])):
+            texts = []
+            for text, own in zip(batch.column(at).to_pylist(), batch.column(batch.num_columns - 1).to_pylist()):
+                out, done = [], 0
+                for s in sorted(own or [], key=lambda s: (s["start"], s["end"])):
                     if s["start"] >= done:
                         out += [text[done : s["start"]], f"<{s['kind']}>"]
                         done = s["end"]
-                r["text"] = "".join([*out, text[done:]]) if r["text"] is not None else None
-            schema = batch.schema
-            yield pa.RecordBatch.from_pylist(rows, schema=pa.schema([f for f in schema if f.name != "spans"]))
+                texts.append("".join([*out, text[done:]]) if text is not None else None)
+            columns = [pa.array(texts, batch.column(k).type) if k == at else batch.column(k) for k in range(batch.num_columns - 1)]
+            yield pa.RecordBatch.from_arrays(columns, names=batch.schema.names[:-1])
 
-    both = docs.join(spans.select("doc_id", "spans").dropDuplicates(["doc_id"]), "doc_id", "left").select(*docs.columns, "spans")
+    own = spans.select(F.col("doc_id").alias(key), F.col("spans").alias(found)).dropDuplicates([key])
+    both = docs.join(own, F.col("doc_id").cast("long") == F.col(key), "left").select(*map(quoted, docs.columns), found)
     return both.mapInArrow(run, docs.schema)
