@@ -143,8 +143,11 @@ def signature(codes: np.ndarray, cfg: DedupConfig, method: str = "direct") -> np
 
 
 def char_grams(text: Column, k: int) -> Column:
-    """All k-grams of characters, overlapping, in order."""
-    return F.regexp_extract_all(text, F.lit(f"(?s)(?=(.{{{k}}}))"), F.lit(1))
+    """All k-grams of characters, overlapping, in order.
+
+    Each match takes one character after looking ahead, so none starts inside a character that the JVM holds as two units.
+    """
+    return F.regexp_extract_all(text, F.lit(f"(?s)(?=(.{{{k}}}))."), F.lit(1))
 
 
 def poly_hash(gram: Column, k: int, p: int, q: int) -> Column:

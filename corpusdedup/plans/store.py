@@ -28,7 +28,7 @@ class HashStore:
 
     def scan(self, bands: list[int] | None = None, lo: int | None = None, hi: int | None = None) -> DataFrame:
         """Rows of some bands and of buckets in [lo, hi): band by partition pruning, buckets by pushed-down filters."""
-        rows = self.spark.read.parquet(self.path)
+        rows = self.spark.read.schema("bucket long, doc_id long, sig array<int>, band int").parquet(self.path)
         if bands is not None:
             rows = rows.where(F.col("band").isin(bands))
         if lo is not None:
