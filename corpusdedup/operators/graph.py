@@ -47,8 +47,10 @@ def local_forest(u: Iterable[int], v: Iterable[int]) -> tuple[np.ndarray, np.nda
 
 
 def _both_ways(edges: DataFrame) -> DataFrame:
+    """Every edge in both directions, once.  They are made by one generator: a union would compute the edges twice."""
     own = edges.select(F.col("u").cast("long").alias("u"), F.col("v").cast("long").alias("v")).where("u is not null and v is not null and u <> v")
-    return own.union(own.select(F.col("v").alias("u"), F.col("u").alias("v"))).distinct()
+    way = lambda a, b: F.struct(F.col(a).alias("u"), F.col(b).alias("v"))
+    return own.select(F.explode(F.array(way("u", "v"), way("v", "u"))).alias("e")).select("e.u", "e.v").distinct()
 
 
 def _empty(edges: DataFrame) -> bool:
