@@ -56,7 +56,15 @@ def sigs(spark: SparkSession, sf: str, cfg: DedupConfig = CFG, k: int | None = N
 
 # Pieces of SQL, each a common table expression that needs those before it.
 DOCS = "docs AS (SELECT doc_id, nfc_normalize(text) AS text, lang, source FROM documents WHERE length(nfc_normalize(text)) >= 200)"
-GRAMS = "grams AS (SELECT doc_id, substr(text, CAST(i AS INTEGER), 5) AS g FROM docs, unnest(range(1, length(text) - 3)) AS t(i))"
+
+
+def grams_sql(source: str, key: str, name: str) -> str:
+    """All 5-grams of characters, from shifted lists of characters side by side."""
+    shifted = ", ".join(f"unnest(c[{j}:greatest({j - 1}, len(c) - {5 - j})]) AS c{j}" for j in range(1, 6))
+    return f"{name} AS (SELECT {key}, c1 || c2 || c3 || c4 || c5 AS g FROM (SELECT {key}, {shifted} FROM (SELECT {key}, string_split(text, '') AS c FROM {source})))"
+
+
+GRAMS = grams_sql("docs", "doc_id", "grams")
 
 
 def base_sql(q: int = CFG.q, p: int = CFG.p, name: str = "base") -> str:
@@ -546,8 +554,8 @@ def cost_model(spark, sf):
 @query(
     "contamination_hits",
     with_(
-        "bg AS (SELECT DISTINCT item_id, substr(text, CAST(i AS INTEGER), 5) AS g FROM benchmark, unnest(range(1, length(text) - 3)) AS t(i)), bn AS (SELECT item_id, count(*) AS total FROM bg GROUP BY 1), "
-        "dg AS (SELECT DISTINCT doc_id, substr(text, CAST(i AS INTEGER), 5) AS g FROM documents, unnest(range(1, length(text) - 3)) AS t(i)), c AS (SELECT doc_id, item_id, count(*) AS common FROM dg JOIN bg USING (g) GROUP BY 1, 2)",
+        f"{grams_sql('benchmark', 'item_id', 'bgs')}, bg AS (SELECT DISTINCT item_id, g FROM bgs), bn AS (SELECT item_id, count(*) AS total FROM bg GROUP BY 1), "
+        f"{grams_sql('documents', 'doc_id', 'dgs')}, dg AS (SELECT DISTINCT doc_id, g FROM dgs), c AS (SELECT doc_id, item_id, count(*) AS common FROM dg JOIN bg USING (g) GROUP BY 1, 2)",
         "SELECT doc_id, item_id, common, total, round(common / total, 9) AS containment FROM c JOIN bn USING (item_id) WHERE common / total >= 0.8",
     ),
 )
