@@ -168,13 +168,13 @@ def word_marginals(crf: Crf, texts: list[bytes]) -> tuple[np.ndarray, np.ndarray
 
 def guess(crf: Crf, texts: list[bytes]) -> tuple[list[str], np.ndarray]:
     """Language and score (share of the words' mass) of each text; ``und`` and 0 without any letter."""
+    if not crf.labels:
+        return ["und"] * len(texts), np.zeros(len(texts))
     p, letters, counts = word_marginals(crf, texts)
     before = np.concatenate((np.zeros((1, len(crf.labels))), np.cumsum(p * letters[:, None], axis=0)))
     ends = np.cumsum(counts)
     words = np.concatenate(([0], np.cumsum(letters)))
     total = words[ends] - words[ends - counts]
-    if not crf.labels:
-        return ["und"] * len(texts), np.zeros(len(texts))
     mass = before[ends] - before[ends - counts]
     names = [crf.labels[b] if k else "und" for b, k in zip(mass.argmax(axis=1).tolist(), (total > 0).tolist())]
     return names, np.where(total > 0, np.clip(mass.max(axis=1) / np.maximum(total, 1), 0, 1), 0.0)

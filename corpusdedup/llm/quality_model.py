@@ -100,12 +100,13 @@ def train(texts: list[bytes], labels: list[int], width: int = WIDTH, epochs: int
             p[np.arange(len(docs)), y[docs]] -= 1
             lr = rate * (1 - done / steps)
             back = p @ out.T
-            out -= lr * hidden.T @ p / len(docs) * 4
+            out -= lr * hidden.T @ p / len(docs)
             bias -= lr * p.mean(axis=0)
-            # A feature's step: the mean over the batch would starve rare features, so documents add up.
+            # A feature steps by its mean over the documents that have it, so that rare features learn and common ones don't overshoot.
             own, slot = np.unique(f, return_inverse=True)
-            g = np.stack([np.bincount(slot, back[row, d] * w, len(own)) for d in range(width)], axis=1)
-            vectors[own] -= (lr * 4 * g).astype(np.float32)
+            total = np.bincount(slot, w, len(own)) + 1e-12
+            g = np.stack([np.bincount(slot, back[row, d] * w, len(own)) for d in range(width)], axis=1) / total[:, None]
+            vectors[own] -= (lr * g).astype(np.float32)
             done += 1
     shares = vectors @ (out[:, 1] - out[:, 0])
     return Scorer(shares[:BUCKETS].astype(np.float64), shares[BUCKETS:-1].astype(np.float64), float(shares[-1]), float(bias[1] - bias[0]))

@@ -40,7 +40,7 @@ class Features:
             h = (code * np.uint32(_MIX[n])) ^ (code >> np.uint32(15))
             self.grams[n] = ((h * np.uint32(0x27D4EB2F)) >> np.uint32(32 - (buckets.bit_length() - 1))).astype(np.int32)
             self.lo[n] = first - 1
-            self.hi[n] = np.maximum(first - 1, first + size - n + 1)
+            self.hi[n] = np.maximum(first - 1, first + size - n + 2)
         self.word = np.fromiter((zlib.crc32(w) & (buckets - 1) for w in words), np.int32, len(words))
         self.number = 1 + sum(self.hi[n] - self.lo[n] for n in SIZES)
 
