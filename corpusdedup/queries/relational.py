@@ -278,12 +278,14 @@ def agg_salted(spark, sf):
 
 # Windows
 
-_W = Window.partitionBy("lang").orderBy(F.col("n_chars").desc(), "doc_id")
+
+def _by_length():
+    return Window.partitionBy("lang").orderBy(F.col("n_chars").desc(), "doc_id")
 
 
 @op("win_row_number", "SELECT doc_id, CAST(row_number() OVER (PARTITION BY lang ORDER BY n_chars DESC, doc_id) AS INTEGER) AS rn FROM documents")
 def win_row_number(spark, sf):
-    return t(spark, sf, "documents").select("doc_id", F.row_number().over(_W).alias("rn"))
+    return t(spark, sf, "documents").select("doc_id", F.row_number().over(_by_length()).alias("rn"))
 
 
 @op("win_rank", "SELECT o_orderkey, CAST(rank() OVER (PARTITION BY o_custkey ORDER BY o_orderpriority) AS INTEGER) AS r, CAST(dense_rank() OVER (PARTITION BY o_custkey ORDER BY o_orderpriority) AS INTEGER) AS d FROM orders")
@@ -294,7 +296,7 @@ def win_rank(spark, sf):
 
 @op("win_ntile", "SELECT doc_id, CAST(ntile(4) OVER (PARTITION BY lang ORDER BY n_chars DESC, doc_id) AS INTEGER) AS q, round(percent_rank() OVER (PARTITION BY lang ORDER BY n_chars DESC, doc_id), 9) AS pr, round(cume_dist() OVER (PARTITION BY lang ORDER BY n_chars DESC, doc_id), 9) AS cd FROM documents")
 def win_ntile(spark, sf):
-    return t(spark, sf, "documents").select("doc_id", F.ntile(4).over(_W).alias("q"), F.round(F.percent_rank().over(_W), 9).alias("pr"), F.round(F.cume_dist().over(_W), 9).alias("cd"))
+    return t(spark, sf, "documents").select("doc_id", F.ntile(4).over(_by_length()).alias("q"), F.round(F.percent_rank().over(_by_length()), 9).alias("pr"), F.round(F.cume_dist().over(_by_length()), 9).alias("cd"))
 
 
 @op("win_lag_lead", "SELECT event_id, lag(value) OVER w AS before, lead(value) OVER w AS after FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id)")
@@ -344,7 +346,7 @@ def topk(spark, sf):
 
 @op("topk_per_group", "SELECT lang, doc_id FROM documents QUALIFY row_number() OVER (PARTITION BY lang ORDER BY n_chars DESC, doc_id) <= 3")
 def topk_per_group(spark, sf):
-    return t(spark, sf, "documents").withColumn("rn", F.row_number().over(_W)).where("rn <= 3").select("lang", "doc_id")
+    return t(spark, sf, "documents").withColumn("rn", F.row_number().over(_by_length())).where("rn <= 3").select("lang", "doc_id")
 
 
 @op("offset_limit", "SELECT doc_id FROM documents ORDER BY doc_id LIMIT 20 OFFSET 40")
