@@ -15,7 +15,7 @@ from pyspark.sql import functions as F
 from corpusdedup.config import DedupConfig
 
 #: Rows of the table of hashes that is held at once.
-CHUNK = 1024
+CHUNK = 96
 
 
 def codes_of(text: str) -> np.ndarray:
@@ -124,16 +124,22 @@ def signature(codes: np.ndarray, cfg: DedupConfig, method: str = "direct") -> np
     a, b = (np.array(x, dtype=np.int64) for x in cfg.constants)
     best = np.full(cfg.n_hashes, cfg.p, dtype=np.int64)
     if cfg.p < 1 << 25:
-        # Products stay below 2^53: floating point divides many at once, and is off by one multiple of p at most.
-        fa, fb, p, inv = a.astype(np.float64), b.astype(np.float64), float(cfg.p), 1.0 / cfg.p
-        for i in range(0, len(h), CHUNK):
-            x = h[i : i + CHUNK, None].astype(np.float64) * fa
-            x += fb
-            x -= np.floor(x * inv) * p
-            x += p * (x < 0)
-            x -= p * (x >= p)
-            best = np.minimum(best, x.min(axis=0).astype(np.int64))
-        return best
+        # Products stay below 2^46, and a half added keeps quotients off whole numbers by far more than rounding errs, so the
+        # floor is exact.  Buffers of a cache's size are used again.
+        fa, fb, x = a.astype(np.float64), b + 0.5, h.astype(np.float64)
+        least = np.full(cfg.n_hashes, np.inf)
+        y, z = np.empty((CHUNK, cfg.n_hashes)), np.empty((CHUNK, cfg.n_hashes))
+        for i in range(0, len(x), CHUNK):
+            own = x[i : i + CHUNK, None]
+            u, v = y[: len(own)], z[: len(own)]
+            np.multiply(own, fa, out=u)
+            np.add(u, fb, out=u)
+            np.multiply(u, 1.0 / cfg.p, out=v)
+            np.floor(v, out=v)
+            np.multiply(v, float(cfg.p), out=v)
+            np.subtract(u, v, out=u)
+            np.minimum(least, u.min(axis=0), out=least)
+        return (least - 0.5).astype(np.int64)
     for i in range(0, len(h), CHUNK):
         best = np.minimum(best, ((h[i : i + CHUNK, None] * a + b) % cfg.p).min(axis=0))
     return best

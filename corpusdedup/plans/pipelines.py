@@ -44,6 +44,12 @@ class DedupResult:
         return self.corpus.sparkSession.createDataFrame(rows, "run string, phase string, key string, value double")
 
 
+def spread(docs: DataFrame) -> DataFrame:
+    """Over all cores, where a small input comes in fewer splits than there are; large inputs stay as they are."""
+    n = docs.sparkSession.sparkContext.defaultParallelism
+    return docs.repartition(n, "doc_id") if docs.rdd.getNumPartitions() < n else docs
+
+
 def find_pairs(docs: DataFrame, cfg: DedupConfig, plan: str, verify: bool = True, reduce: bool = True, collapse: bool | None = None, seconds: dict[str, float] | None = None) -> DataFrame:
     """u, v, matches by one of ``PLANS`` over cleaned documents.
 
@@ -67,7 +73,7 @@ def find_pairs(docs: DataFrame, cfg: DedupConfig, plan: str, verify: bool = True
     if collapse if collapse is not None else plan == "scale":
         docs, copies = collapse_exact(docs)
     k = buckets_for(docs, cfg) if plan in ("dense", "stream") else None
-    sig = materialise(signatures(docs, cfg, k), "signatures")
+    sig = materialise(signatures(spread(docs), cfg, k), "signatures")
     seconds["generation"] = time.time() - began
     began = time.time()
     if plan == "exact_minhash":
