@@ -11,6 +11,7 @@ from pyspark.sql import functions as F
 from corpusdedup.config import DedupConfig
 from corpusdedup.operators.compare import tile_matches
 from corpusdedup.operators.signatures import signature_long
+from corpusdedup.plans.shared import fitted, materialise
 
 
 def exact_duplicates(docs: DataFrame, key: str = "hash") -> DataFrame:
@@ -26,9 +27,10 @@ def exact_duplicates(docs: DataFrame, key: str = "hash") -> DataFrame:
 
 def collapse_exact(docs: DataFrame) -> tuple[DataFrame, DataFrame]:
     """(one document of each text, edges u, v from it to its copies): equal texts have equal signatures, so nothing is lost."""
-    groups = exact_duplicates(docs)
-    copies = groups.where("doc_id <> cluster")
-    return docs.join(copies.select("doc_id"), "doc_id", "left_anti"), copies.select(F.col("cluster").alias("u"), F.col("doc_id").alias("v"))
+    keys = materialise(docs.where("text is not null").select("doc_id", F.sha2("text", 256).alias("_k")), "text-keys")
+    heads = keys.groupBy("_k").agg(F.min("doc_id").alias("cluster"), F.count("*").alias("copies")).where("copies > 1")
+    copies = materialise(keys.join(heads, "_k").where("doc_id <> cluster").select("doc_id", "cluster"), "text-copies")
+    return docs.join(fitted(copies.select("doc_id"), 8), "doc_id", "left_anti"), copies.select(F.col("cluster").alias("u"), F.col("doc_id").alias("v"))
 
 
 def exact_minhash_pairs(sig: DataFrame, cfg: DedupConfig, method: str = "join") -> DataFrame:
