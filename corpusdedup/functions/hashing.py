@@ -6,6 +6,7 @@ products, ``rolling`` goes from one shingle to the next by the inverse of q, ``p
 
 from __future__ import annotations
 
+import functools
 import hashlib
 
 import numpy as np
@@ -15,7 +16,7 @@ from pyspark.sql import functions as F
 from corpusdedup.config import DedupConfig
 
 #: Rows of the table of hashes that is held at once.
-CHUNK = 96
+CHUNK = 256
 
 
 def codes_of(text: str) -> np.ndarray:
@@ -28,8 +29,9 @@ def poly_direct(codes: np.ndarray, k: int, p: int, q: int) -> np.ndarray:
     if n <= 0:
         return np.zeros(0, dtype=np.int64)
     out, power = np.zeros(n, dtype=np.int64), 1
+    small = int(codes.max()) * p * k < 1 << 63  # then the plain sum fits
     for j in range(k):
-        out += (codes[j : j + n] % p) * power % p
+        out += codes[j : j + n] * power if small else (codes[j : j + n] % p) * power % p
         power = power * q % p
     return out % p
 
@@ -114,35 +116,43 @@ def base_hashes(codes: np.ndarray, cfg: DedupConfig, method: str = "direct") ->
     return np.array([xxhash.xxh64_intdigest(g, 42) % cfg.p for g in grams], dtype=np.int64)
 
 
+@functools.lru_cache(maxsize=8)
+def _fractions(cfg: DedupConfig) -> tuple[np.ndarray, np.ndarray]:
+    """a / p and (b + 1/2) / p of every hash function, in units of 2^-64."""
+    p = cfg.p
+    scale = [((a << 64) + p // 2) // p for a in map(int, cfg.constants[0])]
+    shift = [((2 * b + 1) << 63) // p for b in map(int, cfg.constants[1])]
+    return np.array(scale, dtype=np.uint64), np.array(shift, dtype=np.uint64)
+
+
+def fixed_point_minima(h: np.ndarray, cfg: DedupConfig) -> np.ndarray:
+    """The minimum of (a h + b) mod p over h for every hash function; p is below 2^31.
+
+    Products that wrap at 2^64 leave the fraction of (a h + b + 1/2) / p, with an error below (p + 1) / 2 units where values
+    lie 2^64 / p apart, so order and value are exact.  No division is done, and one buffer of a cache's size is used again.
+    """
+    scale, shift = _fractions(cfg)
+    least = np.full(cfg.n_hashes, np.iinfo(np.uint64).max, dtype=np.uint64)
+    x, buffer = h.astype(np.uint64), np.empty((CHUNK, cfg.n_hashes), dtype=np.uint64)
+    for i in range(0, len(x), CHUNK):
+        own = x[i : i + CHUNK, None]
+        u = buffer[: len(own)]
+        np.multiply(own, scale, out=u)
+        np.add(u, shift, out=u)
+        np.minimum(least, u.min(axis=0), out=least)
+    p, half = np.uint64(cfg.p), np.uint64(32)
+    low = (least & np.uint64(0xFFFFFFFF)) * p >> half
+    return ((least >> half) * p + low >> half).astype(np.int64)
+
+
 def signature(codes: np.ndarray, cfg: DedupConfig, method: str = "direct") -> np.ndarray | None:
     """The minima of all hash functions over the shingles; None for a text without a shingle."""
     if len(codes) < cfg.k:
         return None
     if cfg.family == "multibase":
         return np.array([rolling_hashes(codes, cfg, method, q).min() for q in cfg.bases], dtype=np.int64)
-    h = np.unique(base_hashes(codes, cfg, method))
-    a, b = (np.array(x, dtype=np.int64) for x in cfg.constants)
-    best = np.full(cfg.n_hashes, cfg.p, dtype=np.int64)
-    if cfg.p < 1 << 25:
-        # Products stay below 2^46, and a half added keeps quotients off whole numbers by far more than rounding errs, so the
-        # floor is exact.  Buffers of a cache's size are used again.
-        fa, fb, x = a.astype(np.float64), b + 0.5, h.astype(np.float64)
-        least = np.full(cfg.n_hashes, np.inf)
-        y, z = np.empty((CHUNK, cfg.n_hashes)), np.empty((CHUNK, cfg.n_hashes))
-        for i in range(0, len(x), CHUNK):
-            own = x[i : i + CHUNK, None]
-            u, v = y[: len(own)], z[: len(own)]
-            np.multiply(own, fa, out=u)
-            np.add(u, fb, out=u)
-            np.multiply(u, 1.0 / cfg.p, out=v)
-            np.floor(v, out=v)
-            np.multiply(v, float(cfg.p), out=v)
-            np.subtract(u, v, out=u)
-            np.minimum(least, u.min(axis=0), out=least)
-        return (least - 0.5).astype(np.int64)
-    for i in range(0, len(h), CHUNK):
-        best = np.minimum(best, ((h[i : i + CHUNK, None] * a + b) % cfg.p).min(axis=0))
-    return best
+    h = np.sort(base_hashes(codes, cfg, method).astype(np.uint32))
+    return fixed_point_minima(h[np.concatenate(([True], h[1:] != h[:-1]))], cfg)
 
 
 # SQL forms: the same numbers inside whole-stage code.

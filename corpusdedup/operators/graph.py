@@ -2,14 +2,17 @@
 
 from __future__ import annotations
 
-from collections.abc import Iterable
+from collections.abc import Iterable, Iterator
 
 import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from corpusdedup.plans.shared import materialise
 
+#: Written edges up to which one task connects what is left of a graph.
+LOCAL_EDGES = 1 << 18
 #: Edges beyond which the driver's union-find refuses to work.
 DRIVER_EDGE_LIMIT = 2_000_000
 
@@ -57,16 +60,36 @@ def _empty(edges: DataFrame) -> bool:
     return not edges.head(1)
 
 
-def contract(edges: DataFrame) -> DataFrame:
+def _in_one_task(edges: DataFrame) -> DataFrame:
+    """(x, to): each node and the least of its component, by union-find in one task over edges of a checked number."""
+
+    def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        sets = DisjointSets()
+        for batch in batches:
+            for a, b in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist()):
+                sets.union(a, b)
+        nodes = list(sets.up)
+        yield pa.RecordBatch.from_arrays([pa.array(nodes, pa.int64()), pa.array([sets.find(x) for x in nodes], pa.int64())], names=["x", "to"])
+
+    return edges.where("u < v").select("u", "v").coalesce(1).mapInArrow(run, "x long, to long")
+
+
+def contract(edges: DataFrame, local: int = 0) -> DataFrame:
     """(node, root): nodes of one component share a root, which is any one of them.
 
     Each round sends every node to the neighbour (or itself) of least hash and joins the edges' ends to where they went.
     The hash makes the order random, so the graph shrinks by a constant factor a round whatever its shape; aggregates are
-    partial on the map side and the joins are those that adaptive execution can split.
+    partial on the map side and the joins are those that adaptive execution can split.  Once at most ``local`` edges are left, one
+    task connects them instead of further rounds.
     """
     edges = materialise(_both_ways(edges), "cc-edges")
     labels = None
     while not _empty(edges):
+        if local and edges.count() <= local:
+            moves = materialise(_in_one_task(edges), "cc-moves")
+            if labels is None:
+                return moves.select(F.col("x").alias("node"), F.col("to").alias("root"))
+            return labels.join(moves, labels["root"] == moves["x"], "left").select("node", F.coalesce("to", "root").alias("root"))
         key = lambda c: F.struct(F.xxhash64(c).alias("h"), F.col(c).alias("x"))
         near = edges.groupBy("u").agg(F.min(key("v")).alias("m"))
         moves = materialise(near.select(F.col("u").alias("x"), F.least(F.col("m"), key("u"))["x"].alias("to")), "cc-moves")
@@ -125,15 +148,16 @@ def _on_driver(edges: DataFrame, limit: int) -> DataFrame:
     return spark.createDataFrame([(x, sets.find(x)) for x in list(sets.up)], "node long, root long")
 
 
-def connected_components(edges: DataFrame, method: str = "contract", driver_edge_limit: int = DRIVER_EDGE_LIMIT) -> DataFrame:
+def connected_components(edges: DataFrame, method: str = "contract", driver_edge_limit: int = DRIVER_EDGE_LIMIT, local_edges: int = LOCAL_EDGES) -> DataFrame:
     """(node, component): component is the least node that the edges (u, v) connect a node with.
 
     Nodes without an edge to another don't appear.  Methods: ``contract`` (default), ``star``, ``label``, ``driver``.
+    ``contract`` leaves the last ``local_edges`` (each counted both ways) to one task; 0 never does.
     """
     if method == "driver":
         found = _on_driver(edges, driver_edge_limit)
     elif method in ("contract", "label", "star"):
-        found = {"contract": contract, "label": _by_labels, "star": _by_stars}[method](edges)
+        found = contract(edges, local_edges) if method == "contract" else {"label": _by_labels, "star": _by_stars}[method](edges)
     else:
         raise ValueError(f"no such method: {method}")
     least = found.groupBy("root").agg(F.min("node").alias("component"))

@@ -26,13 +26,15 @@ def dense_buckets(sig: np.ndarray, cfg: DedupConfig, k_buckets: int) -> np.ndarr
     return sig.reshape(cfg.bands, cfg.rows).sum(axis=1) % k_buckets
 
 
-def signatures(docs: DataFrame, cfg: DedupConfig = DedupConfig(), k_buckets: int | None = None, engine: str = "arrow") -> DataFrame:
+def signatures(docs: DataFrame, cfg: DedupConfig = DedupConfig(), k_buckets: int | None = None, engine: str = "arrow", text_key: bool = False) -> DataFrame:
     """doc_id, sig, buckets of each document; null sig for a text without a shingle, null buckets without ``k_buckets``.
 
-    The ``sql`` engine explodes shingles and takes minima by a partial and a final aggregate; it leaves such texts out.
+    The ``sql`` engine explodes shingles and takes minima by a partial and a final aggregate; it leaves such texts out.  With
+    ``text_key`` the SHA-256 of the text comes along, from the same reading of the texts.
     """
     if engine == "sql":
         return _sql_signatures(docs, cfg, k_buckets)
+    names = ["doc_id", "sig", "buckets"] + ["text_key"] * text_key
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         ints = pa.list_(pa.int32())
@@ -43,9 +45,11 @@ def signatures(docs: DataFrame, cfg: DedupConfig = DedupConfig(), k_buckets: int
                 for t in batch.column(1).slice(k, 256).to_pylist():
                     s = signature(codes_of(t) if cfg.unit == "char" else word_codes(t), cfg) if t is not None else None
                     sigs.append(s), buckets.append(dense_buckets(s, cfg, k_buckets) if s is not None and k_buckets else None)
-                yield pa.RecordBatch.from_arrays([ids.slice(k, 256), pa.array(sigs, ints), pa.array(buckets, ints)], names=["doc_id", "sig", "buckets"])
+                own = [batch.column(2).slice(k, 256)] if text_key else []
+                yield pa.RecordBatch.from_arrays([ids.slice(k, 256), pa.array(sigs, ints), pa.array(buckets, ints), *own], names=names)
 
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(run, SCHEMA)
+    own = [F.sha2("text", 256).alias("text_key")] if text_key else []
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text", *own).mapInArrow(run, SCHEMA + ", text_key string" * text_key)
 
 
 def _sql_signatures(docs: DataFrame, cfg: DedupConfig, k_buckets: int | None) -> DataFrame:

@@ -50,12 +50,12 @@ def spread(docs: DataFrame) -> DataFrame:
     return docs.repartition(n, "doc_id") if docs.rdd.getNumPartitions() < n else docs
 
 
-def find_pairs(docs: DataFrame, cfg: DedupConfig, plan: str, verify: bool = True, reduce: bool = True, collapse: bool | None = None, seconds: dict[str, float] | None = None) -> DataFrame:
+def find_pairs(docs: DataFrame, cfg: DedupConfig, plan: str, verify: bool = True, reduce: bool = True, collapse: bool | None = None, seconds: dict[str, float] | None = None, even: bool = True) -> DataFrame:
     """u, v, matches by one of ``PLANS`` over cleaned documents.
 
     ``dense``: few large buckets, all pairs.  ``stream``: the same from a hash store in sweeps.  ``scale``: buckets of equal
     bands, keys only exchanged, equal texts collapsed first.  ``cpu_baseline``: SHA-1, equal bands, anchor.  ``gpu_baseline``:
-    Murmur3, MD5 of the band, all signatures exchanged with every band, anchor.
+    Murmur3, MD5 of the band, all signatures exchanged with every band, anchor.  ``even``: see to it that all cores have input.
     """
     seconds = seconds if seconds is not None else {}
     spark = docs.sparkSession
@@ -69,11 +69,11 @@ def find_pairs(docs: DataFrame, cfg: DedupConfig, plan: str, verify: bool = True
         cfg = cfg.but(family="sha1")
     if plan == "gpu_baseline":
         cfg = cfg.but(family="murmur3")
-    copies = None
-    if collapse if collapse is not None else plan == "scale":
-        docs, copies = collapse_exact(docs)
+    copies, one_text = None, collapse if collapse is not None else plan == "scale"
     k = buckets_for(docs, cfg) if plan in ("dense", "stream") else None
-    sig = materialise(signatures(spread(docs), cfg, k), "signatures")
+    sig = materialise(signatures(spread(docs) if even else docs, cfg, k, text_key=one_text), "signatures")
+    if one_text:
+        sig, copies = collapse_exact(sig)
     seconds["generation"] = time.time() - began
     began = time.time()
     if plan == "exact_minhash":
@@ -115,8 +115,8 @@ def dedup(docs: DataFrame, cfg: DedupConfig = DedupConfig(), plan: str = "scale"
     results.
     """
     seconds: dict[str, float] = {}
-    corpus = clean(docs, cfg, nfc)
-    pairs = find_pairs(corpus, cfg, plan, verify, reduce, collapse, seconds)
+    corpus = clean(spread(docs), cfg, nfc)
+    pairs = find_pairs(corpus, cfg, plan, verify, reduce, collapse, seconds, even=False)
     began = time.time()
     clusters = materialise(connected_components(pairs.select("u", "v"), components), "clusters")
     decisions = select_survivors(clusters, cfg.keep, corpus, labels)

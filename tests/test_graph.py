@@ -33,6 +33,13 @@ def test_components(spark, name, method):
     assert {r.node: r.component for r in connected_components(edges, method).collect()} == truth(GRAPHS[name])
 
 
+@pytest.mark.parametrize("name", GRAPHS)
+@pytest.mark.parametrize("local_edges", [0, 12])
+def test_rounds_and_the_end_in_one_task_agree(spark, name, local_edges):
+    edges = spark.createDataFrame(GRAPHS[name], "u long, v long")
+    assert {r.node: r.component for r in connected_components(edges, local_edges=local_edges).collect()} == truth(GRAPHS[name])
+
+
 def test_label_propagation(spark):
     edges = spark.createDataFrame(GRAPHS["random"], "u long, v long")
     assert {r.node: r.component for r in connected_components(edges, "label").collect()} == truth(GRAPHS["random"])
@@ -40,7 +47,7 @@ def test_label_propagation(spark):
 
 def test_long_path(spark):
     edges = spark.range(10_000).selectExpr("id AS u", "id + 1 AS v")
-    found = connected_components(edges)
+    found = connected_components(edges, local_edges=0)
     assert found.count() == 10_001 and found.where("component <> 0").count() == 0
 
 
