@@ -2,19 +2,36 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from corpusdedup.functions.hashing import char_grams
+from corpusdedup.plans.shared import fitted, materialise, spread
+
+
+#: Estimated bytes of an item's shingle with its id, for the check before broadcasting.
+ROW_BYTES = 48
 
 
 def contained_items(docs: DataFrame, items: DataFrame, k: int = 5, least: float = 0.8) -> DataFrame:
     """doc_id, item_id, common, total, containment: the share of an item's distinct shingles that a document has.
 
-    The items' shingles are the small side; documents' shingles meet them by an equi-join, and only what meets is counted.
+    A document that has enough of an item lacks at most ``miss`` of its shingles, so of any ``2 miss + 1`` it has more than
+    ``miss``.  Those that are rarest in the corpus are looked up in all documents; only pairs that pass are counted in full, so
+    shingles that every text has meet few rows, and no pair is lost.
     """
-    item = items.select("item_id", F.explode(F.array_distinct(char_grams(F.col("text"), k))).alias("gram"))
+    docs = spread(docs.select("doc_id", "text"))
+    grams = lambda: F.explode(F.array_distinct(char_grams(F.col("text"), k))).alias("gram")
+    item = materialise(items.select("item_id", grams()), "item-grams")
+    known = item.select("gram").distinct()
     total = item.groupBy("item_id").agg(F.count("*").alias("total"))
-    grams = docs.select("doc_id", F.explode(F.array_distinct(char_grams(F.col("text"), k))).alias("gram"))
-    common = grams.join(item, "gram").groupBy("doc_id", "item_id").agg(F.count("*").alias("common"))
+    rarity = docs.select(grams()).join(fitted(materialise(known, "item-vocabulary"), ROW_BYTES), "gram", "left_semi").groupBy("gram").agg(F.count("*").alias("df"))
+    order = Window.partitionBy("item_id").orderBy(F.coalesce("df", F.lit(0)), "gram")
+    miss = F.col("total") - F.ceil(F.col("total") * F.lit(least) - F.lit(1e-9))
+    ranked = item.join(rarity, "gram", "left").join(total, "item_id").select("item_id", "gram", "total", miss.alias("miss"), F.row_number().over(order).alias("rank"))
+    probes = materialise(ranked.withColumn("asked", F.least("total", 2 * F.col("miss") + 1)).where("rank <= asked").select("item_id", "gram", (F.col("asked") - F.col("miss")).alias("need")), "item-probes")
+    met = docs.select("doc_id", grams()).join(fitted(probes, ROW_BYTES), "gram").groupBy("doc_id", "item_id").agg(F.count("*").alias("hits"), F.first("need").alias("need"))
+    pairs = materialise(met.where("hits >= need").select("doc_id", "item_id"), "item-candidates")
+    near = docs.join(fitted(pairs, 16), "doc_id").select("doc_id", "item_id", grams())
+    common = near.join(fitted(item, ROW_BYTES), ["item_id", "gram"]).groupBy("doc_id", "item_id").agg(F.count("*").alias("common"))
     return common.join(total, "item_id").withColumn("containment", F.col("common") / F.col("total")).where(F.col("containment") >= least).select("doc_id", "item_id", "common", "total", "containment")

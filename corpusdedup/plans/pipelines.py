@@ -16,7 +16,7 @@ from corpusdedup.operators.graph import connected_components
 from corpusdedup.operators.normalize import clean
 from corpusdedup.operators.select import apply_dedup, drop_list, select_survivors
 from corpusdedup.operators.signatures import band_rows, signatures
-from corpusdedup.plans.shared import materialise
+from corpusdedup.plans.shared import materialise, spread
 from corpusdedup.plans.store import HashStore, streamed_compare
 
 PLANS = ("dense", "stream", "scale", "cpu_baseline", "gpu_baseline", "exact_minhash", "exact_text", "none")
@@ -44,12 +44,6 @@ class DedupResult:
         return self.corpus.sparkSession.createDataFrame(rows, "run string, phase string, key string, value double")
 
 
-def spread(docs: DataFrame) -> DataFrame:
-    """Over all cores, where a small input comes in fewer splits than there are; large inputs stay as they are."""
-    n = docs.sparkSession.sparkContext.defaultParallelism
-    return docs.repartition(n, "doc_id") if docs.rdd.getNumPartitions() < n else docs
-
-
 def find_pairs(docs: DataFrame, cfg: DedupConfig, plan: str, verify: bool = True, reduce: bool = True, collapse: bool | None = None, seconds: dict[str, float] | None = None, even: bool = True) -> DataFrame:
     """u, v, matches by one of ``PLANS`` over cleaned documents.
 
