@@ -40,7 +40,16 @@ def fitted(table: DataFrame, row_bytes: int, limit: int = BROADCAST_BYTES) -> Da
     return F.broadcast(table) if table.count() * row_bytes <= limit else table
 
 
+#: Estimated bytes a core above which ``spread`` leaves an input as it is.
+SPREAD_BYTES = 16 << 20
+
+
 def spread(docs: DataFrame) -> DataFrame:
-    """Over all cores, where a small input comes in fewer splits than there are; large inputs stay as they are."""
+    """Over all cores, where a small input comes in fewer splits than there are; large inputs stay as they are.
+
+    The estimate of the plan's size comes first: asking for splits runs the shuffles that the input may hold.
+    """
     n = docs.sparkSession.sparkContext.defaultParallelism
+    if int(str(docs._jdf.queryExecution().optimizedPlan().stats().sizeInBytes())) > n * SPREAD_BYTES:
+        return docs
     return docs.repartition(n, "doc_id") if docs.rdd.getNumPartitions() < n else docs
