@@ -31,18 +31,20 @@ LENGTH, REDUNDANCY, RADIUS, GENERATOR = 23, 11, 3, 0b101011100011
 PAIRS_AT_ONCE = 1 << 20
 
 
-def fingerprint(text: bytes, shingle: int = SHINGLE) -> int:
-    """The 64-bit fingerprint of a text: a bit is set if it is set in more than half of the shingles' hashes."""
-    words = text.lower().split()
-    if not words:
-        return 0
+def shingle_hashes(words: list[bytes], shingle: int) -> np.ndarray:
+    """64-bit hashes of all runs of ``shingle`` words; fewer words are one run."""
     joined = b" ".join(words)
     if len(words) <= shingle:
-        return xxhash.xxh64_intdigest(joined, SEED)
+        return np.array([xxhash.xxh64_intdigest(joined, SEED)] if words else [], dtype="<u8")
     ends = np.cumsum(np.fromiter(map(len, words), np.int64, len(words)) + 1) - 1
     starts = np.concatenate(([0], ends[:-1] + 1))
     digest, view = xxhash.xxh64_intdigest, memoryview(joined)
-    hashes = np.array([digest(view[a:b], SEED) for a, b in zip(starts[: 1 - shingle].tolist(), ends[shingle - 1 :].tolist())], dtype="<u8")
+    return np.array([digest(view[a:b], SEED) for a, b in zip(starts[: 1 - shingle].tolist(), ends[shingle - 1 :].tolist())], dtype="<u8")
+
+
+def fingerprint(text: bytes, shingle: int = SHINGLE) -> int:
+    """The 64-bit fingerprint of a text: a bit is set if it is set in more than half of the shingles' hashes."""
+    hashes = shingle_hashes(text.lower().split(), shingle)
     set_bits = np.zeros(64, dtype=np.int64)
     for k in range(0, len(hashes), 1 << 16):
         set_bits += np.unpackbits(hashes[k : k + (1 << 16)].view(np.uint8).reshape(-1, 8), axis=1, bitorder="little").sum(axis=0, dtype=np.int64)
