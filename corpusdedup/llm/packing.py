@@ -32,25 +32,43 @@ PIECE_SCHEMA = "doc_id long, piece int, start long, length long, ids_crc32 long,
 
 @lru_cache(maxsize=2)
 def _encoder(path: str):
-    """The byte-level BPE of a tokenizer file, run by the faster of the two installed engines; ids are those of the file."""
+    """The byte-level BPE of a tokenizer file, with its added tokens, run by the faster of the two installed engines."""
     import json
 
     import tiktoken
 
     with open(path, encoding="utf-8") as f:
-        vocab = json.load(f)["model"]["vocab"]
+        file = json.load(f)
+    vocab = file["model"]["vocab"]
+    added = {t["content"]: t["id"] for t in file["added_tokens"]}
+    if any(t["lstrip"] or t["rstrip"] or t["single_word"] for t in file["added_tokens"]):
+        raise ValueError("added tokens that take in what is around them need the other engine")
     # The file spells bytes as printable characters: those that print stand for themselves, the others follow from 256 on.
     shown = [*range(33, 127), *range(161, 173), *range(174, 256)]
     spelt = {chr(b): b for b in shown} | {chr(256 + k): b for k, b in enumerate(b for b in range(256) if b not in set(shown))}
-    ranks = {bytes(spelt[c] for c in token): i for token, i in vocab.items() if all(c in spelt for c in token) and not token.startswith("<|")}
+    ranks = {bytes(spelt[c] for c in token): i for token, i in vocab.items() if token not in added and all(c in spelt for c in token)}
     import public_tokenizers
 
-    return tiktoken.Encoding(base64.b16encode(path.encode()).decode(), pat_str=public_tokenizers.PATTERN, mergeable_ranks=ranks, special_tokens={})
+    return tiktoken.Encoding(base64.b16encode(path.encode()).decode(), pat_str=public_tokenizers.PATTERN, mergeable_ranks=ranks, special_tokens=added)
+
+
+@lru_cache(maxsize=2)
+def _reference(path: str):
+    """The slower engine, which the file is written for."""
+    from tokenizers import Tokenizer
+
+    return Tokenizer.from_file(path)
 
 
 def encode(text: str, path: str) -> np.ndarray:
-    """Token ids of a text as little-endian unsigned 32-bit numbers, without special tokens."""
-    return _encoder(path).encode_to_numpy(text, disallowed_special=()).astype("<u4", copy=False)
+    """Token ids of a text by the tokenizer file as little-endian unsigned 32-bit numbers; added tokens in the text have their own ids.
+
+    The faster engine fails on very long runs of white space; such a text goes to the other one.
+    """
+    try:
+        return _encoder(path).encode_to_numpy(text, allowed_special="all", disallowed_special=()).astype("<u4", copy=False)
+    except ValueError:
+        return np.array(_reference(path).encode(text, add_special_tokens=False).ids, dtype="<u4")
 
 
 def cut(n: int, capacity: int) -> list[tuple[int, int]]:

@@ -56,6 +56,14 @@ def test_ids_are_those_of_the_tokenizer_file():
         assert encode(text, tokenizer_path()).tolist() == t.encode(text, add_special_tokens=False).ids
 
 
+def test_added_tokens_and_long_white_space_have_the_ids_of_the_file():
+    from tokenizers import Tokenizer
+
+    t = Tokenizer.from_file(tokenizer_path())
+    for text in ("a <|endoftext|> b", "<|endoftext|>", "x  <|endoftext|>  \n y<|endoftext|><|endoftext|>'s", "<|endoftext| >", " " * 1_500_000 + "x", "a\n" + "\t" * 1_200_000 + "<|endoftext|> é"):
+        assert encode(text, tokenizer_path()).tolist() == t.encode(text, add_special_tokens=False).ids
+
+
 def test_round_trip_and_odd_rows(spark):
     rows = [(1, "word " * 3000, "x"), (2, None, "y"), (3, "", "z"), (4, "short text", "p"), (4, "short text", "p"), (5, "word " * 900, None), (None, "no id", "q")]
     docs = spark.createDataFrame(rows, "doc_id long, text string, piece string").selectExpr("*", "1 AS length", "2 AS sequence_id", "3 AS `a.b`")
