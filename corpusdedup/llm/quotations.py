@@ -13,8 +13,8 @@ from pyspark.sql import functions as F
 
 from corpusdedup.plans.shared import fitted, materialise
 
-#: Words that a passage needs to be looked up: shorter ones occur by chance.
-MIN_WORDS = 3
+#: Characters that a paragraph or line inside a longer passage needs to be looked up: shorter ones occur by chance.
+MIN_CHARS = 5
 #: Messages of a conversation that are joined into one text.
 PART = 256
 
@@ -27,11 +27,20 @@ def normalised(text: Column) -> Column:
     return F.trim(F.regexp_replace(F.lower(text), r"[^\p{L}\p{N}]+", " "))
 
 
-def _units(text: Column) -> Column:
-    """The whole passage, its paragraphs and its lines, normalised, with their number of words; short ones left out."""
-    parts = F.concat(F.array(text), F.split(text, r"\n[ \t]*\n"), F.split(text, "\n"))
-    own = F.transform(F.array_distinct(F.transform(parts, normalised)), lambda x: F.struct(F.md5(x).alias("hash"), F.size(F.split(x, " ")).cast("long").alias("words")))
-    return F.filter(own, lambda u: u["words"] >= MIN_WORDS)
+def _units(text: Column, least: int = 0) -> Column:
+    """The whole passage, its paragraphs and its lines, normalised, with their number of characters.
+
+    Paragraphs and lines of fewer than ``least`` characters are left out unless they are the whole.  Where normalising leaves
+    nothing (signs only), the text itself counts, with single spaces.
+    """
+
+    def unit(x: Column) -> Column:
+        plain = normalised(x)
+        kept = F.when(plain != "", plain).otherwise(F.trim(F.regexp_replace(F.lower(x), r"\s+", " ")))
+        return F.struct(F.md5(kept).alias("hash"), F.length(kept).cast("long").alias("chars"), (F.length(plain) >= least).alias("long"))
+
+    parts = F.transform(F.concat(F.array(text), F.split(text, r"\n[ \t]*\n"), F.split(text, "\n")), unit)
+    return F.array_distinct(F.filter(parts, lambda u: (u["chars"] > 0) & (u["long"] | (u["hash"] == parts[0]["hash"]))))
 
 
 def quote_runs(messages: DataFrame) -> DataFrame:
@@ -56,7 +65,7 @@ def link(messages: DataFrame) -> tuple[DataFrame, DataFrame]:
     said = F.array_sort(F.collect_list(F.when(F.col("_level") == 0, F.struct("_run", "_body"))))
     clean = runs.groupBy("_conv", "_turn", "_text").agg(F.regexp_replace(F.array_join(F.transform(said, lambda x: x["_body"]), "\n"), r"^\s+|\s+$", "").alias("_clean"), F.max("_level").cast("int").alias("_levels"))
     clean = materialise(clean, "quote-free")
-    quoted = runs.where("_level > 0").select("_conv", "_turn", "_level", F.explode(_units(F.col("_body"))).alias("_u")).select("_conv", "_turn", "_level", "_u.hash", "_u.words").distinct()
+    quoted = runs.where("_level > 0").select("_conv", "_turn", "_level", F.explode(_units(F.col("_body"), MIN_CHARS)).alias("_u")).select("_conv", "_turn", "_level", "_u.hash", "_u.chars").distinct()
     quoted = materialise(quoted, "quoted")
     wanted = materialise(quoted.select("_conv", "hash").distinct(), "quoted-hashes")
     whole = messages.where("text is not null").select(F.col("conv_id").alias("_conv"), F.col("turn").alias("_turn"), F.xxhash64("text").alias("_text"), "text")
@@ -65,7 +74,7 @@ def link(messages: DataFrame) -> tuple[DataFrame, DataFrame]:
     units = told.select("_conv", "_turn", F.explode(_units(F.col("_own"))).alias("_u")).select("_conv", "_turn", "_u.hash")
     source = units.join(fitted(wanted, 60), ["_conv", "hash"], "left_semi").groupBy("_conv", "hash").agg(F.min("_turn").alias("_source"))
     met = quoted.join(source, ["_conv", "hash"]).where("_source < _turn")
-    weighed = met.groupBy("_conv", "_turn", "_level", "_source").agg(F.sum("words").alias("_w"))
+    weighed = met.groupBy("_conv", "_turn", "_level", "_source").agg(F.sum("chars").alias("_w"))
     best = weighed.groupBy("_conv", "_turn").agg(F.min(F.struct("_level", -F.col("_w"), -F.col("_source"))).alias("_b"))
     return clean, materialise(best.select("_conv", "_turn", (-F.col("_b.col3")).alias("_parent")), "answers")
 

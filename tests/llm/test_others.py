@@ -172,6 +172,14 @@ def test_quotations(spark):
     assert order_replies(df.limit(0)).count() == 0
 
 
+def test_short_quotes_and_scripts_without_spaces(spark):
+    said = ["Shall we go?", "Yes.", "sounds good\nat nine", "我们明天在图书馆见面", "行", "今日は雨です。\n傘を持って行きます", "👍 !", "no\nYes.\nwell then"]
+    quotes = [("> Yes.\nwhy", 1), ("> sounds good\nok", 2), ("> 我们明天在图书馆见面\n好的", 3), ("> 行\n好", 4), ("> 傘を持って行きます\nはい", 5), ("> 👍 !\nthanks", 6), ("> no\n> nobody said this here\nso", None), (">\n> ...\nempty", None)]
+    rows = [(1, k, "a", t) for k, t in enumerate(said)] + [(1, 10 + k, "b", t) for k, (t, _) in enumerate(quotes)]
+    got = {r.turn: (r.parent_turn, r.depth) for r in order_replies(spark.createDataFrame(rows, "conv_id long, turn long, role string, text string")).collect()}
+    assert [got[10 + k] for k in range(len(quotes))] == [(p, int(p is not None)) for _, p in quotes]
+
+
 def test_a_long_conversation_is_cut_in_parts(spark):
     df = spark.range(700).selectExpr("CAST(1 AS LONG) AS conv_id", "id AS turn", "'u' AS role", "if(id % 10 = 9, concat('> message number ', id - 5, ' of this long talk\\nanswer'), concat('message number ', id, ' of this long talk')) AS text")
     got = order_replies(df)
