@@ -186,19 +186,23 @@ def decontaminate(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, s
     held = items.agg(F.sum(F.length("text"))).first()[0] or 0
     passes = -(-held // query_bytes) or 1
     results = []
+    if passes > 1:
+        # Neither doc_id nor text tells rows apart, so passes meet on a row number that is written before the first.
+        numbered = materialise(docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").withColumn("row", F.monotonically_increasing_id()), "numbered")
+        docs = numbered.select(F.col("row").alias("doc_id"), "text")
     for k in range(passes):
         own = [(r["item_id"], bytes(r["text"])) for r in items.where(F.pmod(F.xxhash64("item_id", "text"), F.lit(passes)) == k).toLocalIterator()]
         index = materialise(build_index(docs, list(Phrases(own, window).terms), window + 2 * slop + 2), "postings")
         results.append(search(index, own, window, slop))
     if passes == 1:
         return results[0]
-    # Each pass gives every document one row: a group holds as many rows as there are passes.
+    # Each pass gives every row one row: a group holds as many rows as there are passes.
     every = results[0]
     for r in results[1:]:
         every = every.unionByName(r)
-    together = every.groupBy("doc_id").agg(F.max("n_words").alias("n_words"), F.collect_list("items").alias("i"), F.collect_list("near_items").alias("n"), F.collect_list("hits").alias("h"))
+    together = every.groupBy(F.col("doc_id").alias("row")).agg(F.max("n_words").alias("n_words"), F.collect_list("items").alias("i"), F.collect_list("near_items").alias("n"), F.collect_list("hits").alias("h"))
     merge = F.pandas_udf(_merge_all, "array<int>")
-    return together.select("doc_id", "n_words", F.array_distinct(F.flatten("i")).alias("items"), F.array_distinct(F.flatten("n")).alias("near_items"), merge("h").alias("hits"))
+    return numbered.select("row", "doc_id").join(together, "row").select("doc_id", "n_words", F.array_distinct(F.flatten("i")).alias("items"), F.array_distinct(F.flatten("n")).alias("near_items"), merge("h").alias("hits"))
 
 
 def merged_runs(lists: list[list[int]]) -> list[int]:

@@ -50,6 +50,17 @@ def test_decontamination_is_brute_force(spark, query_bytes):
     assert {r.doc_id for r in D.drop_contaminated(ds, bs).collect()} == {d for d, (_, n, _) in want.items() if not n}
 
 
+@pytest.mark.parametrize("query_bytes", [1 << 20, 40])
+def test_repeated_and_null_ids_keep_their_rows(spark, query_bytes):
+    items = [(k, " ".join(f"i{k}w{j}" for j in range(12))) for k in range(4)]
+    docs = [(1, items[0][1]), (1, items[1][1] + " x"), (1, "clean"), (None, items[2][1] + " y z"), (None, "clean too"), (None, None), (2, items[3][1]), (2, items[3][1])]
+    ds = spark.createDataFrame(docs, "doc_id long, text string").selectExpr("*", "1 AS row")
+    got = D.decontaminate(ds, spark.createDataFrame(items, "item_id long, text string"), query_bytes=query_bytes)
+    rows = [(r.doc_id, r.n_words, r.n, r["items"]) for r in got.select("doc_id", "n_words", D.n_hit("hits").alias("n"), "items").collect()]
+    want = [(1, 12, 12, [0]), (1, 13, 12, [1]), (1, 1, 0, []), (None, 14, 12, [2]), (None, 2, 0, []), (None, 0, 0, []), (2, 12, 12, [3]), (2, 12, 12, [3])]
+    assert sorted(rows, key=str) == sorted(want, key=str)
+
+
 def test_proximity_and_the_whole_index(spark):
     item = "one two three four five six seven eight nine ten"
     near = item.replace("four five", "four extra five")
