@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import re
 import zlib
 
 import numpy as np
@@ -15,12 +16,30 @@ _MIX = {2: 0x9E3779B1, 3: 0x85EBCA77, 4: 0xC2B2AE3D}
 def tokens(texts: list[bytes]) -> tuple[np.ndarray, list[bytes], np.ndarray]:
     """(number of each word, the distinct words, words in each text): words are what ASCII white space separates."""
     known: dict[bytes, int] = {}
-    parts, counts = [], np.zeros(len(texts), dtype=np.int64)
-    for k, t in enumerate(texts):
-        found = t.split()
-        counts[k] = len(found)
+    parts = [word_numbers(t, known) for t in texts]
+    return (np.concatenate(parts) if parts else np.zeros(0, np.int32)), list(known), np.fromiter(map(len, parts), np.int64, len(parts))
+
+
+#: Bytes of a text that are split at once.
+PIECE = 1 << 18
+_BLANK = re.compile(rb"[ \t\n\x0b\x0c\r]")
+
+
+def word_numbers(text: bytes, known: dict[bytes, int]) -> np.ndarray:
+    """The number of each word of a text; ``known`` numbers the distinct words and takes in new ones.
+
+    Long texts are split piece by piece between words, so that their words are never all held as objects.
+    """
+    parts, begin = [], 0
+    while begin < len(text):
+        end = min(len(text), begin + PIECE)
+        if end < len(text):
+            blank = _BLANK.search(text, end)
+            end = blank.start() if blank else len(text)
+        found = text[begin:end].split()
         parts.append(np.fromiter((known.setdefault(w, len(known)) for w in found), np.int32, len(found)))
-    return (np.concatenate(parts) if parts else np.zeros(0, np.int32)), list(known), counts
+        begin = end
+    return np.concatenate(parts) if len(parts) > 1 else parts[0] if parts else np.zeros(0, np.int32)
 
 
 class Features:
