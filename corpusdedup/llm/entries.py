@@ -25,11 +25,14 @@ def op7_best_fit_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op1_weak_supervision_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
-    from corpusdedup.llm.pii import KINDS, find, joined
+    from corpusdedup.llm.pii import KINDS, SECRET, find, joined
 
-    of = lambda kind: F.size(F.filter("base", lambda s: s["kind"] == kind)).cast("long").alias(f"n_{kind}")
+    of = lambda kind, column: F.size(F.filter(column, lambda s: s["kind"] == kind)).cast("long").alias(f"n_{kind}")
     found = find(documents(spark, sf_dir))
-    return found.select("doc_id", *map(of, KINDS), F.sha2(joined("base"), 256).alias("base_sha256"), joined("spans").alias("spans"))
+    return found.select(
+        "doc_id", *[of(k, "base") for k in KINDS[:SECRET]], F.sha2(joined("base"), 256).alias("base_sha256"), joined("spans").alias("spans"),
+        of(KINDS[SECRET], "spans"), F.size("spans").cast("long").alias("n_spans"), (F.size("spans") > 0).alias("found"),
+    )
 
 
 def op2_line_crf_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
