@@ -9,7 +9,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from corpusdedup.plans.shared import materialise, shared_dir  # noqa: F401
+from corpusdedup.plans.shared import fitted, materialise, shared_dir  # noqa: F401
 
 #: Bytes of text that an Arrow operator holds at once, besides a single longer text.
 SLICE_BYTES = 4 << 20
@@ -39,23 +39,34 @@ def _buffer(x):
     return x.as_buffer() if x.is_valid else None
 
 
+def thinned(rows: DataFrame, per_label: int, salt: str, *key: str) -> DataFrame:
+    """Of the rows of each ``label`` about twice ``per_label``, or all if there are fewer, by a hash of their key; with the hash as ``_at``."""
+    own = rows.withColumn("_at", F.pmod(F.xxhash64(*key, F.lit(salt)), F.lit(1 << 30)))
+    draw = F.lit(False)
+    for r in rows.groupBy("label").count().collect():  # a row for each label
+        draw = draw | ((F.col("label") == r["label"]) & (F.col("_at") < int((1 << 30) * min(1.0, 2 * per_label / r["count"])) + 1))
+    return own.where(draw)
+
+
 def bounded_draw(rows: DataFrame, per_label: int, bytes_each: int, salt: str) -> list[tuple[int, str, bytes]]:
     """(doc_id, label, text) of a draw from rows of these columns: of each label at most so many rows and bytes of text.
 
-    Rows are drawn by a hash of all their columns, however many share a doc_id; a text above the bound of bytes is not drawn.  Sorted.
+    Rows are drawn by a hash of id and text; those above the bound of bytes are not drawn.  Sorted.
     """
-    at = F.pmod(F.xxhash64("doc_id", "text", F.lit(salt)), F.lit(1 << 30))
-    own = rows.where(F.octet_length("text") <= bytes_each).withColumn("_at", at)
-    draw = F.lit(False)
-    for r in own.groupBy("label").count().collect():  # a row for each label
-        # Twice as many as asked for, of which the first by hash are taken: enough, but for a chance in billions.
-        draw = draw | ((F.col("label") == r["label"]) & (F.col("_at") < int((1 << 30) * min(1.0, 2 * per_label / r["count"])) + 1))
+    some = thinned(rows.where(F.octet_length("text") <= bytes_each), per_label, salt, "doc_id", "text")
     first = Window.partitionBy("label").orderBy("_at", "doc_id").rowsBetween(Window.unboundedPreceding, 0)
-    some = own.where(draw).withColumn("_n", F.count("*").over(first)).withColumn("_bytes", F.sum(F.octet_length("text")).over(first))
+    some = some.withColumn("_n", F.count("*").over(first)).withColumn("_bytes", F.sum(F.octet_length("text")).over(first))
     found = some.where((F.col("_n") <= per_label) & (F.col("_bytes") <= bytes_each)).select("doc_id", "label", "text").collect()
     return sorted(((r["doc_id"], r["label"], bytes(r["text"])) for r in found), key=lambda r: (r[0] is None, r[0] or 0, r[1], r[2]))
 
 
+def marked_draw(docs: DataFrame, marked: DataFrame, per_label: int, bytes_each: int, salt: str) -> list[tuple[int, str, bytes]]:
+    """The same from documents whose labels are in a table of their own (doc_id, label): ids are thinned before texts are looked at."""
+    some = materialise(thinned(marked, per_label, salt, "doc_id").drop("_at"), "marked")
+    texts = docs.where("text is not null").select(F.col("doc_id").cast("long").alias("doc_id"), text_bytes().alias("text"))
+    return bounded_draw(materialise(texts.join(fitted(some, 16), "doc_id"), "marked-texts"), per_label, bytes_each, salt)
+
+
 def portable_unit(key: Column, salt: int) -> Column:
     """A number in (0, 1) fixed by the key: what a sample by rank is drawn with."""
     return (F.pmod(F.xxhash64(key, F.lit(salt)), F.lit(1 << 52)) + F.lit(0.5)) / F.lit(float(1 << 52))

@@ -3,24 +3,35 @@
 Plain counts of a text decide what fails outright.  For the rest a linear-chain conditional random field labels the lines of
 a document as content or boilerplate: Viterbi decoding picks the best sequence of labels, and the share of words in content
 lines decides whether the document stays.
+
+Nobody marked lines, only documents.  So the labels of lines are latent: training starts from each document's mark, with lines
+that recur between unlike neighbours as boilerplate, and goes on by expectation-maximisation, in which a document's mark only
+bounds the share of words that its content lines may have.
 """
 
 from __future__ import annotations
 
+import zlib
 from collections.abc import Iterable, Iterator
-from dataclasses import dataclass
+from dataclasses import dataclass, field
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from corpusdedup.llm.common import slices, text_bytes
+from corpusdedup.llm.common import marked_draw, slices, text_bytes
 from corpusdedup.llm.language import marginals
 from corpusdedup.llm.subword import tokens
 
-#: Labelled documents drawn of each label (about).
-PER_LABEL = 1500
+#: Labelled documents drawn of each label, and bytes of their texts, at most.
+PER_LABEL, BYTES_PER_LABEL = 1500, 4 << 20
+#: Least share of content words that a document marked good is taken to have, and the largest of one marked bad.
+GOOD_SHARE, BAD_SHARE = 0.6, 0.2
+#: Unlike lines before it that make a line recurrent, in the documents learned from.
+NEIGHBOURS = 3
+#: Bytes of text that a task works on at once, besides a single longer text.
+SLICE = 1 << 20
 MIN_WORDS, MAX_REPEAT_PERCENT = 50, 50
 MIN_CONTENT = 0.5
 SYMBOLS = b"#*$%&|<>"
@@ -78,6 +89,7 @@ class Lines:
     """The lines with words of a batch of texts, as features, and the plain counts of each text."""
 
     features: np.ndarray  # lines x features
+    hashes: np.ndarray  # of each line
     words: np.ndarray  # of each line
     per_text: np.ndarray  # lines of each text
     n_words: np.ndarray
@@ -89,6 +101,7 @@ class Lines:
 
 def read_lines(texts: list[bytes]) -> Lines:
     lines: list[bytes] = []
+    hashes: list[int] = []
     copy: list[bool] = []
     per_text, dup = np.zeros(len(texts), np.int64), np.zeros(len(texts), np.int64)
     for k, t in enumerate(texts):
@@ -97,7 +110,7 @@ def read_lines(texts: list[bytes]) -> Lines:
             if x and not x.isspace():
                 again = x in seen
                 seen.add(x)
-                lines.append(x), copy.append(again)
+                lines.append(x), copy.append(again), hashes.append(zlib.crc32(x) << 32 | zlib.adler32(x))
                 per_text[k] += 1
                 dup[k] += again
     ids, distinct, in_line = tokens(lines)
@@ -106,7 +119,7 @@ def read_lines(texts: list[bytes]) -> Lines:
     n_words = per(in_line)
     if not len(ids):
         zero = np.zeros(len(texts), np.int64)
-        return Lines(np.zeros((0, 12)), in_line, per_text, n_words, zero, zero, dup, zero)
+        return Lines(np.zeros((0, 12)), np.zeros(0, np.uint64), in_line, per_text, n_words, zero, zero, dup, zero)
     ends = np.cumsum(in_line)
     line = lambda each: (c := np.concatenate(([0], np.cumsum(each[ids]))))[ends] - c[ends - in_line]
     chars, symbols = _byte_sums(distinct, _STARTS_CHARACTER), _byte_sums(distinct, _IS_SYMBOL)
@@ -135,7 +148,7 @@ def read_lines(texts: list[bytes]) -> Lines:
         ],
         axis=1,
     ).astype(np.float64)
-    return Lines(features, in_line, per_text, n_words, per(line_chars), per(line_symbols), dup, repeated_words(ids, n_words, len(distinct)))
+    return Lines(features, np.array(hashes, dtype=np.uint64), in_line, per_text, n_words, per(line_chars), per(line_symbols), dup, repeated_words(ids, n_words, len(distinct)))
 
 
 def viterbi(unary: np.ndarray, lengths: np.ndarray, transitions: np.ndarray) -> np.ndarray:
@@ -166,49 +179,87 @@ def viterbi(unary: np.ndarray, lengths: np.ndarray, transitions: np.ndarray) ->
 
 @dataclass
 class LineCrf:
-    weights: np.ndarray  # features x labels: boilerplate, content
+    weights: np.ndarray  # features x labels: boilerplate, content; the last feature is that a line is recurrent
     transitions: np.ndarray
+    recurrent: np.ndarray = field(default_factory=lambda: np.zeros(0, np.uint64))  # hashes, ascending
+
+    def seen(self, lines: Lines) -> np.ndarray:
+        if not len(self.recurrent):
+            return np.zeros(len(lines.hashes), bool)
+        at = np.searchsorted(self.recurrent, lines.hashes)
+        return self.recurrent[np.minimum(at, len(self.recurrent) - 1)] == lines.hashes
+
+    def unary(self, lines: Lines) -> np.ndarray:
+        return np.column_stack((lines.features, self.seen(lines))) @ self.weights
 
     def content(self, lines: Lines) -> np.ndarray:
-        return viterbi(lines.features @ self.weights, lines.per_text, self.transitions) == 1
+        return viterbi(self.unary(lines), lines.per_text, self.transitions) == 1
+
+
+def recurrent_lines(lines: Lines, least: int = NEIGHBOURS) -> np.ndarray:
+    """Hashes of the lines that stand after ``least`` unlike lines or more; copies of a document, whose lines have the same neighbours, make none."""
+    begins = np.cumsum(lines.per_text) - lines.per_text
+    before = np.concatenate((np.zeros(1, np.uint64), lines.hashes[:-1])) if len(lines.hashes) else lines.hashes
+    inner = np.ones(len(before), dtype=bool)
+    inner[begins[lines.per_text > 0]] = False
+    pairs = np.unique(np.stack((lines.hashes[inner], before[inner]), axis=1), axis=0)
+    own, count = np.unique(pairs[:, 0], return_counts=True)
+    return own[count >= least]
 
 
-def train(texts: list[bytes], labels: list[int], steps: int = 300, rate: float = 0.2) -> LineCrf:
-    """Adaptive gradient descent on the likelihood; a line's label is its document's quality mark (1: content)."""
+def within_marks(unary: np.ndarray, lines: Lines, marks: np.ndarray, transitions: np.ndarray, halvings: int = 10) -> tuple[np.ndarray, np.ndarray]:
+    """Lines' distributions and expected transitions, each document's scores shifted as little as its mark's share of content words asks for."""
+    doc = np.repeat(np.arange(len(marks)), lines.per_text)
+    share = lambda p: np.bincount(doc, p[:, 1] * lines.words, len(marks)) / np.maximum(lines.n_words, 1)
+    fits = lambda p: np.where(marks == 1, share(p) >= GOOD_SHARE, share(p) <= BAD_SHARE)
+
+    def shifted(by: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        own = unary.copy()
+        own[:, 1] += (by * np.where(marks == 1, 1, -1))[doc]
+        return marginals(own, lines.per_text, transitions)
+
+    least, most = np.zeros(len(marks)), np.where(fits(shifted(np.zeros(len(marks)))[0]), 0.0, 30.0)
+    for _ in range(halvings):
+        middle = (least + most) / 2
+        good = fits(shifted(middle)[0])
+        least, most = np.where(good, least, middle), np.where(good, middle, most)
+    return shifted(most)
+
+
+def train(texts: list[bytes], labels: list[int], rounds: int = 4, steps: int = 80, rate: float = 0.2) -> LineCrf:
+    """Rounds of adaptive gradient descent on the likelihood of the lines' labels, which are then estimated anew (see above)."""
     lines = read_lines(texts)
-    crf = LineCrf(np.zeros((lines.features.shape[1], 2)), np.zeros((2, 2)))
-    y = np.repeat(np.array(labels, dtype=np.int64), lines.per_text)
+    crf = LineCrf(np.zeros((lines.features.shape[1] + 1, 2)), np.zeros((2, 2)))
+    marks = np.array(labels, dtype=np.int64)
+    y = np.repeat(marks, lines.per_text)
     if not len(y) or len(set(y.tolist())) < 2:
         crf.weights[0, 1] = 1.0  # nothing to learn from: all is content
         return crf
-    # Both labels weigh the same, whatever their number of lines.
-    weight = (len(y) / 2 / np.bincount(y, minlength=2))[y][:, None]
-    seen = np.zeros((2, 2))
+    crf.recurrent = recurrent_lines(lines)
+    x = np.column_stack((lines.features, crf.seen(lines)))
+    gold = np.eye(2)[np.where(crf.seen(lines), 0, y)]
     inner = np.ones(len(y), dtype=bool)
     inner[(np.cumsum(lines.per_text) - lines.per_text)[lines.per_text > 0]] = False
     at = np.flatnonzero(inner)
-    np.add.at(seen, (y[at - 1], y[at]), 1)
-    past = [np.full_like(crf.weights, 1e-6), np.full_like(crf.transitions, 1e-6)]
-    gold = np.eye(2)[y]
-    for _ in range(steps):
-        p, expected = marginals(lines.features @ crf.weights, lines.per_text, crf.transitions)
-        for x, g, g2 in ((crf.weights, lines.features.T @ ((p - gold) * weight) / len(y) + 1e-4 * crf.weights, past[0]), (crf.transitions, (expected - seen) / len(y) + 0.05 * crf.transitions, past[1])):
-            g2 += g * g
-            x -= rate * g / np.sqrt(g2)
+    seen = gold[at - 1].T @ gold[at]
+    for k in range(rounds):
+        past = [np.full_like(crf.weights, 1e-6), np.full_like(crf.transitions, 1e-6)]
+        # Both labels weigh the same, whatever their number of lines.
+        weight = (gold / gold.sum(axis=0)).sum(axis=1, keepdims=True) * len(y) / 2
+        for _ in range(steps):
+            p, expected = marginals(x @ crf.weights, lines.per_text, crf.transitions)
+            for own, g, g2 in ((crf.weights, x.T @ ((p - gold) * weight) / len(y) + 1e-4 * crf.weights, past[0]), (crf.transitions, (expected - seen) / len(y) + 0.05 * crf.transitions, past[1])):
+                g2 += g * g
+                own -= rate * g / np.sqrt(g2)
+        if k < rounds - 1:
+            gold, seen = within_marks(x @ crf.weights, lines, marks, crf.transitions)
     return crf
 
 
-def fit(docs: DataFrame, labels: DataFrame, per_label: int = PER_LABEL) -> LineCrf:
-    """Train on about ``per_label`` documents of each quality mark."""
-    marked = labels.where(F.col("quality").isin(0, 1)).select(F.col("doc_id").cast("long").alias("doc_id"), F.col("quality").cast("int").alias("quality"))
-    held = {r["quality"]: r["count"] for r in marked.groupBy("quality").count().collect()}
-    at = F.pmod(F.xxhash64("doc_id", F.lit("lines")), F.lit(1 << 30))
-    draw = F.lit(False)
-    for label, n in held.items():
-        draw = draw | ((F.col("quality") == label) & (at < int((1 << 30) * min(1.0, per_label / n)) + 1))
-    # About 2 x per_label rows, whatever the corpus.
-    rows = docs.where("text is not null").select(F.col("doc_id").cast("long").alias("doc_id"), text_bytes().alias("text")).join(F.broadcast(marked.where(draw)), "doc_id").collect()
-    rows = sorted((r["doc_id"], r["quality"], bytes(r["text"])) for r in rows)
+def fit(docs: DataFrame, labels: DataFrame, per_label: int = PER_LABEL, bytes_each: int = BYTES_PER_LABEL) -> LineCrf:
+    """Train on a draw of each quality mark: at most so many documents and bytes of text."""
+    marked = labels.where(F.col("quality").isin(0, 1)).select(F.col("doc_id").cast("long").alias("doc_id"), F.col("quality").cast("int").alias("label"))
+    rows = marked_draw(docs, marked, per_label, bytes_each, "lines")
     return train([t for *_, t in rows], [q for _, q, _ in rows])
 
 
@@ -221,9 +272,12 @@ def judge(docs: DataFrame, crf: LineCrf, min_content: float = MIN_CONTENT, min_w
     """
     schema = "doc_id long, n_words long, word_chars long, n_symbols long, n_dup_lines long, n_repeat_words long, base_failed boolean, kept boolean, n_lines long, n_content_lines long, content_share double"
 
+    shared = docs.sparkSession.sparkContext.broadcast(crf)
+
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        crf = shared.value
         for batch in batches:
-            for part in slices(batch, "text"):
+            for part in slices(batch, "text", SLICE):
                 x = read_lines(part.column(1).to_pylist())
                 content = crf.content(x)
                 stop = np.cumsum(x.per_text)

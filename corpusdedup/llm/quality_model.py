@@ -1,8 +1,9 @@
 """Quality classifier on supervised subword embeddings.
 
-Words and their character n-grams have hashed vectors; a word's vector is the mean of its features', a document's the mean
-of its words'; a word that repeats the one before it adds the vector of that event, the one word pair that is told from all
-others.  A softmax over two labels follows.  All is learned by stochastic gradient descent in numpy.  Since the output
+Words, their character n-grams and pairs of neighbouring words have hashed vectors; a word's vector is the mean of its
+features', a document's the mean of its words' and that of its pairs'.  A softmax over two labels follows.  A pair hashes as
+the exclusive or of its words' hashes, so order doesn't count, and all pairs of a word with itself share one vector.  All is
+learned by stochastic gradient descent in numpy.  Since the output
 is linear in the document's vector, a feature's share of the margin is one number, which is all that scoring needs.
 """
 
@@ -16,20 +17,22 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from corpusdedup.llm.common import slices, text_bytes
+from corpusdedup.llm.common import marked_draw, slices, text_bytes
 from corpusdedup.llm.language import fold
 from corpusdedup.llm.subword import BUCKETS, Features, tokens
 
-#: Labelled documents drawn of each label (about), and the size of a vector.
-PER_LABEL, WIDTH = 2000, 8
+#: Labelled documents drawn of each label, and bytes of their texts, at most; the size of a vector.
+PER_LABEL, BYTES_PER_LABEL, WIDTH = 2000, 6 << 20, 8
 THRESHOLD = 0.7
+#: Bytes of text that a task works on at once, besides a single longer text.
+SLICE = 1 << 20
 
 
 @dataclass
 class Scorer:
     grams: np.ndarray  # a feature's share of the margin between the labels
     words: np.ndarray
-    again: float  # share of a word that repeats the one before
+    pairs: np.ndarray
     bias: float
 
     def scores(self, texts: list[bytes]) -> np.ndarray:
@@ -38,23 +41,28 @@ class Scorer:
         if len(ids):
             feats = Features(distinct)
             each = feats.sums(self.grams, self.words) / feats.number
-            before = np.concatenate(([0.0], np.cumsum(each[ids])))
-            ends = np.cumsum(counts)
-            margin = (before[ends] - before[ends - counts]) / np.maximum(counts, 1) + self.again * repeats(ids, counts)
+            margin = means(each[ids], counts)
+            bucket, of = pairs(feats.word[ids], counts)
+            margin += means(self.pairs[bucket], np.bincount(of, minlength=len(texts)))
         return 1 / (1 + np.exp(-np.clip(margin + self.bias, -700, 700)))
 
 
-def repeats(ids: np.ndarray, counts: np.ndarray) -> np.ndarray:
-    """Share of each text's words that equal the word before."""
-    same = np.concatenate(([False], ids[1:] == ids[:-1])) if len(ids) else np.zeros(0, bool)
+def means(values: np.ndarray, counts: np.ndarray) -> np.ndarray:
+    """Mean of each run of so many values, 0 for an empty one."""
+    before = np.concatenate(([0.0], np.cumsum(values)))
     ends = np.cumsum(counts)
-    same[(ends - counts)[counts > 0]] = False
-    before = np.concatenate(([0], np.cumsum(same)))
     return (before[ends] - before[ends - counts]) / np.maximum(counts, 1)
 
 
-def _bags(texts: list[bytes]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Features of each text and their weights: n-grams, then words, then the repeated word, each shifted by the buckets before."""
+def pairs(hashes: np.ndarray, counts: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """(bucket, text) of every two neighbouring words of a text, given their hashes."""
+    of = np.repeat(np.arange(len(counts)), counts)
+    both = of[1:] == of[:-1]
+    return (hashes[1:] ^ hashes[:-1])[both], of[1:][both]
+
+
+def _bags(texts: list[bytes], paired: bool) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Features of each text and their weights: n-grams, then words, then pairs, each shifted by the buckets before."""
     which, weights, sizes = [], [], []
     for t in texts:
         ids, distinct, count = tokens([t])
@@ -65,22 +73,26 @@ def _bags(texts: list[bytes]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
         feats = Features(distinct)
         share = share / feats.number
         w, b = feats.pairs()
-        own, at = np.unique(np.concatenate((b, feats.word + BUCKETS)), return_inverse=True)
-        which.append(np.append(own, 2 * BUCKETS)), weights.append(np.append(np.bincount(at, np.concatenate((share[w], share))), repeats(ids, count))), sizes.append(len(own) + 1)
+        two = pairs(feats.word[ids], count)[0] if paired else np.zeros(0, np.int32)
+        own, at = np.unique(np.concatenate((b, feats.word + BUCKETS, two + 2 * BUCKETS)), return_inverse=True)
+        which.append(own), weights.append(np.bincount(at, np.concatenate((share[w], share, np.full(len(two), 1 / max(1, len(two))))))), sizes.append(len(own))
     cat = lambda x: np.concatenate(x) if x else np.zeros(0)
     return cat(which).astype(np.int64), cat(weights), np.array(sizes, dtype=np.int64)
 
 
-def train(texts: list[bytes], labels: list[int], width: int = WIDTH, epochs: int = 8, batch: int = 64, rate: float = 2.0, seed: int = 3) -> Scorer:
-    """Minibatch stochastic gradient descent on the softmax loss; the rate falls linearly to zero."""
+def train(texts: list[bytes], labels: list[int], width: int = WIDTH, epochs: int = 8, batch: int = 64, rate: float = 2.0, seed: int = 3, paired: bool = True) -> Scorer:
+    """Minibatch stochastic gradient descent on the softmax loss; the rate falls linearly to zero.
+
+    Without ``paired``, pairs of words are left out.
+    """
     rng = np.random.default_rng(seed)
     y = np.array(labels, dtype=np.int64)
     if len(set(labels)) < 2:
         only = float(np.mean(y)) if len(y) else 0.5
-        return Scorer(np.zeros(BUCKETS), np.zeros(BUCKETS), 0.0, float(np.clip(np.log((only + 1e-3) / (1 - only + 1e-3)), -7, 7)))
-    which, weights, sizes = _bags(texts)
+        return Scorer(np.zeros(BUCKETS), np.zeros(BUCKETS), np.zeros(BUCKETS), float(np.clip(np.log((only + 1e-3) / (1 - only + 1e-3)), -7, 7)))
+    which, weights, sizes = _bags(texts, paired)
     starts = np.cumsum(sizes) - sizes
-    vectors = ((rng.random((2 * BUCKETS + 1, width)) - 0.5) / width).astype(np.float32)
+    vectors = ((rng.random((3 * BUCKETS, width)) - 0.5) / width).astype(np.float32)
     out, bias = np.zeros((width, 2)), np.zeros(2)
     steps = epochs * -(-len(y) // batch)
     done = 0
@@ -109,22 +121,16 @@ def train(texts: list[bytes], labels: list[int], width: int = WIDTH, epochs: int
             vectors[own] -= (lr * g).astype(np.float32)
             done += 1
     shares = vectors @ (out[:, 1] - out[:, 0])
-    return Scorer(shares[:BUCKETS].astype(np.float64), shares[BUCKETS:-1].astype(np.float64), float(shares[-1]), float(bias[1] - bias[0]))
-
-
-def fit(docs: DataFrame, labels: DataFrame, learn: Column, per_label: int = PER_LABEL) -> Scorer:
-    """Train on about ``per_label`` documents of each label among the labelled rows for which ``learn`` holds."""
-    marked = labels.where(learn & F.col("quality").isin(0, 1)).select(F.col("doc_id").cast("long").alias("doc_id"), F.col("quality").cast("int").alias("quality"))
-    held = {r["quality"]: r["count"] for r in marked.groupBy("quality").count().collect()}
-    at = F.pmod(F.xxhash64("doc_id", F.lit("quality")), F.lit(1 << 30))
-    draw = F.lit(False)
-    for label, n in held.items():
-        draw = draw | ((F.col("quality") == label) & (at < int((1 << 30) * min(1.0, per_label / n)) + 1))
-    drawn = marked.where(draw)
-    # About 2 x per_label rows, whatever the corpus.
-    rows = docs.where("text is not null").select(F.col("doc_id").cast("long").alias("doc_id"), text_bytes().alias("text")).join(F.broadcast(drawn), "doc_id").collect()
-    rows = sorted((r["doc_id"], r["quality"], bytes(r["text"])) for r in rows)
-    scorer = train([t for *_, t in rows], [q for _, q, _ in rows])
+    grams, words, two = shares.astype(np.float64).reshape(3, BUCKETS)
+    return Scorer(grams, words, two if paired else np.zeros(BUCKETS), float(bias[1] - bias[0]))
+
+
+def fit(docs: DataFrame, labels: DataFrame, learn: Column, per_label: int = PER_LABEL, bytes_each: int = BYTES_PER_LABEL, paired: bool = True) -> Scorer:
+    """Train on a draw of each label among the labelled rows for which ``learn`` holds: at most so many documents and bytes of text."""
+    marked = labels.where(learn & F.col("quality").isin(0, 1)).select(F.col("doc_id").cast("long").alias("doc_id"), F.col("quality").cast("int").alias("label"))
+    held = {r["label"]: r["count"] for r in marked.groupBy("label").count().collect()}  # two rows
+    rows = marked_draw(docs, marked, per_label, bytes_each, "quality")
+    scorer = train([t for *_, t in rows], [q for _, q, _ in rows], paired=paired)
     if len(held) == 2 and len({q for _, q, _ in rows}) == 2:  # the draw evened the labels out
         drawn_ones = sum(q for _, q, _ in rows)
         scorer.bias += float(np.log(held[1] / held[0]) - np.log(drawn_ones / (len(rows) - drawn_ones)))
@@ -133,11 +139,12 @@ def fit(docs: DataFrame, labels: DataFrame, learn: Column, per_label: int = PER_
 
 def score(docs: DataFrame, scorer: Scorer) -> DataFrame:
     """doc_id and score of each whole text."""
+    shared = docs.sparkSession.sparkContext.broadcast(scorer)
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for part in slices(batch, "text"):
-                yield pa.RecordBatch.from_arrays([part.column(0), pa.array(scorer.scores(part.column(1).to_pylist()))], names=["doc_id", "score"])
+            for part in slices(batch, "text", SLICE):
+                yield pa.RecordBatch.from_arrays([part.column(0), pa.array(shared.value.scores(part.column(1).to_pylist()))], names=["doc_id", "score"])
 
     return docs.select(F.col("doc_id").cast("long").alias("doc_id"), text_bytes().alias("text")).mapInArrow(run, "doc_id long, score double")
 
