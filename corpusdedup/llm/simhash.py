@@ -29,6 +29,10 @@ THRESHOLD = 2
 LENGTH, REDUNDANCY, RADIUS, GENERATOR = 23, 11, 3, 0b101011100011
 #: Comparisons held at once.
 PAIRS_AT_ONCE = 1 << 20
+#: Fingerprints at home at an anchor above which its group is cut.
+CROWD = 4096
+#: A fingerprint of more than one in so many rows is joined apart from the others.
+HOT_SHARE = 1000
 
 
 def shingle_hashes(words: list[bytes], shingle: int) -> np.ndarray:
@@ -91,6 +95,15 @@ def _code(threshold: int):
     return low, high, tables
 
 
+def home_anchors(x: np.ndarray, threshold: int = THRESHOLD) -> np.ndarray:
+    """The one anchor within the radius of each fingerprint."""
+    low, high, tables = _code(threshold)
+    nearest = np.array([e[int(np.flatnonzero(over == 0)[0])] for e, over in tables], dtype=np.int64)
+    mask = (1 << LENGTH) - 1
+    a, b = x & mask, (x >> LENGTH) & mask
+    return (a ^ nearest[low[a & 4095] ^ high[a >> 12]]) | ((b ^ nearest[low[b & 4095] ^ high[b >> 12]]) << LENGTH)
+
+
 def replicas(x: np.ndarray, threshold: int = THRESHOLD) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """(index into x, anchor, is it home) for every anchor that a fingerprint goes to."""
     low, high, tables = _code(threshold)
@@ -109,21 +122,21 @@ def replicas(x: np.ndarray, threshold: int = THRESHOLD) -> tuple[np.ndarray, np.
     return cat(index, np.int64), cat(anchor, np.int64), cat(home, bool)
 
 
-def matches(anchor: np.ndarray, fp: np.ndarray, home: np.ndarray, threshold: int) -> tuple[np.ndarray, np.ndarray]:
-    """Links between homes and visitors of equal anchor; the rows are sorted by anchor."""
-    first = np.flatnonzero(np.concatenate(([True], anchor[1:] != anchor[:-1])))
-    size = np.diff(np.concatenate((first, [len(anchor)])))
-    group = np.repeat(np.arange(len(first)), size)
-    h = np.flatnonzero(home & (size[group] > 1))
+def matches(group: np.ndarray, fp: np.ndarray, home: np.ndarray, threshold: int) -> tuple[np.ndarray, np.ndarray]:
+    """Links between homes and visitors of equal group; the rows are sorted by group."""
+    first = np.flatnonzero(np.concatenate(([True], group[1:] != group[:-1])))
+    size = np.diff(np.concatenate((first, [len(group)])))
+    number = np.repeat(np.arange(len(first)), size)
+    h = np.flatnonzero(home & (size[number] > 1))
     u, v = [], []
-    each = size[group[h]]
+    each = size[number[h]]
     stops = np.cumsum(each)
     lo = 0
     while lo < len(h):
         hi = max(lo + 1, int(np.searchsorted(stops, (stops[lo - 1] if lo else 0) + PAIRS_AT_ONCE, "right")))
         own, n = h[lo:hi], each[lo:hi]
         left = np.repeat(own, n)
-        right = np.arange(int(n.sum())) - np.repeat(np.cumsum(n) - n, n) + np.repeat(first[group[own]], n)
+        right = np.arange(int(n.sum())) - np.repeat(np.cumsum(n) - n, n) + np.repeat(first[number[own]], n)
         x, y = fp[left], fp[right]
         near = (np.bitwise_count((x ^ y).view(np.uint64)) <= threshold) & (x != y)
         u.append(x[near]), v.append(y[near])
@@ -131,10 +144,22 @@ def matches(anchor: np.ndarray, fp: np.ndarray, home: np.ndarray, threshold: int
     return (np.concatenate(u), np.concatenate(v)) if u else (fp[:0], fp[:0])
 
 
-def links(nodes: DataFrame, threshold: int = THRESHOLD) -> DataFrame:
+def crowded_anchors(nodes: DataFrame, threshold: int = THRESHOLD, crowd: int = CROWD) -> DataFrame:
+    """The anchors at which more than ``crowd`` fingerprints are at home: at most one in so many fingerprints has one."""
+
+    def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            yield pa.RecordBatch.from_arrays([pa.array(home_anchors(batch.column(0).to_numpy(zero_copy_only=False), threshold))], names=["anchor"])
+
+    return nodes.select("fingerprint").mapInArrow(run, "anchor long").groupBy("anchor").count().where(F.col("count") > crowd).select("anchor")
+
+
+def links(nodes: DataFrame, threshold: int = THRESHOLD, crowd: int = CROWD) -> DataFrame:
     """Edges (u, v) that connect what pairs of distinct fingerprints within ``threshold`` bits connect.
 
-    Each task reduces the links that it finds to a spanning forest, so a dense group leaves fewer edges than members.
+    The group of a crowded anchor is cut by the bits that anchors don't cover: they fall into one segment more than
+    ``threshold``, so two linked fingerprints agree in a segment, and a row goes to a part for each of its segments.  Each task
+    reduces the links that it finds to a spanning forest, so a dense group leaves fewer edges than members.
     """
 
     def spread(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -148,7 +173,9 @@ def links(nodes: DataFrame, threshold: int = THRESHOLD) -> DataFrame:
         held: list[tuple[np.ndarray, ...]] = []
 
         def flush(rows: tuple[np.ndarray, ...]) -> pa.RecordBatch:
-            u, v = matches(*rows, threshold)
+            anchor, part, fp, home = rows
+            group = np.cumsum(np.concatenate(([False], (anchor[1:] != anchor[:-1]) | (part[1:] != part[:-1]))))
+            u, v = matches(group, fp, home, threshold)
             if len(u):
                 a, b = np.minimum(u, v), np.maximum(u, v)
                 a, b = np.unique(np.stack((a, b), axis=1), axis=0).T
@@ -158,18 +185,28 @@ def links(nodes: DataFrame, threshold: int = THRESHOLD) -> DataFrame:
         for batch in batches:
             if not batch.num_rows:
                 continue
-            held.append(tuple(batch.column(k).to_numpy(zero_copy_only=False) for k in range(3)))
-            if held[-1][0][-1] == held[0][0][0]:
-                continue  # one anchor's rows so far
+            held.append(tuple(batch.column(k).to_numpy(zero_copy_only=False) for k in range(4)))
+            first, last = held[0], held[-1]
+            if (last[0][-1], last[1][-1]) == (first[0][0], first[1][0]):
+                continue  # one group's rows so far
             rows = tuple(map(np.concatenate, zip(*held)))
-            cut = int(np.searchsorted(rows[0], rows[0][-1]))
+            cut = int(np.flatnonzero((rows[0] != rows[0][-1]) | (rows[1] != rows[1][-1]))[-1]) + 1
             held = [tuple(c[cut:] for c in rows)]
             yield flush(tuple(c[:cut] for c in rows))
         if held:
             yield flush(tuple(map(np.concatenate, zip(*held))))
 
     spread_out = nodes.select("fingerprint").mapInArrow(spread, "anchor long, fingerprint long, home boolean")
-    return spread_out.repartition("anchor").sortWithinPartitions("anchor").mapInArrow(compare, "u long, v long")
+    crowded = materialise(crowded_anchors(nodes, threshold, crowd), "crowded-anchors")
+    if crowded.head(1):
+        segments = np.array_split(np.arange(2 * LENGTH, 64), threshold + 1)
+        bits = lambda s: F.shiftrightunsigned("fingerprint", int(s[0])).bitwiseAND((1 << len(s)) - 1)
+        parts = F.array(*[(F.lit(1 + (k << 18)).cast("long") + bits(s)) for k, s in enumerate(segments)])
+        flagged = spread_out.join(fitted(crowded.withColumn("_crowded", F.lit(True)), 9), "anchor", "left")
+        split = flagged.select("anchor", F.explode(F.when(F.col("_crowded"), parts).otherwise(F.array(F.lit(0).cast("long")))).alias("part"), "fingerprint", "home")
+    else:
+        split = spread_out.select("anchor", F.lit(0).cast("long").alias("part"), "fingerprint", "home")
+    return split.repartition("anchor", "part").sortWithinPartitions("anchor", "part").mapInArrow(compare, "u long, v long")
 
 
 def near_duplicates(docs: DataFrame, threshold: int = THRESHOLD, shingle: int = SHINGLE) -> DataFrame:
@@ -180,13 +217,18 @@ def near_duplicates(docs: DataFrame, threshold: int = THRESHOLD, shingle: int =
     read; an empty table gives an empty result.
     """
     own = materialise(fingerprints(docs, shingle), "fingerprints")
-    nodes = materialise(own.groupBy("fingerprint").agg(F.min("doc_id").alias("least")), "fingerprint-nodes")
+    nodes = materialise(own.groupBy("fingerprint").agg(F.min("doc_id").alias("least"), F.count("*").alias("n")), "fingerprint-nodes")
     roots = contract(links(nodes, threshold)).withColumnRenamed("node", "fingerprint")
     linked = nodes.join(roots, "fingerprint")
     least = linked.groupBy("root").agg(F.min("least").alias("component"))
     named = linked.join(least, "root").select("fingerprint", "component")
-    every = nodes.join(named, "fingerprint", "left").select("fingerprint", F.coalesce("component", "least").alias("component_id"))
-    return own.join(every, "fingerprint").select("doc_id", "fingerprint", "component_id")
+    every = materialise(nodes.join(named, "fingerprint", "left").select("fingerprint", F.coalesce("component", "least").alias("component_id"), "n"), "fingerprint-components")
+    # Fingerprints of many rows, of which there can't be more than ``HOT_SHARE``, don't meet their rows in a shuffle.
+    rows = every.agg(F.sum("n")).first()[0] or 0
+    hot = F.broadcast(every.where(F.col("n") * HOT_SHARE > rows).select("fingerprint", "component_id"))
+    apart = own.join(hot, "fingerprint").select("doc_id", "fingerprint", "component_id")
+    others = own.join(hot.select("fingerprint"), "fingerprint", "left_anti").join(every.select("fingerprint", "component_id"), "fingerprint")
+    return apart.union(others.select("doc_id", "fingerprint", "component_id"))
 
 
 def keep_first(docs: DataFrame, threshold: int = THRESHOLD) -> DataFrame:

@@ -4,7 +4,7 @@ import re
 import numpy as np
 import xxhash
 
-from corpusdedup.llm.simhash import fingerprint, fingerprints, keep_first, matches, near_duplicates, replicas
+from corpusdedup.llm.simhash import crowded_anchors, fingerprint, fingerprints, home_anchors, keep_first, links, matches, near_duplicates, replicas
 from corpusdedup.operators.graph import DisjointSets
 
 
@@ -79,3 +79,25 @@ def test_a_dense_group_and_odd_rows(spark):
     kept = keep_first(docs)
     assert kept.columns == docs.columns and kept.where("doc_id = 7").count() == 1 and kept.where("doc_id is null").count() == 1
     assert near_duplicates(docs.limit(0)).count() == 0 and keep_first(docs.limit(0)).count() == 0 and fingerprints(docs.limit(0)).count() == 0
+
+
+def test_home_anchors_are_the_home_replicas():
+    x = np.random.default_rng(3).integers(-(2**63), 2**63 - 1, 500)
+    i, a, home = replicas(x)
+    assert (i[home] == np.arange(500)).all() and (home_anchors(x) == a[home]).all()
+
+
+def test_crowded_anchors_lose_no_link(spark):
+    rng = np.random.default_rng(4)
+    low = int(rng.integers(0, 1 << 46))
+    x = np.unique(np.concatenate((low | rng.integers(0, 1 << 17, 400) << 46, low | rng.integers(0, 1 << 17, 100) << 46 ^ 1 << rng.integers(0, 64, 100), rng.integers(0, 1 << 62, 50))))
+    nodes = spark.createDataFrame([(int(v),) for v in x], "fingerprint long")
+    want, got = DisjointSets(), DisjointSets()
+    for k, u in enumerate(x.tolist()):
+        for v in x[k:].tolist():
+            if (u ^ v).bit_count() <= 2:
+                want.union(u, v)
+    for r in links(nodes, crowd=20).collect():
+        got.union(r.u, r.v)
+    assert crowded_anchors(nodes, crowd=20).count() > 0
+    assert [got.find(v) for v in x.tolist()] == [want.find(v) for v in x.tolist()] and len({want.find(v) for v in x.tolist()}) < len(x)
