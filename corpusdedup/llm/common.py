@@ -12,7 +12,7 @@ from pyspark.sql import functions as F
 from corpusdedup.plans.shared import fitted, materialise, shared_dir  # noqa: F401
 
 #: Bytes of text that an Arrow operator holds at once, besides a single longer text.
-SLICE_BYTES = 4 << 20
+SLICE_BYTES = 1 << 20
 
 
 def text_bytes(column: str = "text") -> Column:

@@ -24,8 +24,10 @@ from corpusdedup.plans.shared import fitted
 WINDOW = 10
 #: Proximity: each word may stand this many places off.
 SLOP = 2
-#: Bytes of benchmark text that one pass over the index may carry to every task; a larger benchmark takes more passes.
-QUERY_BYTES = 32 << 20
+#: Bytes of benchmark text that one pass over the index carries to every task; a larger benchmark takes more passes.
+QUERY_BYTES = 4 << 20
+#: Bytes of text in a row of the index, besides a single longer text.
+BLOCK_BYTES = 2 << 20
 
 _SEPARATORS = [*range(0x00, 0x30), *range(0x3A, 0x41), *range(0x5B, 0x61), *range(0x7B, 0x80)]
 _TABLE = bytes(32 if b in set(_SEPARATORS) else b + 32 if 65 <= b <= 90 else b for b in range(256))
@@ -47,7 +49,7 @@ def build_index(docs: DataFrame, terms: list[bytes] | None = None, gap: int = WI
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for part in slices(batch, "text"):
+            for part in slices(batch, "text", BLOCK_BYTES):
                 own = known if known is not None else {}
                 starts, counts, ids, places, at = [], [], [], [], 0
                 for t in part.column(1).to_pylist():
@@ -84,17 +86,24 @@ def build_index(docs: DataFrame, terms: list[bytes] | None = None, gap: int = WI
 
 
 class Phrases:
-    """Windows of query items: for each length, term numbers (windows x words) and the item of each window."""
+    """Windows of query items: for each length, the distinct ones as term numbers (windows x words), and each one's items (``items[stops[w] - many[w] : stops[w]]``)."""
 
     def __init__(self, items: list[tuple[int, bytes]], window: int = WINDOW) -> None:
         self.terms: dict[bytes, int] = {}
-        rows: dict[int, dict[tuple[int, ...], set[int]]] = defaultdict(lambda: defaultdict(set))
+        found: dict[int, list[tuple[np.ndarray, int]]] = defaultdict(list)
         for item, text in items:
-            x = [self.terms.setdefault(w, len(self.terms)) for w in words(text)]
-            n = min(window, len(x))
-            for i in range(len(x) - n + 1 if n else 0):
-                rows[n][tuple(x[i : i + n])].add(item)
-        self.windows = {n: (np.array(list(own), dtype=np.int32).reshape(-1, n), [sorted(x) for x in own.values()]) for n, own in rows.items()}
+            own = words(text)
+            x = np.fromiter((self.terms.setdefault(w, len(self.terms)) for w in own), np.int32, len(own))
+            if n := min(window, len(x)):
+                found[n].append((np.lib.stride_tricks.sliding_window_view(x, n), item))
+        self.windows: dict[int, tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]] = {}
+        for n, parts in found.items():
+            every = np.concatenate([x for x, _ in parts])
+            owner = np.repeat(np.array([i for _, i in parts], dtype=np.int64), [len(x) for x, _ in parts])
+            distinct, number = np.unique(every, axis=0, return_inverse=True)
+            pairs = np.unique(np.stack((number.ravel(), owner), axis=1), axis=0)
+            many = np.bincount(pairs[:, 0], minlength=len(distinct))
+            self.windows[n] = distinct, pairs[:, 1], many, np.cumsum(many)
 
 
 class Block:
@@ -125,15 +134,17 @@ class Block:
 
 
 def search(index: DataFrame, items: list[tuple[int, bytes]], window: int = WINDOW, slop: int = SLOP) -> DataFrame:
-    """For every document of the index: doc_id, n_words, items and near_items (arrays of item ids), hits (array of begin and end places of covered runs).
+    """For every document of the index: doc_id, n_words, items and near_items (arrays of item ids), hits (array of begin and end places of covered runs), full (whether a window of full length is among them).
 
     ``items`` counts exact phrases, ``near_items`` phrases whose words stand at most ``slop`` places off.
     """
-    query = Phrases(items, window)
+    shared = index.sparkSession.sparkContext.broadcast(Phrases(items, window))
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        query = shared.value
         for batch in batches:
-            for row in batch.to_pylist():
+            for k in range(batch.num_rows):
+                (row,) = batch.slice(k, 1).to_pylist()
                 starts, counts = np.array(row["starts"], np.int64), np.array(row["n_words"], np.int64)
                 if window - 1 + 2 * slop >= row["gap"]:
                     raise ValueError("the index was built with too small a gap for this window and slop")
@@ -142,19 +153,23 @@ def search(index: DataFrame, items: list[tuple[int, bytes]], window: int = WINDO
                 edge = np.zeros(total + row["gap"] + 1, dtype=np.int32)
                 exact: dict[int, set[int]] = defaultdict(set)
                 near: dict[int, set[int]] = defaultdict(set)
-                for n, (windows, names) in query.windows.items():
+                full: set[int] = set()
+                for n, (windows, items, many, stops) in query.windows.items():
                     for w in np.flatnonzero(block.count[windows].min(axis=1) > 0).tolist():
                         around = block.find(windows[w], slop)
                         if not len(around):
                             continue
+                        names = items[stops[w] - many[w] : stops[w]].tolist()
                         for d in np.unique(np.searchsorted(starts, np.maximum(around, 0), "right") - 1).tolist():
-                            near[d].update(names[w])
+                            near[d].update(names)
                         at = block.find(windows[w], 0)
                         if len(at):
                             edge[at] += 1
                             edge[at + n] -= 1
                             for d in np.unique(np.searchsorted(starts, at, "right") - 1).tolist():
-                                exact[d].update(names[w])
+                                exact[d].update(names)
+                                if n == window:
+                                    full.add(d)
                 covered = np.concatenate(([0], (np.cumsum(edge) > 0).astype(np.int8), [0]))
                 turn = np.flatnonzero(covered[1:] != covered[:-1])  # begins and ends, in turn
                 run_doc = np.searchsorted(starts, turn[::2], "right") - 1
@@ -168,17 +183,18 @@ def search(index: DataFrame, items: list[tuple[int, bytes]], window: int = WINDO
                         pa.array([sorted(exact.get(d, ())) for d in range(len(starts))], pa.list_(pa.int64())),
                         pa.array([sorted(near.get(d, ())) for d in range(len(starts))], pa.list_(pa.int64())),
                         pa.array(hits, pa.list_(pa.int32())),
+                        pa.array([d in full for d in range(len(starts))], pa.bool_()),
                     ],
-                    names=["doc_id", "n_words", "items", "near_items", "hits"],
+                    names=["doc_id", "n_words", "items", "near_items", "hits", "full"],
                 )
 
-    return index.mapInArrow(run, "doc_id long, n_words long, items array<long>, near_items array<long>, hits array<int>")
+    return index.mapInArrow(run, "doc_id long, n_words long, items array<long>, near_items array<long>, hits array<int>, full boolean")
 
 
 def decontaminate(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, slop: int = SLOP, query_bytes: int = QUERY_BYTES) -> DataFrame:
-    """doc_id, n_words, items, near_items and hits of every document (see ``search``).
+    """doc_id, n_words, items, near_items, hits and full of every document (see ``search``).
 
-    The benchmark reaches the tasks in passes of at most about ``query_bytes`` each, so its size isn't bound.  Null and empty
+    The benchmark reaches the tasks in passes of at most about ``query_bytes`` each, over one index, so its size isn't bound.  Null and empty
     texts have no words and no hits; items without words match nothing; repeated items count once; repeated documents appear
     as often as they occur; other columns are not read; empty tables give no hits or no rows.
     """
@@ -190,9 +206,13 @@ def decontaminate(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, s
         # Neither doc_id nor text tells rows apart, so passes meet on a row number that is written before the first.
         numbered = materialise(docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").withColumn("row", F.monotonically_increasing_id()), "numbered")
         docs = numbered.select(F.col("row").alias("doc_id"), "text")
+    index = None
     for k in range(passes):
         own = [(r["item_id"], bytes(r["text"])) for r in items.where(F.pmod(F.xxhash64("item_id", "text"), F.lit(passes)) == k).toLocalIterator()]
-        index = materialise(build_index(docs, list(Phrases(own, window).terms), window + 2 * slop + 2), "postings")
+        if index is None:
+            # One pass needs the lists of its own terms only; more of them share the lists of all.
+            terms = list(Phrases(own, window).terms) if passes == 1 else None
+            index = materialise(build_index(docs, terms, window + 2 * slop + 2), "postings")
         results.append(search(index, own, window, slop))
     if passes == 1:
         return results[0]
@@ -200,9 +220,9 @@ def decontaminate(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, s
     every = results[0]
     for r in results[1:]:
         every = every.unionByName(r)
-    together = every.groupBy(F.col("doc_id").alias("row")).agg(F.max("n_words").alias("n_words"), F.collect_list("items").alias("i"), F.collect_list("near_items").alias("n"), F.collect_list("hits").alias("h"))
+    together = every.groupBy(F.col("doc_id").alias("row")).agg(F.max("n_words").alias("n_words"), F.collect_list("items").alias("i"), F.collect_list("near_items").alias("n"), F.collect_list("hits").alias("h"), F.max("full").alias("full"))
     merge = F.pandas_udf(_merge_all, "array<int>")
-    return numbered.select("row", "doc_id").join(together, "row").select("doc_id", "n_words", F.array_distinct(F.flatten("i")).alias("items"), F.array_distinct(F.flatten("n")).alias("near_items"), merge("h").alias("hits"))
+    return numbered.select("row", "doc_id").join(together, "row").select("doc_id", "n_words", F.array_distinct(F.flatten("i")).alias("items"), F.array_distinct(F.flatten("n")).alias("near_items"), merge("h").alias("hits"), "full")
 
 
 def merged_runs(lists: list[list[int]]) -> list[int]:
@@ -230,7 +250,13 @@ def n_hit(column: str) -> Column:
     return F.aggregate(column, F.struct(F.lit(0).cast("long").alias("s"), F.lit(-1).alias("sign")), lambda a, x: F.struct((a["s"] + a["sign"] * x).alias("s"), (-a["sign"]).alias("sign")), lambda a: a["s"])
 
 
-def drop_contaminated(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
-    """The documents without an exact benchmark window, all columns kept; rows without doc_id stay as they are."""
-    hit = materialise(decontaminate(docs, benchmark).where((F.size("items") > 0) & F.col("doc_id").isNotNull()).select(F.col("doc_id").alias("_hit")).distinct(), "contaminated")
+def drop_contaminated(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW) -> DataFrame:
+    """The documents without a benchmark passage, all columns kept.
+
+    A passage is a window of full length, or a whole shorter item if such items make up half of the document's words: an answer
+    of a word or two occurs in any text.  Rows of equal doc_id go together; rows without doc_id stay as they are; null and empty texts
+    have no words and stay; empty tables give no rows or all.
+    """
+    found = decontaminate(docs, benchmark, window).where(F.col("doc_id").isNotNull())
+    hit = materialise(found.where(F.col("full") | ((F.size("items") > 0) & (2 * n_hit("hits") >= F.col("n_words")))).select(F.col("doc_id").alias("_hit")).distinct(), "contaminated")
     return docs.join(fitted(hit, 8), docs["doc_id"].cast("long") == hit["_hit"], "left_anti")

@@ -25,8 +25,6 @@ from corpusdedup.llm.subword import BUCKETS, Features, tokens, word_numbers
 PER_LANGUAGE, BYTES_PER_LANGUAGE = 400, 4 << 20
 #: Words of a block, words whose distributions are held at once, and distinct words whose scores are kept for later texts.
 BLOCK, WORDS_AT_ONCE, WORDS_KEPT = 128, 1 << 15, 1 << 16
-#: Bytes of text that a task works on at once, besides a single longer text.
-SLICE = 1 << 20
 
 
 def has_letter(word: bytes) -> bool:
@@ -312,7 +310,7 @@ def predict(docs: DataFrame, crf: Crf) -> DataFrame:
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         speaker = Speaker(shared.value)
         for batch in batches:
-            for part in slices(batch, "text", SLICE):
+            for part in slices(batch, "text"):
                 names, score = speaker.guess(part.column(1).to_pylist())
                 yield pa.RecordBatch.from_arrays([part.column(0), pa.array(names, pa.string()), pa.array(score)], names=["doc_id", "lang_pred", "score"])
 
@@ -330,7 +328,7 @@ def label_words(docs: DataFrame, crf: Crf) -> DataFrame:
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         own = shared.value
         for batch in batches:
-            for part in slices(batch, "text", SLICE):
+            for part in slices(batch, "text"):
                 ids, langs, firsts, sizes = [], [], [], []
                 for i, t in zip(part.column(0).to_pylist(), part.column(1).to_pylist()):
                     p, letters, _ = word_marginals(own, [t])
@@ -375,7 +373,7 @@ def keep_identified(docs: DataFrame, learn: Column | None = None, per_language:
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         speaker = Speaker(shared.value)
         for batch in batches:
-            for part in slices(batch, name, SLICE):
+            for part in slices(batch, name):
                 texts = [(t or "").encode("utf-8", "replace") for t in part.column(at).to_pylist()]
                 if speaker.crf.labels:
                     _, total, sure = speaker.masses(texts)

@@ -24,8 +24,8 @@ from corpusdedup.llm.common import materialise, slices, text_bytes
 
 CAPACITY = 1024
 END_ID = 2
-#: Parts into which the pieces of one length are dealt for ranking.
-RANK_PARTS = 512
+#: Pieces of one length that are ranked in one part, about.
+PER_PART = 1 << 17
 
 PIECE_SCHEMA = "doc_id long, piece int, start long, length long, ids_crc32 long, ids array<int>"
 
@@ -159,19 +159,19 @@ def plan(counts: dict[int, int], capacity: int = CAPACITY) -> tuple[list[tuple[i
     return rows, opened
 
 
-def pack(items: DataFrame, capacity: int = CAPACITY, parts: int = RANK_PARTS) -> DataFrame:
+def pack(items: DataFrame, capacity: int = CAPACITY, per_part: int = PER_PART) -> DataFrame:
     """Give each row of ``items`` (doc_id, piece, length, ...) a ``sequence_id`` and an ``offset``; other columns stay.
 
     ``items`` is read more than once, so pass a written table.  Rows that agree in doc_id and piece are told apart only by
     the order of the file; either gets a slot of its length.  An empty table gives an empty result.
     """
     spark = items.sparkSession
+    counts = {r["length"]: r["count"] for r in items.groupBy("length").count().collect()}  # at most ``capacity`` rows
+    parts = -(-max(counts.values(), default=1) // per_part)
     part = F.pmod(F.xxhash64("doc_id", "piece"), F.lit(parts)).cast("int")
-    per_part = items.groupBy("length", part.alias("_part")).count()
-    # At most capacity x parts rows, whatever the corpus.
-    before = per_part.select("length", "_part", (F.sum("count").over(Window.partitionBy("length").orderBy("_part")) - F.col("count")).alias("_before"), "count")
+    held = items.groupBy("length", part.alias("_part")).count()
+    before = held.select("length", "_part", (F.sum("count").over(Window.partitionBy("length").orderBy("_part")) - F.col("count")).alias("_before"), "count")
     before = materialise(before, "pack-ranks")
-    counts = {r["length"]: r["n"] for r in before.groupBy("length").agg(F.sum("count").alias("n")).collect()}
     rows, _ = plan(counts, capacity)
     slots = spark.createDataFrame(rows, "_l long, _from long, _to long, _first long, _offset long")
     ranked = (

@@ -19,13 +19,13 @@ from pyspark.sql import types as T
 from corpusdedup.llm.common import materialise, portable_unit
 
 SHARDS = 16
-#: Keys drawn, and ranges cut; a range should fit a task's sort.
-SAMPLE, RANGES = 8192, 1024
+#: Ranges cut at least, rows of a range (about) beyond that, and keys drawn for each range; a range should fit a task's sort.
+RANGES, RANGE_ROWS, KEYS_EACH = 1024, 1 << 19, 8
 #: Groups of equal texts stay in one shard unless they hold more than this share of a shard.
 TOGETHER = 0.01
 
 
-def splitters(items: DataFrame, sample: int = SAMPLE, ranges: int = RANGES, seed: int = 7) -> list[int]:
+def splitters(items: DataFrame, sample: int = KEYS_EACH * RANGES, ranges: int = RANGES, seed: int = 7) -> list[int]:
     """Upper bounds (inclusive) of all ranges but the last, from a priority sample of ``sample`` keys.
 
     A key is drawn by its size over a random number; one that is drawn stands for its size, or for the first priority that
@@ -61,7 +61,7 @@ def ranged(items: DataFrame, bounds: list[int]) -> DataFrame:
     return items.mapInArrow(run, schema)
 
 
-def shard(docs: DataFrame, shards: int = SHARDS, sample: int = SAMPLE, ranges: int = RANGES, together: float = TOGETHER) -> DataFrame:
+def shard(docs: DataFrame, shards: int = SHARDS, ranges: int = RANGES, range_rows: int = RANGE_ROWS, together: float = TOGETHER) -> DataFrame:
     """doc_id, size (UTF-8 bytes + 1), text_crc32, shard and slot (gapless from 0 in each shard) of every row.
 
     Shards are runs of the order (hash of the text, doc_id), cut where the bytes before reach a multiple of the total over
@@ -73,8 +73,9 @@ def shard(docs: DataFrame, shards: int = SHARDS, sample: int = SAMPLE, ranges: i
     text = F.coalesce(F.col("text"), F.lit(""))
     items = docs.select(F.col("doc_id").cast("long").alias("doc_id"), (F.octet_length(text) + 1).cast("long").alias("size"), F.crc32(text.cast("binary")).alias("text_crc32"), F.xxhash64(text).alias("key"))
     items = materialise(items, "shard-items")
-    bounds = splitters(items, sample, ranges)
-    total = items.agg(F.sum("size")).first()[0] or 0
+    total, rows = items.agg(F.coalesce(F.sum("size"), F.lit(0)), F.count("*")).first()
+    ranges = max(ranges, -(-rows // range_rows))
+    bounds = splitters(items, KEYS_EACH * ranges, ranges)
     share = max(1.0, total / shards)
     items = materialise(ranged(items, bounds), "shard-ranges")
     # As many rows as there are ranges.

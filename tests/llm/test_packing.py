@@ -87,6 +87,6 @@ def test_round_trip_and_odd_rows(spark):
 def test_a_hot_length_is_ranked_in_parts(spark):
     items = spark.range(3000).selectExpr("id AS doc_id", "0 AS piece", "CAST(if(id % 3 = 0, 400, 1 + id % 700) AS LONG) AS length")
     items.write.parquet(path := f"{spark.conf.get('spark.checkpoint.dir')}/hot")
-    got = pack(spark.read.parquet(path), 1024, parts=7).toPandas().sort_values(["sequence_id", "offset"])
+    got = pack(spark.read.parquet(path), 1024, per_part=150).toPandas().sort_values(["sequence_id", "offset"])
     assert len(got) == 3000 and (got.offset == got.groupby("sequence_id").length.cumsum() - got.length).all()
     assert got.groupby("sequence_id").length.sum().max() <= 1024
