@@ -56,40 +56,85 @@ def all_pairs(ids: np.ndarray, sig: np.ndarray, cfg: DedupConfig, part: np.ndarr
     return np.minimum(u, v), np.maximum(u, v), n
 
 
-def against_anchor(ids: np.ndarray, sig: np.ndarray, cfg: DedupConfig, verify: bool = True) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Pairs of the bucket's least id with each other member, verified on the full signature or taken as they are."""
-    k = int(ids.argmin())
-    n = (sig == sig[k]).sum(axis=1)
-    keep = (ids != ids[k]) & ((n >= cfg.min_matches) | (not verify))
-    return np.full(int(keep.sum()), ids[k]), ids[keep], n[keep]
+def against_anchor(anchor: int, anchor_sig: np.ndarray, ids: np.ndarray, sig: np.ndarray, cfg: DedupConfig, verify: bool = True) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Pairs of the anchor with other members of its bucket, verified on the full signature or taken as they are."""
+    n = (sig == anchor_sig).sum(axis=1)
+    keep = (ids != anchor) & ((n >= cfg.min_matches) | (not verify))
+    return np.full(int(keep.sum()), anchor), ids[keep], n[keep]
 
 
-def split_oversize(rows: DataFrame, cfg: DedupConfig) -> DataFrame:
-    """Add ``unit``, ``bi``, ``bj``: buckets of more than ``d_max`` rows are cut in sub-units by a hash of doc_id.
+def oversize_buckets(rows: DataFrame, cfg: DedupConfig) -> DataFrame:
+    """band, bucket, n and least id of the buckets of more than ``d_max`` rows."""
+    sizes = rows.groupBy("band", "bucket").agg(F.count("*").alias("n"), F.min("doc_id").alias("head"))
+    return materialise(sizes.where(F.col("n") > cfg.d_max), "oversize")
+
+
+def _units(rows: DataFrame, cfg: DedupConfig, large: DataFrame | None) -> DataFrame:
+    """Add ``units`` (of the row's bucket) and ``unit`` (the row's own): parts of about ``d_max`` rows by a hash of doc_id.
+
+    ``n``, if it is a column, is the size of the row's bucket; else sizes are looked up in ``large``.
+    """
+    if "n" not in rows.columns:
+        large = oversize_buckets(rows, cfg) if large is None else large
+        rows = rows.join(fitted(large.select("band", "bucket", "n"), 32), ["band", "bucket"], "left")
+    units = F.ceil(F.coalesce("n", F.lit(1)) / cfg.d_max).cast("int")
+    return rows.withColumn("units", units).withColumn("unit", F.pmod(F.xxhash64("doc_id"), F.col("units")).cast("int"))
+
+
+def split_oversize(rows: DataFrame, cfg: DedupConfig, large: DataFrame | None = None) -> DataFrame:
+    """Add ``unit``, ``bi``, ``bj``: buckets of more than ``d_max`` rows are cut in sub-units.
 
     ``block_pairs`` sends a row to every pair of sub-units that holds its own, so no pair is lost; ``independent`` compares
     inside sub-units only.
     """
-    sizes = rows.groupBy("band", "bucket").agg(F.count("*").alias("n")).where(F.col("n") > cfg.d_max)
-    large = materialise(sizes.select("band", "bucket", F.ceil(F.col("n") / cfg.d_max).cast("int").alias("units")), "oversize")
-    own = rows.join(fitted(large, 24), ["band", "bucket"], "left").withColumn("units", F.coalesce("units", F.lit(1)))
-    own = own.withColumn("unit", F.pmod(F.xxhash64("doc_id"), F.col("units")).cast("int"))
+    own = _units(rows, cfg, large)
     if cfg.oversize == "independent":
         return own.withColumn("bi", F.col("unit")).withColumn("bj", F.col("unit"))
-    other = F.explode(F.when(F.col("units") == 1, F.array(F.lit(0))).otherwise(F.sequence(F.lit(0), F.col("units") - 1)))
-    own = own.withColumn("other", other)
+    own = own.withColumn("other", F.explode(F.when(F.col("units") == 1, F.array(F.lit(0))).otherwise(F.sequence(F.lit(0), F.col("units") - 1))))
     return own.withColumn("bi", F.least("unit", "other")).withColumn("bj", F.greatest("unit", "other")).drop("other")
 
 
-def compare(rows: DataFrame, cfg: DedupConfig, how: str = "all", verify: bool = True, reduce: bool = True, early_exit: bool = True) -> DataFrame:
+def split_apart(rows: DataFrame, cfg: DedupConfig) -> DataFrame:
+    """The same for buckets of which one component holds some rows (column ``joined``) already: no two of these meet again.
+
+    Columns ``n_joined`` and ``n_others`` are the bucket's sizes.  Rows of the component take sub-units of their own and go to
+    the others' sub-units only.
+    """
+    few = lambda c: F.ceil(F.col(c) / cfg.d_max).cast("int")
+    own = rows.withColumn("a", few("n_joined")).withColumn("b", few("n_others")).where("b > 0")
+    h = F.xxhash64("doc_id")
+    own = own.withColumn("unit", F.when(F.col("joined"), F.pmod(h, F.col("a"))).otherwise(F.col("a") + F.pmod(h, F.col("b"))).cast("int"))
+    own = own.withColumn("other", F.explode(F.sequence(F.when(F.col("joined"), F.col("a")).otherwise(F.lit(0)), F.col("a") + F.col("b") - 1)))
+    return own.withColumn("bi", F.least("unit", "other")).withColumn("bj", F.greatest("unit", "other"))
+
+
+def _salted_anchors(rows: DataFrame, cfg: DedupConfig, large: DataFrame | None) -> DataFrame:
+    """Cut large buckets in sub-units, each with a copy of the bucket's anchor: its least id."""
+    large = oversize_buckets(rows, cfg) if large is None else large
+    own = rows.join(fitted(large.select("band", "bucket", "n", "head"), 40), ["band", "bucket"], "left")
+    units = F.ceil(F.coalesce("n", F.lit(1)) / cfg.d_max).cast("int")
+    mine = F.array(F.pmod(F.xxhash64("doc_id"), units).cast("int"))
+    return own.withColumn("bi", F.explode(F.when(F.col("doc_id") == F.col("head"), F.sequence(F.lit(0), units - 1)).otherwise(mine))).withColumn("unit", F.lit(0)).withColumn("bj", F.lit(0))
+
+
+#: Pairs that a task holds before it reduces them and passes them on.
+HELD_PAIRS = 1 << 18
+
+
+def compare(rows: DataFrame, cfg: DedupConfig, how: str = "all", verify: bool = True, reduce: bool = True, early_exit: bool = True, large: DataFrame | None = None) -> DataFrame:
     """u, v, matches inside buckets of (band, bucket, doc_id, sig) rows.
 
-    Buckets are brought together by one exchange and read bucket by bucket from a sorted stream.  With ``reduce`` a task
-    leaves a spanning forest of its pairs, which connects the same documents; without it all its pairs, distinct in the task.
+    Buckets are brought together by one exchange and read bucket by bucket from a sorted stream.  ``all``: all pairs, of which a
+    sub-unit or two are held; ``anchor``: the least id with each other, of which only the anchor is held.  With ``reduce`` a
+    task leaves a spanning forest of its pairs, which connects the same documents; without it all its pairs, distinct in the
+    task.  ``large`` gives the oversize buckets where they are known; rows that have ``bi``, ``bj`` and ``unit`` are cut already.
     """
-    keyed = split_oversize(rows, cfg) if how == "all" else rows.withColumn("unit", F.lit(0)).withColumn("bi", F.lit(0)).withColumn("bj", F.lit(0))
+    if how == "anchor":
+        keyed = _salted_anchors(rows, cfg, large)
+    else:
+        keyed = rows if "bi" in rows.columns else split_oversize(rows, cfg, large)
     keys = ["band", "bucket", "bi", "bj"]
-    keyed = keyed.select(*keys, "unit", "doc_id", "sig").repartition(*keys).sortWithinPartitions(*keys)
+    keyed = keyed.select(*keys, "unit", "doc_id", "sig").repartition(*keys).sortWithinPartitions(*keys, *(["doc_id"] if how == "anchor" else []))
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         pairs: list[tuple[np.ndarray, ...]] = []
@@ -98,7 +143,7 @@ def compare(rows: DataFrame, cfg: DedupConfig, how: str = "all", verify: bool =
         def bucket(part: list[tuple[np.ndarray, ...]]) -> None:
             unit, ids, sig = map(np.concatenate, zip(*part))
             if len(ids) > 1:
-                pairs.append(all_pairs(ids, sig, cfg, unit, early_exit=early_exit) if how == "all" else against_anchor(ids, sig, cfg, verify))
+                pairs.append(all_pairs(ids, sig, cfg, unit, early_exit=early_exit))
 
         def leave() -> pa.RecordBatch:
             u, v, n = map(np.concatenate, zip(*pairs)) if pairs else (np.zeros(0, np.int64),) * 3
@@ -122,13 +167,20 @@ def compare(rows: DataFrame, cfg: DedupConfig, how: str = "all", verify: bool =
             for a, b in zip(cuts[:-1].tolist(), cuts[1:].tolist()):
                 own = tuple(key[a])
                 if own != last and held:
-                    bucket(held)
+                    if how == "all":
+                        bucket(held)
                     held = []
                 last = own
-                held.append((unit[a:b], ids[a:b], sig[a:b]))
-            if sum(len(x[0]) for x in pairs) > 1 << 18:
+                if how == "all":
+                    held.append((unit[a:b], ids[a:b], sig[a:b]))
+                    continue
+                if not held:
+                    held = [(ids[a], sig[a].copy())]
+                if b - a > 1 or ids[a] != held[0][0]:
+                    pairs.append(against_anchor(*held[0], ids[a:b], sig[a:b], cfg, verify))
+            if sum(len(x[0]) for x in pairs) > HELD_PAIRS:
                 yield leave()
-        if held:
+        if held and how == "all":
             bucket(held)
         yield leave()
 

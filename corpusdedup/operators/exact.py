@@ -11,7 +11,6 @@ from pyspark.sql import functions as F
 from corpusdedup.config import DedupConfig
 from corpusdedup.operators.compare import tile_matches
 from corpusdedup.operators.signatures import signature_long
-from corpusdedup.plans.shared import fitted, materialise
 
 
 def exact_duplicates(docs: DataFrame, key: str = "hash") -> DataFrame:
@@ -25,16 +24,11 @@ def exact_duplicates(docs: DataFrame, key: str = "hash") -> DataFrame:
     return own.join(heads, "_k").select("doc_id", "cluster", "copies")
 
 
-def collapse_exact(sig: DataFrame) -> tuple[DataFrame, DataFrame]:
-    """(signatures of one document of each text, edges u, v from it to its copies), by ``text_key`` of written signatures.
-
-    Equal texts have equal signatures, so nothing is lost, and texts are not read again.
-    """
+def copies_of(sig: DataFrame) -> DataFrame:
+    """Edges (u, v) from the least id of each text to its copies, by ``text_key`` of written signatures: texts are not read again."""
     keys = sig.where("text_key is not null").select("doc_id", "text_key")
-    heads = keys.groupBy("text_key").agg(F.min("doc_id").alias("cluster"), F.count("*").alias("copies")).where("copies > 1")
-    copies = materialise(keys.join(heads, "text_key").where("doc_id <> cluster").select("doc_id", "cluster"), "text-copies")
-    one = sig.drop("text_key").join(fitted(copies.select("doc_id"), 8), "doc_id", "left_anti")
-    return one, copies.select(F.col("cluster").alias("u"), F.col("doc_id").alias("v"))
+    heads = keys.groupBy("text_key").agg(F.min("doc_id").alias("u"), F.count("*").alias("copies")).where("copies > 1")
+    return keys.join(heads, "text_key").where("doc_id <> u").select("u", F.col("doc_id").alias("v"))
 
 
 def exact_minhash_pairs(sig: DataFrame, cfg: DedupConfig, method: str = "join") -> DataFrame:

@@ -48,8 +48,8 @@ def signatures(docs: DataFrame, cfg: DedupConfig = DedupConfig(), k_buckets: int
                 own = [batch.column(2).slice(k, 256)] if text_key else []
                 yield pa.RecordBatch.from_arrays([ids.slice(k, 256), pa.array(sigs, ints), pa.array(buckets, ints), *own], names=names)
 
-    own = [F.sha2("text", 256).alias("text_key")] if text_key else []
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text", *own).mapInArrow(run, SCHEMA + ", text_key string" * text_key)
+    own = [F.unhex(F.sha2("text", 256)).alias("text_key")] if text_key else []
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text", *own).mapInArrow(run, SCHEMA + ", text_key binary" * text_key)
 
 
 def _sql_signatures(docs: DataFrame, cfg: DedupConfig, k_buckets: int | None) -> DataFrame:
@@ -69,15 +69,16 @@ def signature_long(sig: DataFrame) -> DataFrame:
     return sig.where("sig is not null").select("doc_id", F.posexplode("sig").alias("pos", "val"))
 
 
-def band_rows(sig: DataFrame, cfg: DedupConfig, key: str = "dense") -> DataFrame:
-    """doc_id, band, bucket, sig: a row for each band of each document.
+def band_rows(sig: DataFrame, cfg: DedupConfig, key: str = "dense", beside: str | None = "sig") -> DataFrame:
+    """doc_id, band, bucket, sig: a row for each band of each document, with another column (or none) than ``sig`` beside.
 
     ``dense`` takes the bucket ids made with the signature; ``exact_band`` a 64-bit hash of the band's rows; ``md5`` the MD5 of
     the rows as text.
     """
     own = sig.where("sig is not null")
+    beside = [beside] if beside else []
     if key == "dense":
-        return own.select("doc_id", F.posexplode("buckets").alias("band", "bucket"), "sig").withColumn("bucket", F.col("bucket").cast("long"))
+        return own.select("doc_id", F.posexplode("buckets").alias("band", "bucket"), *beside).withColumn("bucket", F.col("bucket").cast("long"))
     part = lambda j: F.slice("sig", j * cfg.rows + 1, cfg.rows)
     if key == "exact_band":
         keys = [F.xxhash64(part(j)) for j in range(cfg.bands)]
@@ -85,4 +86,4 @@ def band_rows(sig: DataFrame, cfg: DedupConfig, key: str = "dense") -> DataFrame
         keys = [F.conv(F.substring(F.md5(F.array_join(F.transform(part(j), lambda x: x.cast("string")), ",")), 1, 15), 16, 10).cast("long") for j in range(cfg.bands)]
     else:
         raise ValueError(f"no such band key: {key}")
-    return own.select("doc_id", F.posexplode(F.array(*keys)).alias("band", "bucket"), "sig")
+    return own.select("doc_id", F.posexplode(F.array(*keys)).alias("band", "bucket"), *beside)

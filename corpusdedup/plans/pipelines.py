@@ -10,13 +10,13 @@ from pyspark.sql import functions as F
 
 from corpusdedup.config import DedupConfig
 from corpusdedup.operators.bucketing import buckets_for
-from corpusdedup.operators.compare import compare
-from corpusdedup.operators.exact import collapse_exact, exact_duplicates, exact_minhash_pairs
+from corpusdedup.operators.compare import compare, split_apart, verify_pairs
+from corpusdedup.operators.exact import copies_of, exact_duplicates, exact_minhash_pairs
 from corpusdedup.operators.graph import connected_components
 from corpusdedup.operators.normalize import clean
 from corpusdedup.operators.select import apply_dedup, drop_list, select_survivors
 from corpusdedup.operators.signatures import band_rows, signatures
-from corpusdedup.plans.shared import materialise, spread
+from corpusdedup.plans.shared import fitted, materialise, spread
 from corpusdedup.plans.store import HashStore, streamed_compare
 
 PLANS = ("dense", "stream", "scale", "cpu_baseline", "gpu_baseline", "exact_minhash", "exact_text", "none")
@@ -67,7 +67,9 @@ def find_pairs(docs: DataFrame, cfg: DedupConfig, plan: str, verify: bool = True
     k = buckets_for(docs, cfg) if plan in ("dense", "stream") else None
     sig = materialise(signatures(spread(docs) if even else docs, cfg, k, text_key=one_text), "signatures")
     if one_text:
-        sig, copies = collapse_exact(sig)
+        copies = copies_of(sig)
+        if plan != "scale":
+            sig = sig.join(fitted(materialise(copies.select(F.col("v").alias("doc_id")), "text-copies"), 8), "doc_id", "left_anti")
     seconds["generation"] = time.time() - began
     began = time.time()
     if plan == "exact_minhash":
@@ -85,21 +87,42 @@ def find_pairs(docs: DataFrame, cfg: DedupConfig, plan: str, verify: bool = True
         pairs = keys_only_pairs(sig, cfg, reduce)
     else:
         raise ValueError(f"no such plan: {plan}")
-    pairs = pairs.groupBy("u", "v").agg(F.max("matches").alias("matches"))
     if copies is not None:
         pairs = pairs.union(copies.select("u", "v", F.lit(cfg.n_hashes).alias("matches")))
+    pairs = pairs.groupBy("u", "v").agg(F.max("matches").alias("matches"))
     pairs = materialise(pairs, "pairs")
     seconds["comparison"] = time.time() - began
     return pairs
 
 
 def keys_only_pairs(sig: DataFrame, cfg: DedupConfig, reduce: bool = True) -> DataFrame:
-    """Pairs in buckets of equal bands: keys are exchanged and singletons dropped before any signature travels."""
-    keys = band_rows(sig, cfg, "exact_band").select("doc_id", "band", "bucket")
-    shared = keys.groupBy("band", "bucket").agg(F.count("*").alias("n")).where("n > 1").select("band", "bucket")
+    """Pairs in buckets of equal bands: keys are exchanged and singletons dropped before any signature travels.
+
+    With a ``text_key`` only the least id of equal texts takes part.  With ``reduce`` an oversize bucket is first compared with
+    its head, and what that connects is not compared again with itself.
+    """
+    keys = band_rows(sig, cfg, "exact_band", "text_key" if "text_key" in sig.columns else None)
+    if "text_key" in keys.columns:
+        keys = keys.groupBy("band", "bucket", "text_key").agg(F.min("doc_id").alias("doc_id")).select("band", "bucket", "doc_id")
+    shared = keys.groupBy("band", "bucket").agg(F.count("*").alias("n"), F.min("doc_id").alias("head")).where("n > 1")
     members = materialise(keys.join(shared, ["band", "bucket"]), "shared-bands")
-    rows = members.join(sig.select("doc_id", "sig"), "doc_id")
-    return compare(rows, cfg, reduce=reduce)
+    found = compare((members.where(F.col("n") <= cfg.d_max) if reduce else members).join(sig.select("doc_id", "sig"), "doc_id"), cfg, reduce=reduce)
+    if reduce and (members.agg(F.max("n")).first()[0] or 0) > cfg.d_max:
+        found = found.union(_crowded_pairs(members.where(F.col("n") > cfg.d_max), sig, cfg))
+    return found
+
+
+def _crowded_pairs(members: DataFrame, sig: DataFrame, cfg: DedupConfig) -> DataFrame:
+    """Edges that connect what all pairs in buckets of more than ``d_max`` rows connect: a star around each head, then all others."""
+    star = members.where("doc_id <> head").select(F.col("head").alias("u"), F.col("doc_id").alias("v")).distinct()
+    star = materialise(verify_pairs(star, sig, cfg), "crowded-stars")
+    labels = materialise(connected_components(star.select("u", "v")), "crowded-labels")
+    named = members.join(fitted(labels, 16).withColumnsRenamed({"node": "doc_id"}), "doc_id", "left").withColumn("component", F.coalesce("component", "doc_id"))
+    heads = named.where("doc_id = head").select("band", "bucket", F.col("component").alias("of"))
+    flagged = materialise(named.join(fitted(heads, 20), ["band", "bucket"]).select("band", "bucket", "doc_id", (F.col("component") == F.col("of")).alias("joined")), "crowded-buckets")
+    sizes = flagged.groupBy("band", "bucket").agg(F.sum(F.col("joined").cast("long")).alias("n_joined"), F.sum((~F.col("joined")).cast("long")).alias("n_others"))
+    rows = flagged.join(fitted(materialise(sizes, "crowded-sizes"), 28), ["band", "bucket"]).where("n_others > 0").join(sig.select("doc_id", "sig"), "doc_id")
+    return star.select("u", "v", "matches").union(compare(split_apart(rows, cfg), cfg))
 
 
 def dedup(docs: DataFrame, cfg: DedupConfig = DedupConfig(), plan: str = "scale", verify: bool = True, components: str = "contract", nfc: bool = True, reduce: bool = True, collapse: bool | None = None, labels: DataFrame | None = None) -> DedupResult:

@@ -88,3 +88,45 @@ def test_copies_in_one_bucket(spark):
 
     c = connected_components(found.select("u", "v"))
     assert c.count() == 500 and c.where("component <> 0").count() == 0
+
+
+def crowd(spark, n, words=60):
+    """Near copies: one word in a text of many differs, so that most bands agree; every seventh differs in all."""
+    text = "concat(repeat('all the same words in every copy of this text ', 9), if(id % 7 = 0, repeat(md5(cast(id as string)), 30), concat('copy ', id)))"
+    return spark.range(n).selectExpr("id AS doc_id", f"{text} AS text")
+
+
+@pytest.mark.parametrize("plan,n", [("scale", 50_000), ("gpu_baseline", 20_000), ("dense", 2_000), ("stream", 2_000)])
+def test_a_crowded_bucket_on_every_plan(spark, plan, n):
+    from corpusdedup.plans.pipelines import dedup
+
+    r = dedup(crowd(spark, n), CFG, plan)
+    kept = r.kept
+    likes = kept.where("doc_id % 7 <> 0").count()
+    assert kept.where("doc_id % 7 = 0").count() == -(-n // 7) and 1 <= likes <= 0.01 * n + 2
+
+
+def test_what_a_crowd_leaves_apart_is_compared(spark):
+    from corpusdedup.operators.graph import connected_components
+    from corpusdedup.plans.pipelines import keys_only_pairs
+
+    rng = np.random.default_rng(6)
+    base = rng.integers(0, 1000, 128)
+    rows = []
+    for k in range(300):
+        s = base.copy()
+        s[rng.choice(np.arange(8, 128), rng.integers(0, 60), replace=False)] = rng.integers(2000, 9000)
+        rows.append((k, s.tolist()))
+        t = s.copy()
+        t[100] = -1
+        rows.append((1000 + k, t.tolist()))
+    sig = spark.createDataFrame(rows, "doc_id long, sig array<int>")
+    parts = lambda cfg, reduce: {(r.node, r.component) for r in connected_components(keys_only_pairs(sig, cfg, reduce).select("u", "v")).collect()}
+    want = parts(CFG, False)
+    assert parts(CFG.but(d_max=32), True) == want == parts(CFG.but(d_max=32), False) and len({c for _, c in want}) > 20
+
+
+def test_anchors_are_the_same_in_cut_buckets(spark, sig):
+    rows = band_rows(sig, CFG)
+    for verify in (True, False):
+        assert pairs_of(compare(rows, CFG, "anchor", verify, reduce=False).distinct()) == pairs_of(compare(rows, CFG.but(d_max=3), "anchor", verify, reduce=False).distinct())
