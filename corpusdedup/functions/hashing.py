@@ -17,6 +17,8 @@ from corpusdedup.config import DedupConfig
 
 #: Rows of the table of hashes that is held at once.
 CHUNK = 256
+#: Steps that the rolling hash takes from each of its starting points, which advance side by side.
+STRIDE = 64
 
 
 def codes_of(text: str) -> np.ndarray:
@@ -37,18 +39,28 @@ def poly_direct(codes: np.ndarray, k: int, p: int, q: int) -> np.ndarray:
 
 
 def poly_rolling(codes: np.ndarray, k: int, p: int, q: int) -> np.ndarray:
-    """Each value from the one before: drop the first character, divide by q (multiply by its inverse), add the new one."""
+    """Each value from the one before: drop the first character, divide by q (multiply by its inverse), add the new one.
+
+    Every ``STRIDE``-th value is summed directly; from these the others follow side by side, one step of all at a time.
+    """
     n = len(codes) - k + 1
     if n <= 0:
         return np.zeros(0, dtype=np.int64)
     inverse, top = pow(q, -1, p), pow(q, k - 1, p)
-    c = codes.tolist()
-    h = sum(c[j] * pow(q, j, p) for j in range(k)) % p
-    out = [h]
-    for i in range(1, n):
-        h = ((h - c[i - 1]) * inverse + c[i + k - 1] * top) % p
-        out.append(h)
-    return np.array(out, dtype=np.int64)
+    lanes = -(-n // STRIDE)
+    c = np.zeros(lanes * STRIDE + k, dtype=np.int64)
+    c[: len(codes)] = codes % p
+    starts = np.arange(lanes) * STRIDE
+    h = np.zeros(lanes, dtype=np.int64)
+    for j in range(k):
+        h = (h + c[starts + j] * pow(q, j, p)) % p
+    out = np.empty((STRIDE, lanes), dtype=np.int64)
+    out[0] = h
+    gone, new = c[: lanes * STRIDE].reshape(lanes, STRIDE).T, c[k : lanes * STRIDE + k].reshape(lanes, STRIDE).T
+    for i in range(1, STRIDE):
+        h = ((h - gone[i - 1]) % p * inverse + new[i - 1] * top) % p
+        out[i] = h
+    return out.T.ravel()[:n]
 
 
 def poly_prefix(codes: np.ndarray, k: int, p: int, q: int) -> np.ndarray:

@@ -19,6 +19,12 @@ def fidelity(a: DataFrame, b: DataFrame, on: list[str], level: str, method: str)
     )
 
 
+def with_f1(fidelities: DataFrame) -> DataFrame:
+    """The harmonic mean of precision and recall beside them."""
+    both = F.col("precision") + F.col("recall")
+    return fidelities.withColumn("f1", F.when(both == 0, F.lit(0.0)).otherwise(2 * F.col("precision") * F.col("recall") / both))
+
+
 def missed(a: DataFrame, reference: DataFrame, on: list[str]) -> DataFrame:
     """What the reference has and ``a`` lacks."""
     return reference.select(on).distinct().join(a.select(on).distinct(), on, "left_anti")

@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from corpusdedup.plans.shared import fitted
@@ -40,3 +40,24 @@ def ranked_members(clusters: DataFrame) -> DataFrame:
     """doc_id, cluster, rank of each member by id."""
     w = Window.partitionBy("component").orderBy("node")
     return clusters.select(F.col("node").alias("doc_id"), F.col("component").alias("cluster"), F.row_number().over(w).alias("rank"))
+
+
+def portable_share(key: Column) -> Column:
+    """A number in [0, 1) from the MD5 of a key as text: the same in every engine."""
+    return F.conv(F.substring(F.md5(key.cast("string")), 1, 8), 16, 10).cast("double") / F.lit(float(1 << 32))
+
+
+def sample_clusters(docs: DataFrame, clusters: DataFrame, share: float, rates: dict[str, float] | None = None, stratum: str = "lang") -> DataFrame:
+    """doc_id, cluster, stratum of a sample that keeps clusters whole: a document outside any is a cluster of its own.
+
+    A cluster is drawn by a hash of its id, at the rate of its stratum (that of the document it is named after; ``share`` where
+    ``rates`` says nothing), so each stratum and each size of cluster is drawn at its rate.
+    """
+    own = docs.select("doc_id", stratum).join(clusters.select(F.col("node").alias("doc_id"), F.col("component").alias("cluster")), "doc_id", "left")
+    own = own.withColumn("cluster", F.coalesce("cluster", "doc_id"))
+    heads = own.where("doc_id = cluster").select("cluster", F.col(stratum).alias("stratum"))
+    rate = F.lit(share)
+    for value, r in (rates or {}).items():
+        rate = F.when(F.col("stratum") == value, F.lit(r)).otherwise(rate)
+    drawn = heads.where(portable_share(F.col("cluster")) < rate)
+    return own.join(drawn, "cluster").select("doc_id", "cluster", "stratum")

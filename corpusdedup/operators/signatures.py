@@ -26,11 +26,11 @@ def dense_buckets(sig: np.ndarray, cfg: DedupConfig, k_buckets: int) -> np.ndarr
     return sig.reshape(cfg.bands, cfg.rows).sum(axis=1) % k_buckets
 
 
-def signatures(docs: DataFrame, cfg: DedupConfig = DedupConfig(), k_buckets: int | None = None, engine: str = "arrow", text_key: bool = False) -> DataFrame:
+def signatures(docs: DataFrame, cfg: DedupConfig = DedupConfig(), k_buckets: int | None = None, engine: str = "arrow", text_key: bool = False, method: str = "direct") -> DataFrame:
     """doc_id, sig, buckets of each document; null sig for a text without a shingle, null buckets without ``k_buckets``.
 
     The ``sql`` engine explodes shingles and takes minima by a partial and a final aggregate; it leaves such texts out.  With
-    ``text_key`` the SHA-256 of the text comes along, from the same reading of the texts.
+    ``text_key`` the SHA-256 of the text comes along, from the same reading of the texts.  ``method`` evaluates polynomial hashes.
     """
     if engine == "sql":
         return _sql_signatures(docs, cfg, k_buckets)
@@ -43,7 +43,7 @@ def signatures(docs: DataFrame, cfg: DedupConfig = DedupConfig(), k_buckets: int
             for k in range(0, batch.num_rows, 256):
                 sigs, buckets = [], []
                 for t in batch.column(1).slice(k, 256).to_pylist():
-                    s = signature(codes_of(t) if cfg.unit == "char" else word_codes(t), cfg) if t is not None else None
+                    s = signature(codes_of(t) if cfg.unit == "char" else word_codes(t), cfg, method) if t is not None else None
                     sigs.append(s), buckets.append(dense_buckets(s, cfg, k_buckets) if s is not None and k_buckets else None)
                 own = [batch.column(2).slice(k, 256)] if text_key else []
                 yield pa.RecordBatch.from_arrays([ids.slice(k, 256), pa.array(sigs, ints), pa.array(buckets, ints), *own], names=names)

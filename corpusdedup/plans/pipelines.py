@@ -44,12 +44,13 @@ class DedupResult:
         return self.corpus.sparkSession.createDataFrame(rows, "run string, phase string, key string, value double")
 
 
-def find_pairs(docs: DataFrame, cfg: DedupConfig, plan: str, verify: bool = True, reduce: bool = True, collapse: bool | None = None, seconds: dict[str, float] | None = None, even: bool = True) -> DataFrame:
+def find_pairs(docs: DataFrame, cfg: DedupConfig, plan: str, verify: bool = True, reduce: bool = True, collapse: bool | None = None, seconds: dict[str, float] | None = None, even: bool = True, pipelined: bool = True) -> DataFrame:
     """u, v, matches by one of ``PLANS`` over cleaned documents.
 
     ``dense``: few large buckets, all pairs.  ``stream``: the same from a hash store in sweeps.  ``scale``: buckets of equal
     bands, keys only exchanged, equal texts collapsed first.  ``cpu_baseline``: SHA-1, equal bands, anchor.  ``gpu_baseline``:
-    Murmur3, MD5 of the band, all signatures exchanged with every band, anchor.  ``even``: see to it that all cores have input.
+    Murmur3, MD5 of the band, all signatures exchanged with every band, anchor.  ``even``: see to it that all cores have input.  Without
+    ``pipelined`` texts are written before they are hashed, and sweeps run one after the other.
     """
     seconds = seconds if seconds is not None else {}
     spark = docs.sparkSession
@@ -65,7 +66,8 @@ def find_pairs(docs: DataFrame, cfg: DedupConfig, plan: str, verify: bool = True
         cfg = cfg.but(family="murmur3")
     copies, one_text = None, collapse if collapse is not None else plan == "scale"
     k = buckets_for(docs, cfg) if plan in ("dense", "stream") else None
-    sig = materialise(signatures(spread(docs) if even else docs, cfg, k, text_key=one_text), "signatures")
+    docs = spread(docs) if even else docs
+    sig = materialise(signatures(docs if pipelined else materialise(docs, "texts"), cfg, k, text_key=one_text), "signatures")
     if one_text:
         copies = copies_of(sig)
         if plan != "scale":
@@ -78,7 +80,7 @@ def find_pairs(docs: DataFrame, cfg: DedupConfig, plan: str, verify: bool = True
         pairs = compare(band_rows(sig, cfg), cfg, reduce=reduce)
     elif plan == "stream":
         store = HashStore(spark).write(band_rows(sig, cfg))
-        pairs = streamed_compare(store, cfg, k, cfg.buckets_per_pass or max(1, k // 4), reduce=reduce)
+        pairs = streamed_compare(store, cfg, k, cfg.buckets_per_pass or max(1, k // 4), reduce=reduce, pipelined=pipelined)
     elif plan == "cpu_baseline":
         pairs = compare(band_rows(sig, cfg, "exact_band"), cfg, "anchor", verify=verify, reduce=False)
     elif plan == "gpu_baseline":
@@ -104,7 +106,10 @@ def keys_only_pairs(sig: DataFrame, cfg: DedupConfig, reduce: bool = True) -> Da
     keys = band_rows(sig, cfg, "exact_band", "text_key" if "text_key" in sig.columns else None)
     if "text_key" in keys.columns:
         keys = keys.groupBy("band", "bucket", "text_key").agg(F.min("doc_id").alias("doc_id")).select("band", "bucket", "doc_id")
-    shared = keys.groupBy("band", "bucket").agg(F.count("*").alias("n"), F.min("doc_id").alias("head")).where("n > 1")
+    # Bands in which the same documents meet are told by hashes of the set; one of them is enough.
+    mark = lambda salt: F.bit_xor(F.xxhash64("doc_id", F.lit(salt)))
+    shared = keys.groupBy("band", "bucket").agg(F.count("*").alias("n"), F.min("doc_id").alias("head"), mark(1).alias("s"), mark(2).alias("t")).where("n > 1")
+    shared = shared.groupBy("n", "head", "s", "t").agg(F.min(F.struct("band", "bucket")).alias("b")).select("b.band", "b.bucket", "n", "head")
     members = materialise(keys.join(shared, ["band", "bucket"]), "shared-bands")
     found = compare((members.where(F.col("n") <= cfg.d_max) if reduce else members).join(sig.select("doc_id", "sig"), "doc_id"), cfg, reduce=reduce)
     if reduce and (members.agg(F.max("n")).first()[0] or 0) > cfg.d_max:
@@ -125,7 +130,7 @@ def _crowded_pairs(members: DataFrame, sig: DataFrame, cfg: DedupConfig) -> Data
     return star.select("u", "v", "matches").union(compare(split_apart(rows, cfg), cfg))
 
 
-def dedup(docs: DataFrame, cfg: DedupConfig = DedupConfig(), plan: str = "scale", verify: bool = True, components: str = "contract", nfc: bool = True, reduce: bool = True, collapse: bool | None = None, labels: DataFrame | None = None) -> DedupResult:
+def dedup(docs: DataFrame, cfg: DedupConfig = DedupConfig(), plan: str = "scale", verify: bool = True, components: str = "contract", nfc: bool = True, reduce: bool = True, collapse: bool | None = None, labels: DataFrame | None = None, pipelined: bool = True) -> DedupResult:
     """Clean, hash, compare, connect, choose.
 
     Null texts and those below ``cfg.min_chars`` are no part of the corpus; ids must be unique; an empty corpus gives empty
@@ -133,7 +138,7 @@ def dedup(docs: DataFrame, cfg: DedupConfig = DedupConfig(), plan: str = "scale"
     """
     seconds: dict[str, float] = {}
     corpus = clean(spread(docs), cfg, nfc)
-    pairs = find_pairs(corpus, cfg, plan, verify, reduce, collapse, seconds, even=False)
+    pairs = find_pairs(corpus, cfg, plan, verify, reduce, collapse, seconds, even=False, pipelined=pipelined)
     began = time.time()
     clusters = materialise(connected_components(pairs.select("u", "v"), components), "clusters")
     decisions = select_survivors(clusters, cfg.keep, corpus, labels)

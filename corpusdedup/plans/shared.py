@@ -4,30 +4,65 @@ from __future__ import annotations
 
 import tempfile
 import uuid
+from collections.abc import Callable, Iterator
+from contextlib import contextmanager
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The session's spark.checkpoint.dir; a folder of our own only where that is unset (tests on one machine)."""
+    """The session's spark.checkpoint.dir.  Where it is unset, a folder of our own, but on one machine only."""
     found = spark.conf.get("spark.checkpoint.dir", None)
     if not found:
+        if not spark.sparkContext.master.startswith("local["):
+            raise ValueError("spark.checkpoint.dir must name a folder that the driver and all executors share")
         found = tempfile.mkdtemp(prefix="shared-")
         spark.conf.set("spark.checkpoint.dir", found)
     return found.rstrip("/")
 
 
+#: Paths of the tables written so far and not deleted, oldest first.
+_written: list[str] = []
+
+
 def materialise(df: DataFrame, name: str) -> DataFrame:
     """Write ``df`` as Parquet in the shared folder and read it back.
 
-    The lineage ends there, so a lost executor costs the tasks that it ran and nothing else.
+    The lineage ends there, so a lost executor costs the tasks that it ran and nothing else.  Tables stay until ``releasing``
+    deletes them, for a result that isn't computed yet may read them.
     """
     path = f"{shared_dir(df.sparkSession)}/{name}-{uuid.uuid4().hex}"
     df.write.parquet(path)
+    _written.append(path)
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
+def paths_of(*tables: DataFrame) -> set[str]:
+    """Folders of the written tables that these results read directly."""
+    return {f.rpartition("/")[0] for t in tables for f in t.inputFiles()}
+
+
+@contextmanager
+def releasing(spark: SparkSession) -> Iterator[Callable[..., None]]:
+    """Delete the tables written inside the block at its end, but for those handed to the function that it gives.
+
+    What is handed over must be written itself: what it was computed from goes.
+    """
+    first, kept = len(_written), set()
+    try:
+        yield lambda *tables: kept.update(paths_of(*tables))
+    finally:
+        mine, names = _written[first:], {p.rpartition("/")[2] for p in kept}
+        del _written[first:]
+        for path in mine:
+            if path.rpartition("/")[2] in names:
+                _written.append(path)
+                continue
+            at = spark._jvm.org.apache.hadoop.fs.Path(path)
+            at.getFileSystem(spark._jsc.hadoopConfiguration()).delete(at, True)
+
+
 #: Estimated bytes up to which ``fitted`` marks a table for broadcasting.
 BROADCAST_BYTES = 24 << 20
 

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import re
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
@@ -75,6 +76,24 @@ def base_sql(q: int = CFG.q, p: int = CFG.p, name: str = "base") -> str:
     return f"{name} AS (SELECT DISTINCT doc_id, ({' + '.join(terms)}) % {p} AS h FROM grams)"
 
 
+def murmur_sql(name: str = "base", distinct: bool = True) -> str:
+    """Murmur3 of the five characters of each gram, chained as Spark's hash chains integers, by 64-bit arithmetic on 32-bit numbers."""
+    word, low = "4294967296", "CAST(4294967296 AS UBIGINT)"
+    keep = "doc_id, g"
+    sub = f"SELECT {keep}, CAST({CFG.seed} AS UBIGINT) AS h FROM grams"
+    turned = lambda x, n: f"({x} * {1 << n} % {word}) + ({x} // {1 << (32 - n)})"
+    for j in range(5):
+        sub = f"SELECT {keep}, h, CAST(unicode(substr(g, {j + 1}, 1)) AS UBIGINT) * 3432918353 % {low} AS x FROM ({sub})"
+        sub = f"SELECT {keep}, h, ({turned('x', 15)}) * 461845907 % {low} AS x FROM ({sub})"
+        sub = f"SELECT {keep}, xor(h, x) AS h FROM ({sub})"
+        sub = f"SELECT {keep}, xor((({turned('h', 13)}) * 5 + 3864292196) % {low}, CAST(4 AS UBIGINT)) AS h FROM ({sub})"
+        sub = f"SELECT {keep}, xor(h, h // 65536) * 2246822507 % {low} AS h FROM ({sub})"
+        sub = f"SELECT {keep}, xor(h, h // 8192) * 3266489909 % {low} AS h FROM ({sub})"
+        sub = f"SELECT {keep}, xor(h, h // 65536) AS h FROM ({sub})"
+    signed = f"CASE WHEN h >= 2147483648 THEN CAST(h AS BIGINT) - {word} ELSE CAST(h AS BIGINT) END"
+    return f"{name} AS (SELECT {'DISTINCT ' if distinct else ''}doc_id, (({signed}) % {CFG.p} + {CFG.p}) % {CFG.p} AS h FROM ({sub}))"
+
+
 def sig_sql(cfg: DedupConfig = CFG, base: str = "base") -> str:
     least = ", ".join(f"min((h * {a} + {b}) % {cfg.p})" for a, b in zip(*cfg.constants))
     return f"sig AS (SELECT doc_id, [{least}] AS s FROM {base} GROUP BY doc_id)"
@@ -170,7 +189,10 @@ def signature_sha1(spark, sf):
     return _checksum(spark, sf, "sha1")
 
 
-@query("signature_murmur3_checksum")
+_MURMUR_SIG = ", ".join((DOCS, GRAMS, murmur_sql(), sig_sql()))
+
+
+@query("signature_murmur3_checksum", with_(_MURMUR_SIG, "SELECT doc_id, CAST(list_sum(s) AS BIGINT) AS checksum FROM sig"))
 def signature_murmur3(spark, sf):
     return _checksum(spark, sf, "murmur3")
 
@@ -180,7 +202,16 @@ def signature_xxhash64(spark, sf):
     return _checksum(spark, sf, "xxhash64")
 
 
-@query("signature_word_checksum")
+_WORDS = "list_filter(string_split_regex(text, '\\s+'), lambda x: x <> '')"
+_WORD_SIG = ", ".join(
+    (
+        DOCS, f"codes AS (SELECT doc_id, list_transform({_WORDS}, lambda x: CAST(('0x' || substr(md5(x), 1, 8)) AS BIGINT) // 2) AS c FROM docs)",
+        f"base AS (SELECT DISTINCT doc_id, ({' + '.join(f'c[i + {j}] * {pow(CFG.q, j, CFG.p)}' for j in range(5))}) % {CFG.p} AS h FROM codes, unnest(range(1, len(c) - 3)) AS t(i))", sig_sql(),
+    )
+)
+
+
+@query("signature_word_checksum", with_(_WORD_SIG, "SELECT doc_id, CAST(list_sum(s) AS BIGINT) AS checksum FROM sig"))
 def signature_word(spark, sf):
     own = signatures(docs(spark, sf), CFG.but(unit="word"))
     return own.select("doc_id", F.aggregate("sig", F.lit(0).cast("long"), lambda a, x: a + x).alias("checksum"))
@@ -345,7 +376,8 @@ def dup_pairs_dense_anchor(spark, sf):
     return _pairs(compare(band_rows(sigs(spark, sf), CFG), CFG, "anchor", reduce=False))
 
 
-_SHA = ", ".join((DOCS, GRAMS, f"base AS (SELECT DISTINCT doc_id, CAST(('0x' || substr(sha1(g), 33, 8)) AS BIGINT) % {CFG.p} AS h FROM grams)", sig_sql(), LONG, PAIRS))
+_SHA_BASE = f"base AS (SELECT DISTINCT doc_id, CAST(('0x' || substr(sha1(g), 33, 8)) AS BIGINT) % {CFG.p} AS h FROM grams)"
+_SHA = ", ".join((DOCS, GRAMS, _SHA_BASE, sig_sql(), LONG, PAIRS))
 
 
 @query("dup_pairs_cpu_baseline", with_(", ".join((_SHA, EXACT_BAND, _ANCHOR, VERIFIED)), _P))
@@ -353,17 +385,29 @@ def dup_pairs_cpu_baseline(spark, sf):
     return find_pairs(docs(spark, sf), CFG, "cpu_baseline")
 
 
-@query("dup_pairs_gpu_baseline")
+_MURMUR = f"{_MURMUR_SIG}, {LONG}, {PAIRS}"
+
+
+@query("dup_pairs_gpu_baseline", with_(", ".join((_MURMUR, EXACT_BAND, _ANCHOR, VERIFIED)), _P))
 def dup_pairs_gpu_baseline(spark, sf):
     return find_pairs(docs(spark, sf), CFG, "gpu_baseline")
 
 
-@query("dup_pairs_murmur3_ablation")
+@query("dup_pairs_murmur3_ablation", with_(", ".join((_MURMUR, kk(), DENSE, CANDIDATES, VERIFIED)), _P))
 def dup_pairs_murmur3_ablation(spark, sf):
     return find_pairs(docs(spark, sf), CFG.but(family="murmur3"), "dense", reduce=False)
 
 
-@query("dup_pairs_scale_plan")
+_REPS = "reps AS (SELECT min(doc_id) AS doc_id, text FROM docs GROUP BY text)"
+
+
+@query(
+    "dup_pairs_scale_plan",
+    with_(
+        ", ".join((EXACT, _REPS, EXACT_BAND, CANDIDATES, VERIFIED)),
+        _P + " WHERE u IN (SELECT doc_id FROM reps) AND v IN (SELECT doc_id FROM reps) UNION ALL SELECT r.doc_id, d.doc_id, 128 FROM docs d JOIN reps r USING (text) WHERE d.doc_id <> r.doc_id",
+    ),
+)
 def dup_pairs_scale_plan(spark, sf):
     return find_pairs(docs(spark, sf), CFG, "scale", reduce=False)
 
@@ -442,7 +486,37 @@ def fidelity_vs_exact(spark, sf):
     return f.select("method", "level", "n_a", "n_b", "n_both", *[F.round(c, 9).alias(c) for c in ("jaccard", "precision", "recall")])
 
 
-@query("fidelity_all_levels")
+_NAMES = re.compile(r"\b(base|sig|long|pairs|bands|heads|cand|found|reach|comp)\b")
+
+
+def suffixed(parts: str, suffix: str) -> str:
+    """The same common table expressions under names of their own."""
+    return _NAMES.sub(lambda m: f"{m.group()}_{suffix}", parts)
+
+
+_PLANS_SQL = ", ".join(
+    (
+        DOCS, GRAMS, kk(),
+        suffixed(", ".join((base_sql(), sig_sql(), LONG, PAIRS, "found AS (SELECT * FROM pairs)", CC)), "exact"),
+        suffixed(", ".join((base_sql(), sig_sql(), LONG, PAIRS, DENSE, CANDIDATES, VERIFIED, CC)), "dense"),
+        suffixed(", ".join((_SHA_BASE, sig_sql(), LONG, PAIRS, EXACT_BAND, _ANCHOR, VERIFIED, CC)), "cpu_baseline"),
+        suffixed(", ".join((murmur_sql(), sig_sql(), LONG, PAIRS, EXACT_BAND, _ANCHOR, VERIFIED, CC)), "gpu_baseline"),
+    )
+)
+
+
+def _fidelity_sql(a: str, b: str, level: str, label: str) -> str:
+    """One row of measures of what plan ``a`` found against plan ``b``."""
+    ids = lambda p: {"pair": f"SELECT u, v FROM found_{p}", "member": f"SELECT doc_id FROM comp_{p}", "removed": f"SELECT doc_id FROM comp_{p} WHERE doc_id <> cluster"}[level]
+    counts = f"SELECT (SELECT count(*) FROM ({ids(a)})) AS n_a, (SELECT count(*) FROM ({ids(b)})) AS n_b, (SELECT count(*) FROM ({ids(a)} INTERSECT {ids(b)})) AS n_both"
+    return f"SELECT '{label}' AS method, '{level}' AS level, n_a, n_b, n_both, round(n_both / (n_a + n_b - n_both), 9) AS jaccard, round(n_both / n_a, 9) AS precision, round(n_both / n_b, 9) AS recall, round(100 * (n_both / n_b), 9) AS overlap_pct FROM ({counts})"
+
+
+def _rounded(f: DataFrame) -> DataFrame:
+    return f.select("method", "level", "n_a", "n_b", "n_both", *[F.round(c, 9).alias(c) for c in ("jaccard", "precision", "recall", "overlap_pct")])
+
+
+@query("fidelity_all_levels", with_(_PLANS_SQL, " UNION ALL ".join(_fidelity_sql(p, "exact", level, p) for p in ("dense", "cpu_baseline", "gpu_baseline") for level in ("pair", "member", "removed")), True))
 def fidelity_all_levels(spark, sf):
     own = table(spark, sf, "documents")
     exact = dedup(own, CFG, "exact_minhash", reduce=False)
@@ -451,13 +525,13 @@ def fidelity_all_levels(spark, sf):
         r = dedup(own, CFG, plan, reduce=False)
         rows = fidelity(r.pairs, exact.pairs, ["u", "v"], "pair", plan).union(fidelity(r.decisions, exact.decisions, ["doc_id"], "member", plan)).union(fidelity(r.drop, exact.drop, ["doc_id"], "removed", plan))
         out = rows if out is None else out.union(rows)
-    return out
+    return _rounded(out)
 
 
-@query("overlap_vs_shuffle")
+@query("overlap_vs_shuffle", with_(_PLANS_SQL, _fidelity_sql("dense", "gpu_baseline", "member", "dense_vs_gpu_baseline"), True))
 def overlap_vs_shuffle(spark, sf):
     own = table(spark, sf, "documents")
-    return fidelity(dedup(own, CFG, "dense").decisions, dedup(own, CFG, "gpu_baseline").decisions, ["doc_id"], "member", "dense_vs_gpu_baseline")
+    return _rounded(fidelity(dedup(own, CFG, "dense").decisions, dedup(own, CFG, "gpu_baseline").decisions, ["doc_id"], "member", "dense_vs_gpu_baseline"))
 
 
 def _k_sweep_sql() -> str:

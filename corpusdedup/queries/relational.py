@@ -7,7 +7,8 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from corpusdedup.plans.shared import shared_dir
+from corpusdedup.plans.shared import materialise, shared_dir
+from corpusdedup.queries import methods
 from corpusdedup.sources.corpus import read_corpus, round_trip
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
@@ -163,19 +164,33 @@ def join_cross(spark, sf):
     return t(spark, sf, "region").crossJoin(t(spark, sf, "nation")).select("r_name", "n_name")
 
 
-@op("join_theta", "SELECT a.n_nationkey AS u, b.n_nationkey AS v FROM nation a JOIN nation b ON a.n_nationkey < b.n_nationkey")
+@op("join_theta", "SELECT a.doc_id, count(*) AS shorter FROM documents a JOIN benchmark b ON length(b.text) < length(a.text) GROUP BY 1")
 def join_theta(spark, sf):
-    a, b = t(spark, sf, "nation").select(F.col("n_nationkey").alias("u")), t(spark, sf, "nation").select(F.col("n_nationkey").alias("v"))
-    return a.join(b, F.col("u") < F.col("v"))
-
-
-@op("join_range", "SELECT count(*) AS pairs FROM documents a JOIN documents b ON a.doc_id < b.doc_id AND b.n_chars BETWEEN 0.98 * a.n_chars AND a.n_chars / 0.98 AND a.lang = b.lang AND a.lang = 'es'")
+    """Items shorter than each document.  An inequality alone has no key, so it becomes a rank among the items' lengths, which are as many as there are lengths."""
+    sizes = t(spark, sf, "benchmark").groupBy(F.char_length("text").alias("_n")).agg(F.count("*").alias("_items"))
+    sizes = sizes.select("_n", "_items", F.lit(None).cast("long").alias("doc_id"))
+    own = t(spark, sf, "documents").select(F.char_length("text").alias("_n"), F.lit(0).cast("long").alias("_items"), "doc_id")
+    # Both sides by length: totals of cells of lengths before, and the running total inside a cell, so no task holds all.
+    both = own.unionByName(sizes).withColumn("_cell", F.floor(F.log2(F.col("_n") + 1) * 8))
+    cells = both.groupBy("_cell").agg(F.sum("_items").alias("_in"))  # some hundreds of rows at most
+    before = cells.select("_cell", (F.sum("_in").over(Window.orderBy("_cell")) - F.col("_in")).alias("_before"))
+    lengths = both.groupBy("_cell", "_n").agg(F.sum("_items").alias("_in"))
+    shorter = lengths.select("_cell", "_n", (F.sum("_in").over(Window.partitionBy("_cell").orderBy("_n")) - F.col("_in")).alias("_inside")).join(F.broadcast(before), "_cell")
+    found = own.join(shorter.select("_n", (F.col("_before") + F.col("_inside")).alias("shorter")), "_n")
+    return found.where("shorter > 0").select("doc_id", "shorter")
+
+
+@op("join_range", "SELECT a.doc_id, count(*) AS partners FROM documents a JOIN documents b ON a.doc_id <> b.doc_id AND b.n_chars BETWEEN 0.8 * a.n_chars AND a.n_chars / 0.8 AND a.lang = b.lang GROUP BY 1")
 def join_range(spark, sf):
-    """Lengths within a ratio: each length goes to its cell on a log scale and to both neighbours, so the range join is an equi-join."""
-    own = t(spark, sf, "documents").where("lang = 'es' and n_chars > 0").select("doc_id", "n_chars", F.floor(F.log(F.col("n_chars")) / F.lit(0.0203)).alias("cell"))
-    a = own.select(F.col("doc_id").alias("u"), F.col("n_chars").alias("nu"), F.explode(F.array(F.col("cell") - 1, F.col("cell"), F.col("cell") + 1)).alias("cell"))
-    b = own.select(F.col("doc_id").alias("v"), F.col("n_chars").alias("nv"), "cell")
-    return a.join(b, "cell").where((F.col("u") < F.col("v")) & (F.col("nv") >= 0.98 * F.col("nu")) & (F.col("nv") <= F.col("nu") / 0.98)).agg(F.count("*").alias("pairs"))
+    """Other documents of a language whose length is within a ratio: lengths meet lengths, with how many documents have them, so no pair of documents is made."""
+    own = t(spark, sf, "documents").where("n_chars > 0 and lang is not null").select("doc_id", "lang", "n_chars")
+    # A length's cell on a log scale, and both neighbours, hold all lengths within the ratio: an equi-join.
+    cell = lambda c: F.floor(F.log(c) / F.lit(0.2232))
+    lengths = own.groupBy("lang", "n_chars").agg(F.count("*").alias("_docs"))
+    there = lengths.select("lang", cell(F.col("n_chars")).alias("_cell"), F.col("n_chars").alias("_n"), "_docs")
+    here = lengths.select("lang", "n_chars", F.explode(F.array(cell(F.col("n_chars")) - 1, cell(F.col("n_chars")), cell(F.col("n_chars")) + 1)).alias("_cell"))
+    met = here.join(there, ["lang", "_cell"]).where((F.col("_n") >= 0.8 * F.col("n_chars")) & (F.col("_n") <= F.col("n_chars") / 0.8))
+    return own.join(met.groupBy("lang", "n_chars").agg((F.sum("_docs") - 1).alias("partners")), ["lang", "n_chars"]).where("partners > 0").select("doc_id", "partners")
 
 
 @op("join_interval", "SELECT a.event_id AS a, b.event_id AS b FROM events a JOIN events b ON a.user_id = b.user_id AND b.ts > a.ts AND b.ts <= a.ts + INTERVAL 10 MINUTE")
@@ -326,10 +341,15 @@ def win_first_last(spark, sf):
 # Order, limits, sets
 
 
-@op("sort_global", "SELECT doc_id, CAST(row_number() OVER (ORDER BY n_chars DESC, doc_id) AS BIGINT) AS place FROM documents ORDER BY n_chars DESC, doc_id LIMIT 50")
+@op("sort_global", "SELECT doc_id, CAST(row_number() OVER (ORDER BY n_chars DESC, doc_id) AS BIGINT) AS place FROM documents")
 def sort_global(spark, sf):
-    top = t(spark, sf, "documents").select("doc_id", "n_chars").orderBy(F.col("n_chars").desc(), "doc_id").limit(50)
-    return top.select("doc_id", F.row_number().over(Window.orderBy(F.col("n_chars").desc(), "doc_id")).cast("long").alias("place"))
+    """Places in the order of all rows: a range partitioning sorts them, and what stands before each partition is added."""
+    order = [F.col("n_chars").desc(), F.col("doc_id")]
+    own = materialise(t(spark, sf, "documents").select("doc_id", "n_chars").repartitionByRange(*order).sortWithinPartitions(*order).withColumn("_id", F.monotonically_increasing_id()), "sorted")
+    part = own.withColumn("_part", F.shiftright("_id", 33))
+    sizes = part.groupBy("_part").agg(F.count("*").alias("_n"))  # a row for each partition
+    before = sizes.select("_part", (F.sum("_n").over(Window.orderBy("_part")) - F.col("_n")).alias("_before"))
+    return part.join(F.broadcast(before), "_part").select("doc_id", (F.col("_before") + F.col("_id").bitwiseAND((1 << 33) - 1) + 1).alias("place"))
 
 
 @op("sort_within", "SELECT count(*) AS n, true AS ordered FROM documents")
@@ -380,10 +400,18 @@ def set_intersect(spark, sf):
     return a.intersect(b)
 
 
-@op("set_intersect_all", "SELECT l_returnflag FROM lineitem WHERE l_orderkey < 100 INTERSECT ALL SELECT l_returnflag FROM lineitem WHERE l_orderkey < 50")
-def set_intersect_all(spark, sf):
+_RETURNED, _SHIPPED = "SELECT l_partkey FROM lineitem WHERE l_returnflag = 'R'", "SELECT l_partkey FROM lineitem WHERE l_linestatus = 'O'"
+
+
+def _parts(spark, sf):
     own = t(spark, sf, "lineitem")
-    return own.where("l_orderkey < 100").select("l_returnflag").intersectAll(own.where("l_orderkey < 50").select("l_returnflag"))
+    return own.where("l_returnflag = 'R'").select("l_partkey"), own.where("l_linestatus = 'O'").select("l_partkey")
+
+
+@op("set_intersect_all", f"{_RETURNED} INTERSECT ALL {_SHIPPED}")
+def set_intersect_all(spark, sf):
+    a, b = _parts(spark, sf)
+    return a.intersectAll(b)
 
 
 @op("set_except", f"{_A} EXCEPT {_B}")
@@ -392,10 +420,10 @@ def set_except(spark, sf):
     return a.subtract(b)
 
 
-@op("set_except_all", "SELECT l_returnflag FROM lineitem WHERE l_orderkey < 100 EXCEPT ALL SELECT l_returnflag FROM lineitem WHERE l_orderkey < 50")
+@op("set_except_all", f"{_RETURNED} EXCEPT ALL {_SHIPPED}")
 def set_except_all(spark, sf):
-    own = t(spark, sf, "lineitem")
-    return own.where("l_orderkey < 100").select("l_returnflag").exceptAll(own.where("l_orderkey < 50").select("l_returnflag"))
+    a, b = _parts(spark, sf)
+    return a.exceptAll(b)
 
 
 # Strings, numbers, dates
@@ -424,11 +452,15 @@ def str_hashes_spark(spark, sf):
     return t(spark, sf, "documents").select("doc_id", F.hash("text").alias("murmur3"), F.xxhash64("text").alias("xxhash64"))
 
 
-@op("str_levenshtein", "SELECT a.n_name AS a, b.n_name AS b, CAST(levenshtein(a.n_name, b.n_name) AS INTEGER) AS d FROM nation a JOIN nation b ON a.n_nationkey < b.n_nationkey")
+_HOST = "regexp_extract(url, '^https?://([^/?#]+)', 1)"
+
+
+@op("str_levenshtein", f"SELECT page_id, CAST(levenshtein(url, before) AS INTEGER) AS d FROM (SELECT page_id, url, lag(url) OVER (PARTITION BY {_HOST} ORDER BY page_id) AS before FROM pages) WHERE before IS NOT NULL")
 def str_levenshtein(spark, sf):
-    n = t(spark, sf, "nation")
-    a, b = n.select(F.col("n_nationkey").alias("i"), F.col("n_name").alias("a")), n.select(F.col("n_nationkey").alias("j"), F.col("n_name").alias("b"))
-    return a.join(b, F.col("i") < F.col("j")).select("a", "b", F.levenshtein("a", "b").alias("d"))
+    """Edit distance of each page's address and that of the page before it of the same host."""
+    w = Window.partitionBy(F.parse_url("url", F.lit("HOST"))).orderBy("page_id")
+    own = t(spark, sf, "pages").select("page_id", "url", F.lag("url").over(w).alias("before"))
+    return own.where("before is not null").select("page_id", F.levenshtein("url", "before").alias("d"))
 
 
 @op("str_functions", "SELECT doc_id, substr(text, 1, 10) AS head, upper(source) AS src, length(trim(text)) AS n, translate(lang, 'de', 'xy') AS tr, concat_ws('-', lang, source) AS both FROM documents")
@@ -494,9 +526,12 @@ def struct_nested(spark, sf):
     return own.select("conv_id", F.md5(F.array_join(F.transform("m", lambda x: F.concat(x["role"], F.lit(":"), x["text"])), "\n")).alias("digest"), "turns")
 
 
-@op("sample_stratified")
+@op("sample_stratified", "SELECT doc_id, lang FROM documents WHERE CAST(('0x' || substr(md5(CAST(doc_id AS VARCHAR)), 1, 8)) AS BIGINT) / 4294967296.0 < CASE lang WHEN 'en' THEN 0.1 WHEN 'de' THEN 0.5 ELSE 0 END")
 def sample_stratified(spark, sf):
-    return t(spark, sf, "documents").select("doc_id", "lang").sampleBy("lang", {"en": 0.1, "de": 0.5}, seed=7)
+    from corpusdedup.operators.select import portable_share
+
+    rate = F.when(F.col("lang") == "en", 0.1).when(F.col("lang") == "de", 0.5).otherwise(0.0)
+    return t(spark, sf, "documents").select("doc_id", "lang").where(portable_share(F.col("doc_id")) < rate)
 
 
 @op("subquery_corr", "SELECT o_orderkey FROM orders o WHERE o_totalprice > (SELECT 1.5 * avg(o_totalprice) FROM orders i WHERE i.o_custkey = o.o_custkey)")
@@ -518,9 +553,14 @@ def subquery_exists(spark, sf):
     return spark.sql("SELECT c_custkey FROM _customer c WHERE EXISTS (SELECT 1 FROM _orders o WHERE o.o_custkey = c.c_custkey AND o.o_totalprice > 200000)")
 
 
-@op("cte_recursive", "WITH RECURSIVE r(n) AS (SELECT 1 UNION ALL SELECT n * 2 FROM r WHERE n < 1000) SELECT n FROM r")
+_WALK = "WITH RECURSIVE walk(conv_id, turn, depth) AS (SELECT conv_id, min(turn), 0 FROM {t} GROUP BY conv_id UNION ALL SELECT w.conv_id, c.turn, w.depth + 1 FROM walk w JOIN {t} c ON c.conv_id = w.conv_id AND c.turn = w.turn + 1) SELECT conv_id, turn, depth FROM walk"
+
+
+@op("cte_recursive", _WALK.format(t="conversations"))
 def cte_recursive(spark, sf):
-    return spark.sql("WITH RECURSIVE r(n) AS (SELECT 1 UNION ALL SELECT n * 2 FROM r WHERE n < 1000) SELECT n FROM r")
+    """Walks the edges from each turn to the next."""
+    t(spark, sf, "conversations").createOrReplaceTempView("_conversations")
+    return spark.sql(_WALK.format(t="_conversations"))
 
 
 # Python surface
@@ -533,7 +573,14 @@ def udf_arrow(spark, sf):
     return t(spark, sf, "documents").select("doc_id", text_lengths()(F.col("text")).alias("n"))
 
 
-@op("udaf_min_merge")
+def _merged_sql() -> str:
+    from corpusdedup.queries.methods import CFG, base_sql, grams_sql, with_
+
+    least = ", ".join(f"min((h * {a} + {b}) % {CFG.p})" for a, b in zip(*CFG.constants))
+    return with_(f"{grams_sql('documents', 'doc_id', 'grams')}, {base_sql()}", f"SELECT source, CAST(list_sum([{least}]) AS BIGINT) AS checksum FROM base JOIN documents USING (doc_id) GROUP BY 1")
+
+
+@op("udaf_min_merge", _merged_sql())
 def udaf_min_merge(spark, sf):
     from corpusdedup.functions.registered import min_merge
     from corpusdedup.operators.signatures import signatures
@@ -542,11 +589,12 @@ def udaf_min_merge(spark, sf):
     return own.groupBy("source").agg(min_merge()(F.col("sig")).alias("sig")).select("source", F.aggregate("sig", F.lit(0).cast("long"), lambda a, x: a + x).alias("checksum"))
 
 
-@op("udtf_bands")
+@op("udtf_bands", methods.SQL["dense_buckets"])
 def udtf_bands(spark, sf):
     from corpusdedup.functions.registered import register
     from corpusdedup.operators.signatures import signatures
 
     register(spark)
-    signatures(t(spark, sf, "documents")).where("sig is not null").createOrReplaceTempView("_sigs")
-    return spark.sql("SELECT doc_id, band, bucket FROM _sigs, LATERAL lsh_buckets(sig, 126)")
+    own = methods.docs(spark, sf)
+    signatures(own).where("sig is not null").createOrReplaceTempView("_sigs")
+    return spark.sql(f"SELECT doc_id, band, bucket FROM _sigs, LATERAL lsh_buckets(sig, {methods.buckets_for(own, methods.CFG)})")

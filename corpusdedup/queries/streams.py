@@ -9,6 +9,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from corpusdedup.plans.shared import shared_dir
+from corpusdedup.queries import methods
 from corpusdedup.streaming.incremental import stream_dedup
 from corpusdedup.streaming.windows import clicks_before_purchases, distinct_events, drain, event_stream, first_of_bucket, sessions, windowed_counts
 
@@ -47,7 +48,10 @@ def session(spark, sf):
     return drain(sessions(event_stream(spark, sf), "30 minutes"), "complete")
 
 
-@op("watermark_late")
+@op(
+    "watermark_late",
+    "SELECT * FROM (SELECT time_bucket(INTERVAL 1 HOUR, ts) AS start, event_type, count(*) AS n, round(sum(value), 4) AS total FROM events GROUP BY 1, 2) WHERE start + INTERVAL 1 HOUR <= (SELECT max(ts) - INTERVAL 1 HOUR FROM events)",
+)
 def watermark_late(spark, sf):
     """Append mode: windows that the watermark has closed, the rest stay in the state."""
     return drain(windowed_counts(event_stream(spark, sf), "1 hour"))
@@ -66,13 +70,23 @@ def stream_join(spark, sf):
     return drain(clicks_before_purchases(event_stream(spark, sf), event_stream(spark, sf)))
 
 
-@op("stateful", "SELECT n_chars % 50 AS bucket, min(doc_id) AS head FROM documents GROUP BY 1")
+@op("stateful", methods.with_(", ".join((methods.SIG, methods.kk(), methods.DENSE)), "SELECT band * 4294967296 + bucket AS bucket, min(doc_id) AS head FROM bands GROUP BY 1"))
 def stateful(spark, sf):
-    own = spark.readStream.schema("doc_id long, text string, lang string, source string, n_chars long").option("pathGlobFilter", "documents.parquet*").parquet(sf)
-    return drain(first_of_bucket(own.select((F.col("n_chars") % 50).alias("bucket"), "doc_id")), "update")
+    """The anchor of every dense bucket of every band, as documents arrive."""
+    from corpusdedup.operators.bucketing import buckets_for
+    from corpusdedup.operators.normalize import clean
+    from corpusdedup.operators.signatures import band_rows, signatures
+
+    k = buckets_for(methods.docs(spark, sf), methods.CFG)
+    own = spark.readStream.schema("doc_id long, text string").option("pathGlobFilter", "documents.parquet*").parquet(sf)
+    rows = band_rows(signatures(clean(own, methods.CFG), methods.CFG, k), methods.CFG, beside=None)
+    return drain(first_of_bucket(rows.select((F.col("band") * (1 << 32) + F.col("bucket")).alias("bucket"), "doc_id")), "update")
+
+
+_KEPT = ", ".join((methods.EXACT, methods.EXACT_BAND, methods.CANDIDATES, methods.VERIFIED, methods.CC))
 
 
-@op("foreachbatch")
+@op("foreachbatch", methods.with_(_KEPT, "SELECT doc_id, md5(text) AS digest FROM docs WHERE doc_id NOT IN (SELECT doc_id FROM comp WHERE doc_id <> cluster)", True))
 def foreachbatch(spark, sf):
     base = f"{shared_dir(spark)}/incremental-{uuid.uuid4().hex}"
     own = spark.readStream.schema("doc_id long, text string").option("pathGlobFilter", "documents.parquet*").parquet(sf)
