@@ -16,7 +16,7 @@ from corpusdedup.operators.graph import connected_components
 from corpusdedup.operators.normalize import clean
 from corpusdedup.operators.select import apply_dedup, drop_list, select_survivors
 from corpusdedup.operators.signatures import band_rows, signatures
-from corpusdedup.plans.shared import fitted, materialise, spread
+from corpusdedup.plans.shared import fitted, materialise, releasing, spread
 from corpusdedup.plans.store import HashStore, streamed_compare
 
 PLANS = ("dense", "stream", "scale", "cpu_baseline", "gpu_baseline", "exact_minhash", "exact_text", "none")
@@ -138,9 +138,13 @@ def dedup(docs: DataFrame, cfg: DedupConfig = DedupConfig(), plan: str = "scale"
     """
     seconds: dict[str, float] = {}
     corpus = clean(spread(docs), cfg, nfc)
-    pairs = find_pairs(corpus, cfg, plan, verify, reduce, collapse, seconds, even=False, pipelined=pipelined)
+    with releasing(docs.sparkSession) as keep:
+        pairs = find_pairs(corpus, cfg, plan, verify, reduce, collapse, seconds, even=False, pipelined=pipelined)
+        keep(pairs)
     began = time.time()
-    clusters = materialise(connected_components(pairs.select("u", "v"), components), "clusters")
+    with releasing(docs.sparkSession) as keep:
+        clusters = materialise(connected_components(pairs.select("u", "v"), components), "clusters")
+        keep(clusters)
     decisions = select_survivors(clusters, cfg.keep, corpus, labels)
     seconds["union"] = time.time() - began
     return DedupResult(corpus, pairs, clusters, decisions, seconds)

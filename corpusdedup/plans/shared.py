@@ -43,6 +43,18 @@ def paths_of(*tables: DataFrame) -> set[str]:
     return {f.rpartition("/")[0] for t in tables for f in t.inputFiles()}
 
 
+def delete(spark: SparkSession, *tables: DataFrame) -> None:
+    """Delete written tables that nothing needs any more."""
+    for path in paths_of(*tables):
+        _delete(spark, path)
+        _written[:] = [p for p in _written if p.rpartition("/")[2] != path.rpartition("/")[2]]
+
+
+def _delete(spark: SparkSession, path: str) -> None:
+    at = spark._jvm.org.apache.hadoop.fs.Path(path)
+    at.getFileSystem(spark._jsc.hadoopConfiguration()).delete(at, True)
+
+
 @contextmanager
 def releasing(spark: SparkSession) -> Iterator[Callable[..., None]]:
     """Delete the tables written inside the block at its end, but for those handed to the function that it gives.
@@ -59,8 +71,7 @@ def releasing(spark: SparkSession) -> Iterator[Callable[..., None]]:
             if path.rpartition("/")[2] in names:
                 _written.append(path)
                 continue
-            at = spark._jvm.org.apache.hadoop.fs.Path(path)
-            at.getFileSystem(spark._jsc.hadoopConfiguration()).delete(at, True)
+            _delete(spark, path)
 
 
 #: Estimated bytes up to which ``fitted`` marks a table for broadcasting.
