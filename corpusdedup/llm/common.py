@@ -2,12 +2,13 @@
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+from collections.abc import Callable, Iterable, Iterator
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from corpusdedup.plans.shared import fitted, materialise, shared_dir  # noqa: F401
 
@@ -35,6 +36,13 @@ def slices(batch: pa.RecordBatch, column: str, limit: int = SLICE_BYTES) -> Iter
     yield batch.slice(start, batch.num_rows - start)
 
 
+def map_rows(df: DataFrame, run: Callable[[Iterable[pa.RecordBatch]], Iterator[pa.RecordBatch]], kept: int | None = None) -> DataFrame:
+    """``df`` through a function of Arrow batches that gives its columns (the first ``kept``) back; columns go by number, for Spark can't pass names with dots."""
+    kept = len(df.columns) if kept is None else kept
+    fields = [T.StructField(str(k), f.dataType, f.nullable) for k, f in enumerate(df.schema.fields)]
+    return df.toDF(*map(str, range(len(fields)))).mapInArrow(run, T.StructType(fields[:kept])).toDF(*df.columns[:kept])
+
+
 def _buffer(x):
     return x.as_buffer() if x.is_valid else None
 

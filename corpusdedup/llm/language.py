@@ -18,7 +18,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from corpusdedup.llm.common import bounded_draw, slices, text_bytes
+from corpusdedup.llm.common import bounded_draw, map_rows, slices, text_bytes
 from corpusdedup.llm.subword import BUCKETS, Features, tokens, word_numbers
 
 #: Documents drawn of each language to learn from, and bytes of their texts, at most.
@@ -368,12 +368,11 @@ def keep_identified(docs: DataFrame, learn: Column | None = None, per_language:
     crf = fit(docs, fold(5) != 0 if learn is None else learn, per_language)
     shared = docs.sparkSession.sparkContext.broadcast(crf)
     at = [c.lower() for c in docs.columns].index("text")
-    name = docs.columns[at]
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         speaker = Speaker(shared.value)
         for batch in batches:
-            for part in slices(batch, name):
+            for part in slices(batch, str(at)):
                 texts = [(t or "").encode("utf-8", "replace") for t in part.column(at).to_pylist()]
                 if speaker.crf.labels:
                     _, total, sure = speaker.masses(texts)
@@ -382,4 +381,4 @@ def keep_identified(docs: DataFrame, learn: Column | None = None, per_language:
                     keep = [any(map(has_letter, t.split())) for t in texts]
                 yield part.filter(pa.array(keep, pa.bool_()))
 
-    return docs.mapInArrow(run, docs.schema)
+    return map_rows(docs, run)

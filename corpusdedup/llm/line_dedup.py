@@ -17,8 +17,10 @@ from pyspark.sql import functions as F
 from corpusdedup.llm.common import quoted, unused
 from corpusdedup.plans.shared import fitted, materialise
 
-#: Lines of fewer words are compared for equality only: one word of four would be a similarity below 0.8.
+#: Lines of fewer words are compared for equality only by default: one word of four would be a similarity below 0.8.
 MIN_WORDS = 5
+#: The least that ``min_words`` may be: any two lines of a word or two are a word apart or near it.
+LEAST_WORDS = 3
 
 
 def normalised(line: Column) -> Column:
@@ -34,29 +36,31 @@ def _line_rows(docs: DataFrame) -> DataFrame:
     return lines.select("_doc", "_line", normalised(F.col("_raw")).alias("_norm")).where("_norm <> ''")
 
 
-def _end_keys(norm: Column, words: Column) -> Column:
+def _end_keys(norm: Column, words: Column, min_words: int) -> Column:
     """Hashes of a line's first and last h words, for the power of two h that leaves at least one word between; where the next shorter line has half that h, those of that too."""
     half = F.floor(F.log2((words - 1) / 2)).cast("int")
     end = lambda h: F.call_function("substring_index", norm, F.lit(" "), h)
     key = lambda h: F.array(F.xxhash64(end(h), F.lit("first"), h), F.xxhash64(end(-h), F.lit("last"), h))
     h = F.pow(F.lit(2), half).cast("int")
-    both = F.when(words - 1 == 2 * h, F.concat(key(h), F.when(words > MIN_WORDS, key((h / 2).cast("int"))).otherwise(F.array().cast("array<bigint>"))))
-    return F.when(words >= MIN_WORDS, F.coalesce(both, key(h))).otherwise(F.array().cast("array<bigint>"))
+    both = F.when(words - 1 == 2 * h, F.concat(key(h), F.when(words > min_words, key((h / 2).cast("int"))).otherwise(F.array().cast("array<bigint>"))))
+    return F.when(words >= min_words, F.coalesce(both, key(h))).otherwise(F.array().cast("array<bigint>"))
 
 
-def find_repeats(docs: DataFrame) -> DataFrame:
+def find_repeats(docs: DataFrame, min_words: int = MIN_WORDS) -> DataFrame:
     """_doc and _dropped (array of line numbers from 0): the lines that repeat an earlier line, exactly or but for a word.
 
     Earlier is by doc_id, then line number.
     """
+    if min_words < LEAST_WORDS:
+        raise ValueError(f"lines of fewer than {LEAST_WORDS} words can only be equal")
     rows = _line_rows(docs)
     words = F.length("_norm") - F.length(F.translate("_norm", " ", "")) + 1
     rows = rows.select("_doc", "_line", F.xxhash64("_norm").alias("_h"), F.hash("_norm").alias("_g"), words.alias("_n"), "_norm")
-    lines = materialise(rows.select("_doc", "_line", "_h", "_g", "_n", _end_keys(F.col("_norm"), F.col("_n")).alias("_ends")), "lines")
+    lines = materialise(rows.select("_doc", "_line", "_h", "_g", "_n", _end_keys(F.col("_norm"), F.col("_n"), min_words).alias("_ends")), "lines")
 
     # Distinct lines, each with its earliest document.
     distinct = materialise(lines.groupBy("_h", "_g").agg(F.min("_doc").alias("_doc"), F.count("*").alias("_copies"), F.min("_n").alias("_n")), "line-texts")
-    ends = lines.where("_n >= %d" % MIN_WORDS).select("_h", "_g", F.explode("_ends").alias("_end"))
+    ends = lines.where(F.col("_n") >= min_words).select("_h", "_g", F.explode("_ends").alias("_end"))
     # An end shared by two distinct lines shows two different hashes; both extremes are kept by partial aggregation.
     shared = ends.groupBy("_end").agg(F.min("_h").alias("_lo"), F.max("_h").alias("_hi")).where("_lo <> _hi").select("_end")
     shared = materialise(shared, "line-ends")
@@ -127,17 +131,17 @@ def _variants(texts: DataFrame) -> DataFrame:
     return own.select("_h", "_g", "_doc", "_line", F.explode(made).alias("_v")).select("_h", "_g", "_doc", "_line", "_v._key", "_v._at")
 
 
-def dedup_lines(docs: DataFrame) -> DataFrame:
+def dedup_lines(docs: DataFrame, min_words: int = MIN_WORDS) -> DataFrame:
     """``docs`` without the lines that repeat an earlier line, with ``dropped_lines`` (their numbers from 0, ascending) as last column.
 
-    A line is dropped if an earlier one (by doc_id, then line number) equals it after normalisation or, from ``MIN_WORDS``
+    A line is dropped if an earlier one (by doc_id, then line number) equals it after normalisation or, from ``min_words``
     words on, differs by one word.  Lines without words stay.  Null texts and rows without doc_id stay as they are; rows of
     equal doc_id are one document, and lose the same line numbers; other columns stay, and a column named dropped_lines is
     replaced; an empty table gives an empty result.
     """
     columns = [c for c in docs.columns if c.lower() != "dropped_lines"]
     key, gone, lines = unused(columns, "_doc", "_dropped", "_lines")
-    drops = materialise(find_repeats(docs), "line-drops").withColumnsRenamed({"_doc": key, "_dropped": gone})
+    drops = materialise(find_repeats(docs, min_words), "line-drops").withColumnsRenamed({"_doc": key, "_dropped": gone})
     own = [quoted(c) for c in columns]
     joined = docs.select(own).join(fitted(drops, 80), F.col("doc_id").cast("long") == F.col(key), "left")
     split = joined.select(*own, gone, F.explode(F.array(F.when(F.col(gone).isNotNull(), F.split("text", "\n")))).alias(lines))
@@ -146,12 +150,12 @@ def dedup_lines(docs: DataFrame) -> DataFrame:
     return split.select(*[text.alias(c) if c.lower() == "text" else quoted(c) for c in columns], F.coalesce(gone, F.array().cast("array<int>")).alias("dropped_lines"))
 
 
-def drop_repeated_lines(docs: DataFrame) -> DataFrame:
+def drop_repeated_lines(docs: DataFrame, min_words: int = MIN_WORDS) -> DataFrame:
     """``docs`` with the text that ``dedup_lines`` leaves, n_chars brought up to date, and without the documents of which no word is left.
 
     A column named dropped_lines does not pass.
     """
-    left = dedup_lines(docs)
+    left = dedup_lines(docs, min_words)
     touched = F.size("dropped_lines") > 0
     emptied = touched & ~F.col("text").rlike(r"[^ \t\n\x0b\f\r]")
     kept = left.where(~F.coalesce(emptied, F.lit(False)))

@@ -19,7 +19,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from corpusdedup.llm.common import materialise, quoted, slices, text_bytes, unused
+from corpusdedup.llm.common import map_rows, materialise, quoted, slices, text_bytes, unused
 
 #: The base patterns know the first four.
 KINDS = ("email", "ip", "card", "phone", "secret")
@@ -421,4 +421,4 @@ def masked(docs: DataFrame, spans: DataFrame) -> DataFrame:
 
     own = spans.select(F.col("doc_id").alias(key), F.col("spans").alias(found)).dropDuplicates([key])
     both = docs.join(own, F.col("doc_id").cast("long") == F.col(key), "left").select(*map(quoted, docs.columns), found)
-    return both.mapInArrow(run, docs.schema)
+    return map_rows(both, run, len(docs.columns))

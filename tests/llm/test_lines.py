@@ -15,7 +15,7 @@ def one_word_apart(a, b):
     return len(b) == len(a) + 1 and any(b[:i] + b[i + 1 :] == a for i in range(len(b)))
 
 
-def brute_force(docs):
+def brute_force(docs, least=MIN_WORDS):
     seen, out = [], {}
     for i, text in sorted(docs):
         drop = []
@@ -23,7 +23,7 @@ def brute_force(docs):
             words = line.lower().split()
             if not words:
                 continue
-            if any(words == w or (len(words) >= MIN_WORDS <= len(w) and one_word_apart(words, w)) for w in seen):
+            if any(words == w or (len(words) >= least <= len(w) and one_word_apart(words, w)) for w in seen):
                 drop.append(n)
             seen.append(words)
         out[i] = drop
@@ -58,6 +58,13 @@ def test_every_way_to_differ_by_a_word(spark):
         assert got[i][0] == (None if text is None else "\n".join(x for n, x in enumerate(text.split("\n")) if n not in want[i]))
 
 
+def test_shorter_lines_if_asked_for(spark):
+    rows = made(3)
+    for least in (3, 4):
+        got = {r.doc_id: r.dropped_lines for r in dedup_lines(spark.createDataFrame(rows, "doc_id long, text string"), least).collect()}
+        assert got == brute_force(rows, least) and sum(map(len, got.values())) > sum(map(len, brute_force(rows).values()))
+
+
 def test_sql_says_the_same(spark):
     rows = made(2)
     documents = pa.table({"doc_id": [i for i, _ in rows], "text": [t for _, t in rows]})  # noqa: F841

@@ -257,21 +257,45 @@ def test_a_long_conversation_is_cut_in_parts(spark):
     assert parts[0].text.index("answer") > parts[0].text.index("message number 4 ")
 
 
+def threads(seed):
+    """Conversations whose messages quote one another at several levels, with and without a line of introduction."""
+    rng = random.Random(seed)
+    said = ["Shall we go?", "Yes.", "see you at nine\n\nbring the maps", "行", "no\nnot today\nmaybe later", "...", "Über alles gut!", "a line of words that is long enough"]
+    rows = []
+    for conv in range(12):
+        texts = []
+        for turn in range(rng.randint(1, 12)):
+            text = rng.choice(said) if rng.random() < 0.7 else f"message {rng.randint(0, 99)} here\nand more of it"
+            for _ in range(rng.choice([0, 0, 1, 1, 2])):
+                if texts:
+                    old = rng.choice(texts)
+                    lines = old.split("\n")
+                    lines = lines if rng.random() < 0.7 else lines[: rng.randint(1, len(lines))]
+                    quote = "\n".join(rng.choice(["> ", ">", " > "]) + x for x in lines)
+                    head = rng.choice(["", "", "On Monday x wrote:\n", "Am Dienstag:\n"])
+                    text = f"{head}{quote}\n{text}" if rng.random() < 0.8 else f"{text}\n{head}{quote}"
+            texts.append(text)
+            rows.append((conv, rng.choice([turn, turn, turn, max(0, turn - 1)]), rng.choice(["a", "b", None]), text if rng.random() < 0.97 else None))
+    return rows + [(None, 1, "a", "> x"), (3, None, "b", "> Yes."), (40, 0, "a", ""), (40, 0, "a", "")]
+
+
+@pytest.mark.parametrize("seed", range(4))
+def test_threads_equal_sql(spark, seed):
+    import duckdb
+
+    from corpusdedup.llm.entries import CONVERSATIONS_SQL, OP5_SQL
+
+    rows = threads(seed) if seed else CHAT
+    got = order_replies(spark.createDataFrame(rows, "conv_id long, turn long, role string, text string"))
+    c = duckdb.connect()
+    c.execute("CREATE TABLE conversations (conv_id BIGINT, turn BIGINT, role VARCHAR, text VARCHAR)")
+    c.executemany("INSERT INTO conversations VALUES (?, ?, ?, ?)", rows)
+    assert sorted(map(repr, (tuple(r) for r in got.collect()))) == sorted(map(repr, c.execute(OP5_SQL).fetchall()))
+    assert got.where("parent_turn is not null").count() > 2
+    whole = conversations(got).selectExpr("conv_id", "part", "n_messages", "md5(text)").collect()
+    assert sorted(map(repr, (tuple(r) for r in whole))) == sorted(map(repr, c.execute(CONVERSATIONS_SQL).fetchall()))
+
+
 def test_native_plans(spark, sf):
     plan = order_replies(spark.read.parquet(f"{sf}/conversations.parquet"))._jdf.queryExecution().toString()
     assert not re.search("Python|Pandas|Arrow", plan)
-
-
-def test_pipeline(spark, sf):
-    import corpus_pipeline
-
-    docs = spark.read.parquet(f"{sf}/documents.parquet")
-    n = docs.count()
-    for name, stage in corpus_pipeline.STAGES[:-1]:
-        out = stage(spark, docs, sf)
-        assert out.columns == docs.columns and out.dtypes == docs.dtypes
-        assert out.select("doc_id").distinct().count() == out.count() and out.join(docs, "doc_id", "left_anti").count() == 0
-        docs, n = out.cache(), out.count()
-    last = corpus_pipeline.STAGES[-1][1](spark, docs, sf)
-    assert last.select("doc_id").distinct().count() == n > 100
-    assert corpus_pipeline.run(spark, sf).count() == last.count()
