@@ -6,7 +6,7 @@ document bridges two groups that were apart until then.
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.streaming import StreamingQuery
 
@@ -19,38 +19,60 @@ from corpusdedup.operators.graph import connected_components
 from corpusdedup.plans.shared import materialise
 
 
+#: Ranges of keys, and classes of documents, that the index is cut into: a batch reads those that it has keys in.
+PARTS = 64
+
+
+def key_part(bucket: Column) -> Column:
+    """The range of a 64-bit key."""
+    return F.shiftrightunsigned(bucket, 58).cast("int")
+
+
+def doc_part(doc: Column) -> Column:
+    return F.pmod(F.xxhash64(doc), F.lit(PARTS)).cast("int")
+
+
 class SignatureIndex:
-    """Kept documents' signatures and band keys as Parquet, a partition for each batch: a batch that runs again replaces its own."""
+    """Kept documents' signatures and band keys as Parquet, by batch and part: a batch that runs again replaces its own, a look-up reads its parts only."""
 
-    SIGS, KEYS = "doc_id long, sig array<int>, batch_id long", "doc_id long, band int, bucket long, batch_id long"
+    SIGS, KEYS = "doc_id long, sig array<int>, batch_id long, part int", "doc_id long, band int, bucket long, batch_id long, part int"
 
     def __init__(self, spark: SparkSession, path: str) -> None:
         self.spark, self.path = spark, path
 
-    def _read(self, part: str, schema: str, before: int) -> DataFrame:
+    def _read(self, part: str, schema: str, before: int, wanted: DataFrame | None) -> DataFrame:
         path = f"{self.path}/{part}"
         hadoop = self.spark._jvm.org.apache.hadoop.fs.Path(path)
         if not hadoop.getFileSystem(self.spark._jsc.hadoopConfiguration()).exists(hadoop):
             return self.spark.createDataFrame([], schema)
-        return self.spark.read.schema(schema).parquet(path).where(F.col("batch_id") < before)
+        rows = self.spark.read.schema(schema).parquet(path).where(F.col("batch_id") < before)
+        if wanted is None:
+            return rows
+        parts = [r["part"] for r in wanted.select("part").distinct().collect()]  # at most ``PARTS``
+        return rows.where(F.col("part").isin(parts))
 
-    def sigs(self, before: int) -> DataFrame:
-        return self._read("sigs", self.SIGS, before)
+    def sigs(self, before: int, wanted: DataFrame | None = None) -> DataFrame:
+        """Signatures of earlier batches: all, or of the parts of ``wanted``."""
+        return self._read("sigs", self.SIGS, before, wanted)
 
-    def keys(self, before: int) -> DataFrame:
-        return self._read("keys", self.KEYS, before)
+    def keys(self, before: int, wanted: DataFrame | None = None) -> DataFrame:
+        return self._read("keys", self.KEYS, before, wanted)
 
     def append(self, sig: DataFrame, cfg: DedupConfig, batch: int) -> None:
-        sig.select("doc_id", "sig").write.mode("overwrite").parquet(f"{self.path}/sigs/batch_id={batch}")
-        band_rows(sig, cfg, "exact_band").select("doc_id", "band", "bucket").write.mode("overwrite").parquet(f"{self.path}/keys/batch_id={batch}")
+        own = sig.select("doc_id", "sig").withColumn("part", doc_part(F.col("doc_id")))
+        own.repartitionByRange("part", "doc_id").sortWithinPartitions("part", "doc_id").write.mode("overwrite").partitionBy("part").parquet(f"{self.path}/sigs/batch_id={batch}")
+        keys = band_rows(sig, cfg, "exact_band", None).select("doc_id", "band", "bucket").withColumn("part", key_part(F.col("bucket")))
+        keys.repartitionByRange("part", "bucket").sortWithinPartitions("part", "bucket").write.mode("overwrite").partitionBy("part").parquet(f"{self.path}/keys/batch_id={batch}")
 
 
 def dedup_batch(docs: DataFrame, batch: int, index: SignatureIndex, cfg: DedupConfig = DedupConfig()) -> DataFrame:
     """The documents of a batch that neither an earlier batch nor an earlier document of this one resembles; they join the index."""
     own = materialise(clean(docs, cfg).dropDuplicates(["doc_id"]), "batch")
     sig = materialise(signatures(own, cfg), "batch-signatures")
-    seen = band_rows(sig, cfg, "exact_band").select(F.col("doc_id").alias("u"), "band", "bucket").join(index.keys(batch).select(F.col("doc_id").alias("v"), "band", "bucket"), ["band", "bucket"]).select("u", "v").distinct()
-    both = sig.select("doc_id", "sig").union(index.sigs(batch).select("doc_id", "sig"))
+    keys = band_rows(sig, cfg, "exact_band", None).select(F.col("doc_id").alias("u"), "band", "bucket").withColumn("part", key_part(F.col("bucket")))
+    met = keys.join(index.keys(batch, keys).select(F.col("doc_id").alias("v"), "band", "bucket", "part"), ["part", "band", "bucket"])
+    seen = materialise(met.select("u", "v").distinct(), "batch-seen")
+    both = sig.select("doc_id", "sig").union(index.sigs(batch, seen.select(doc_part(F.col("v")).alias("part"))).select("doc_id", "sig"))
     known = materialise(verify_pairs(seen, both, cfg).select(F.col("u").alias("doc_id")).distinct(), "batch-known")
     new = materialise(sig.join(known, "doc_id", "left_anti"), "batch-new")
     groups = connected_components(keys_only_pairs(new, cfg).select("u", "v"))
