@@ -7,7 +7,6 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from corpusdedup.config import DedupConfig
 from corpusdedup.functions.shingles import jaccard_pairs
 from corpusdedup.operators.bucketing import buckets_for
 from corpusdedup.operators.compare import compare
@@ -17,9 +16,10 @@ from corpusdedup.operators.select import sample_clusters
 from corpusdedup.operators.signatures import band_rows
 from corpusdedup.plans.metering import measure
 from corpusdedup.plans.pipelines import dedup, find_pairs
+from corpusdedup.plans.scaling import enlarged
 from corpusdedup.plans.store import HashStore, streamed_compare
 from corpusdedup.plans.tuning import comm_bytes, fit_cost_model, k_opt
-from corpusdedup.queries.methods import CC, CFG, CLUSTERS, DENSE_PAIRS, DOCS, GRAMS, SIG, base_sql, docs, murmur_sql, sigs, table, with_
+from corpusdedup.queries.methods import CFG, CLUSTERS, DENSE_PAIRS, DOCS, GRAMS, SIG, base_sql, docs, murmur_sql, sigs, table, with_
 from corpusdedup.sources.corpus import pages_as_documents
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
@@ -145,6 +145,17 @@ def pages_methods(spark, sf):
     return spark.createDataFrame(rows, "method string, members long, clusters long, removed long, generation double, comparison double, union_seconds double")
 
 
+# A larger corpus of the same structure
+
+_TURNED = "docs AS (SELECT doc_id + copy * 1000000000 AS doc_id, nfc_normalize(CASE copy WHEN 0 THEN text ELSE translate(text, 'abcdefghijklmnopqrstuvwxyzABCDEFGHIJKLMNOPQRSTUVWXYZ', 'bcdefghijklmnopqrstuvwxyzaBCDEFGHIJKLMNOPQRSTUVWXYZA') END) AS text FROM documents, unnest([0, 1]) AS t(copy) WHERE length(nfc_normalize(text)) >= 200)"
+
+
+@query("enlarged_clusters", with_(CLUSTERS.replace(DOCS, _TURNED), "SELECT doc_id // 1000000000 AS copy, count(*) AS members, count(DISTINCT cluster) AS clusters FROM comp GROUP BY 1", True))
+def enlarged_clusters(spark, sf):
+    r = dedup(enlarged(table(spark, sf, "documents"), 2, 10**9), CFG, "dense")
+    return r.decisions.groupBy(F.expr("doc_id div 1000000000").alias("copy")).agg(F.count("*").alias("members"), F.countDistinct("cluster").alias("clusters"))
+
+
 # Communication, sweeps and bucket sizes with what they cost
 
 
