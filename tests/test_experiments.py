@@ -129,12 +129,11 @@ def test_shared_tables_are_deleted(spark):
     assert not os.path.exists(path(pb))
 
 
-def test_a_cluster_must_name_its_shared_folder(spark, monkeypatch):
-    was = spark.conf.get("spark.checkpoint.dir")
-    try:
-        spark.conf.set("spark.checkpoint.dir", "")
-        monkeypatch.setattr(type(spark.sparkContext), "master", "spark://host:7077")
+def test_a_cluster_must_name_its_shared_folder():
+    from types import SimpleNamespace as Fake
+
+    session = lambda master, app="a": Fake(conf=Fake(get=lambda *_: None), sparkContext=Fake(master=master, applicationId=app))
+    assert shared.shared_dir(session("local[4]")) == shared.shared_dir(session("local[4]")) != shared.shared_dir(session("local", "b"))
+    for master in ("spark://host:7077", "local-cluster[2,1,1024]", "yarn"):
         with pytest.raises(ValueError, match="spark.checkpoint.dir"):
-            shared.shared_dir(spark)
-    finally:
-        spark.conf.set("spark.checkpoint.dir", was)
+            shared.shared_dir(session(master))
