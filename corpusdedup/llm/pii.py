@@ -349,7 +349,7 @@ def learn(found: DataFrame, per_pattern: int = PER_PATTERN) -> tuple[np.ndarray,
     by a hash, are looked at one by one.
     """
     each = found.select("doc_id", F.explode(F.arrays_zip("patterns", "features")).alias("c")).select("doc_id", F.col("c.patterns").alias("p"), F.col("c.features").alias("f"))
-    counts = {r["p"]: r["count"] for r in each.groupBy("p").count().collect()}
+    counts = {r["p"]: r["count"] for r in found.select(F.explode("patterns").alias("p")).groupBy("p").count().collect()}
     at = F.pmod(F.xxhash64("doc_id", "f"), F.lit(1 << 30))
     # Twice as many as asked for, of which the first by hash are taken.
     least = F.create_map(*[F.lit(x) for p, n in counts.items() for x in (p, int((1 << 30) * min(1.0, 2 * per_pattern / n)) + 1)]) if counts else F.lit(None)

@@ -19,7 +19,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from corpusdedup.llm.common import materialise, slices, text_bytes
-from corpusdedup.operators.graph import contract, local_forest
+from corpusdedup.operators.graph import LOCAL_EDGES, contract, local_forest
 from corpusdedup.plans.shared import fitted
 
 SEED = 42
@@ -218,7 +218,7 @@ def near_duplicates(docs: DataFrame, threshold: int = THRESHOLD, shingle: int =
     """
     own = materialise(fingerprints(docs, shingle), "fingerprints")
     nodes = materialise(own.groupBy("fingerprint").agg(F.min("doc_id").alias("least"), F.count("*").alias("n")), "fingerprint-nodes")
-    roots = contract(links(nodes, threshold)).withColumnRenamed("node", "fingerprint")
+    roots = contract(links(nodes, threshold), LOCAL_EDGES).withColumnRenamed("node", "fingerprint")
     linked = nodes.join(roots, "fingerprint")
     least = linked.groupBy("root").agg(F.min("least").alias("component"))
     named = linked.join(least, "root").select("fingerprint", "component")

@@ -4,6 +4,7 @@ import re
 import zlib
 
 import pytest
+import xxhash
 
 from corpusdedup.llm import decontaminate as D
 from corpusdedup.llm import pii as P
@@ -207,6 +208,30 @@ def test_shards(spark):
     assert len(one) == 1 and one[0].slot == 0
 
 
+def test_shards_by_brute_force(spark):
+    """All rows in one sorted list, cut where the bytes before reach a multiple of the total over the shards."""
+    random.seed(9)
+    texts = [f"text {k} " + "é" * random.randint(0, 200) for k in range(900)]
+    docs = [(k, t) for k, t in enumerate(texts)] + [(2000 + k, random.choice(texts)) for k in range(150)] + [(5000, None), (5001, ""), (5002, texts[0]), (5002, texts[0])]
+    signed = lambda x: x - (1 << 64) if x >> 63 else x
+    rows = sorted((signed(xxhash.xxh64_intdigest(t or "", 42)), i, zlib.crc32((t or "").encode()), len((t or "").encode()) + 1) for i, t in docs)
+    total = sum(r[3] for r in rows)
+    share, before, want, at = total / 8, 0, [], 0
+    while at < len(rows):
+        same = [r for r in rows[at:] if r[0] == rows[at][0]]
+        held = sum(r[3] for r in same)
+        for r in same:
+            middle = held / 2 if held <= max(1.0, 0.05 * share) else sum(x[3] for x in same[: same.index(r)]) + r[3] / 2
+            want.append((r[1], r[3], r[2], min(7, int((before + middle) // share))))
+        before, at = before + held, at + len(same)
+    got = shard(spark.createDataFrame(docs, "doc_id long, text string"), 8, ranges=4, range_rows=300, together=0.05).collect()
+    assert sorted((r.doc_id, r.size, r.text_crc32, r.shard) for r in got) == sorted(want)
+    slots = {}
+    for n, (*_, s) in enumerate(want):
+        slots.setdefault(s, []).append(want[n][0])
+    assert {s: [r.doc_id for r in sorted((r for r in got if r.shard == s), key=lambda r: r.slot)] for s in slots} == slots
+
+
 def test_splitters_weigh_by_size(spark):
     items = spark.range(20_000).selectExpr("id AS doc_id", "id AS key", "CAST(if(id < 2000, 900, 1) AS LONG) AS size")
     cuts = splitters(items, 4000, 100)
