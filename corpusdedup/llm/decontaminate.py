@@ -19,6 +19,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from corpusdedup.llm.common import materialise, slices, text_bytes
+from corpusdedup.llm.subword import word_numbers
 from corpusdedup.plans.shared import fitted
 
 WINDOW = 10
@@ -43,7 +44,7 @@ def words(text: bytes) -> list[bytes]:
 def build_index(docs: DataFrame, terms: list[bytes] | None = None, gap: int = WINDOW + 2 * SLOP + 2) -> DataFrame:
     """A row for each block of whole documents: where documents start, and for each term its positions, ascending.
 
-    ``terms`` restricts the lists to those that queries will ask for; without it every term is kept.
+    Every term is kept, so any later benchmark can be searched for; ``terms`` restricts the lists to what is known to be asked.
     """
     known = {t: i for i, t in enumerate(terms)} if terms is not None else None
 
@@ -53,10 +54,10 @@ def build_index(docs: DataFrame, terms: list[bytes] | None = None, gap: int = WI
                 own = known if known is not None else {}
                 starts, counts, ids, places, at = [], [], [], [], 0
                 for t in part.column(1).to_pylist():
-                    found = words(t)
                     if known is None:
-                        x = np.fromiter((own.setdefault(w, len(own)) for w in found), np.int32, len(found))
+                        found = x = word_numbers(t.translate(_TABLE), own)
                     else:
+                        found = words(t)
                         x = np.fromiter(map(own.get, found, repeat(-1)), np.int32, len(found))
                     here = np.flatnonzero(x >= 0)
                     ids.append(x[here]), places.append((here + at).astype(np.int32))
@@ -194,7 +195,8 @@ def search(index: DataFrame, items: list[tuple[int, bytes]], window: int = WINDO
 def decontaminate(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, slop: int = SLOP, query_bytes: int = QUERY_BYTES) -> DataFrame:
     """doc_id, n_words, items, near_items, hits and full of every document (see ``search``).
 
-    The benchmark reaches the tasks in passes of at most about ``query_bytes`` each, over one index, so its size isn't bound.  Null and empty
+    All postings of the documents are stored, once.  The benchmark reaches the tasks in passes of at most about ``query_bytes``
+    each over that index, so its size isn't bound.  Null and empty
     texts have no words and no hits; items without words match nothing; repeated items count once; repeated documents appear
     as often as they occur; other columns are not read; empty tables give no hits or no rows.
     """
@@ -206,13 +208,9 @@ def decontaminate(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, s
         # Neither doc_id nor text tells rows apart, so passes meet on a row number that is written before the first.
         numbered = materialise(docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").withColumn("row", F.monotonically_increasing_id()), "numbered")
         docs = numbered.select(F.col("row").alias("doc_id"), "text")
-    index = None
+    index = materialise(build_index(docs, gap=window + 2 * slop + 2), "postings")
     for k in range(passes):
         own = [(r["item_id"], bytes(r["text"])) for r in items.where(F.pmod(F.xxhash64("item_id", "text"), F.lit(passes)) == k).toLocalIterator()]
-        if index is None:
-            # One pass needs the lists of its own terms only; more of them share the lists of all.
-            terms = list(Phrases(own, window).terms) if passes == 1 else None
-            index = materialise(build_index(docs, terms, window + 2 * slop + 2), "postings")
         results.append(search(index, own, window, slop))
     if passes == 1:
         return results[0]
