@@ -43,12 +43,15 @@ def test_decontamination_is_brute_force(spark, query_bytes):
     docs = [(k, text(random.choice([0, 3, 9, 60, 200]))) for k in range(30)] + [(100, None), (101, ""), (102, items[0][1] + " x"), (103, items[5][1])]
     ds = spark.createDataFrame(docs, "doc_id long, text string").selectExpr("*", "1 AS items", "2 AS _hit")
     bs = spark.createDataFrame(items, "item_id long, text string").selectExpr("*", "1 AS doc_id")
-    got = D.decontaminate(ds, bs, query_bytes=query_bytes).select("doc_id", "n_words", D.n_hit("hits").alias("n"), "items", "near_items", D.items_digest("items").alias("s")).collect()
+    got = D.decontaminate(ds, bs, query_bytes=query_bytes).select("doc_id", "n_words", D.n_hit("hits").alias("n"), "items", "near_items", "full", D.items_digest("items").alias("s")).collect()
     want = hits(docs, items)
     assert {r.doc_id: (r.n_words, r.n, sorted(r["items"])) for r in got} == want and len(got) == len(docs)
     for r in got:
         assert r.s == hashlib.sha256(",".join(sorted(map(str, r["items"]))).encode()).hexdigest() and set(r["items"]) <= set(r.near_items)
-    assert {r.doc_id for r in D.drop_contaminated(ds, bs).collect()} == {d for d, (_, n, _) in want.items() if not n}
+    long = hits(docs, [(i, t) for i, t in items if len(re.findall("[^\x00-\x2f\x3a-\x60\x7b-\x7f]+", t or "")) >= 10])
+    assert {r.doc_id: r.full for r in got} == {d: n > 0 for d, (_, n, _) in long.items()}
+    gone = {d for d, (words, n, _) in want.items() if long[d][1] or (n and 2 * n >= words)}
+    assert {r.doc_id for r in D.drop_contaminated(ds, bs).collect()} == set(want) - gone and 0 < len(gone) < len(want)
 
 
 @pytest.mark.parametrize("query_bytes", [1 << 20, 40])
