@@ -102,8 +102,9 @@ def train(texts: list[bytes], labels: list[int], width: int = WIDTH, epochs: int
             row = np.repeat(np.arange(len(docs)), n)
             at = np.arange(int(n.sum())) - np.repeat(np.cumsum(n) - n, n) + np.repeat(starts[docs], n)
             f, w = which[at], weights[at]
-            held = vectors[f] * w[:, None]
-            hidden = np.stack([np.bincount(row, held[:, d], len(docs)) for d in range(width)], axis=1)
+            hidden = np.zeros((len(docs), width))
+            full = n > 0
+            hidden[full] = np.add.reduceat(vectors[f] * w[:, None], (np.cumsum(n) - n)[full], axis=0) if full.any() else 0
             z = hidden @ out + bias
             p = np.exp(z - z.max(axis=1, keepdims=True))
             p /= p.sum(axis=1, keepdims=True)
@@ -113,10 +114,12 @@ def train(texts: list[bytes], labels: list[int], width: int = WIDTH, epochs: int
             out -= lr * hidden.T @ p / len(docs)
             bias -= lr * p.mean(axis=0)
             # A feature steps by its mean over the documents that have it, so that rare features learn and common ones don't overshoot.
-            own, slot = np.unique(f, return_inverse=True)
-            total = np.bincount(slot, w, len(own)) + 1e-12
-            g = np.stack([np.bincount(slot, back[row, d] * w, len(own)) for d in range(width)], axis=1) / total[:, None]
-            vectors[own] -= (lr * g).astype(np.float32)
+            by = np.argsort(f, kind="stable")
+            f, w, row = f[by], w[by], row[by]
+            first = np.flatnonzero(np.concatenate(([True], f[1:] != f[:-1]))) if len(f) else np.zeros(0, np.int64)
+            if len(first):
+                g = np.add.reduceat(back[row] * w[:, None], first, axis=0) / (np.add.reduceat(w, first) + 1e-12)[:, None]
+                vectors[f[first]] -= (lr * g).astype(np.float32)
             done += 1
     shares = vectors @ (out[:, 1] - out[:, 0])
     grams, words, two = shares.astype(np.float64).reshape(3, BUCKETS)
