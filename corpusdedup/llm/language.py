@@ -19,7 +19,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from corpusdedup.llm.common import bounded_draw, map_rows, slices, text_bytes
-from corpusdedup.llm.subword import BUCKETS, Features, tokens, word_numbers
+from corpusdedup.llm.subword import BUCKETS, Features, word_numbers
 
 #: Documents drawn of each language to learn from, and bytes of their texts, at most.
 PER_LANGUAGE, BYTES_PER_LANGUAGE = 400, 4 << 20
