@@ -9,7 +9,6 @@ from pyspark.sql import functions as F
 
 from corpusdedup.functions.shingles import jaccard_pairs
 from corpusdedup.operators.bucketing import buckets_for
-from corpusdedup.operators.compare import compare
 from corpusdedup.operators.kernels import hash_kernels
 from corpusdedup.operators.metrics import cluster_counts, fidelity, with_f1
 from corpusdedup.operators.select import sample_clusters

@@ -64,6 +64,19 @@ def test_results_do_not_depend_on_the_number_of_tasks(spark, sf, plan):
     assert found[0] == found[1] == found[2] and found[0]
 
 
+@pytest.mark.parametrize("setting", ["spark.sql.adaptive.enabled", "spark.sql.codegen.wholeStage"])
+def test_results_do_not_depend_on_the_engine(spark, sf, setting):
+    docs = spark.read.parquet(f"{sf}/documents.parquet")
+    found = []
+    try:
+        for on in ("true", "false"):
+            spark.conf.set(setting, on)
+            found.append({tuple(r) for plan in ("dense", "scale") for r in dedup(docs, CFG, plan).decisions.collect()})
+    finally:
+        spark.conf.set(setting, "true")
+    assert found[0] == found[1] and found[0]
+
+
 def test_a_sequential_run_finds_the_same(spark, sf):
     docs = spark.read.parquet(f"{sf}/documents.parquet")
     a, b = (dedup(docs, CFG, "stream", pipelined=p) for p in (True, False))
