@@ -71,7 +71,7 @@ def _in_one_task(edges: DataFrame) -> DataFrame:
         nodes = list(sets.up)
         yield pa.RecordBatch.from_arrays([pa.array(nodes, pa.int64()), pa.array([sets.find(x) for x in nodes], pa.int64())], names=["x", "to"])
 
-    return edges.where("u < v").select("u", "v").coalesce(1).mapInArrow(run, "x long, to long")
+    return edges.select("u", "v").coalesce(1).mapInArrow(run, "x long, to long")
 
 
 def contract(edges: DataFrame, local: int = 0) -> DataFrame:
@@ -86,7 +86,7 @@ def contract(edges: DataFrame, local: int = 0) -> DataFrame:
     labels = None
     while not _empty(edges):
         if local and edges.count() <= local:
-            moves = materialise(_in_one_task(edges), "cc-moves")
+            moves = materialise(_in_one_task(edges.where("u < v")), "cc-moves")
             if labels is None:
                 return moves.select(F.col("x").alias("node"), F.col("to").alias("root"))
             return labels.join(moves, labels["root"] == moves["x"], "left").select("node", F.coalesce("to", "root").alias("root"))
@@ -148,12 +148,18 @@ def _on_driver(edges: DataFrame, limit: int) -> DataFrame:
     return spark.createDataFrame([(x, sets.find(x)) for x in list(sets.up)], "node long, root long")
 
 
-def connected_components(edges: DataFrame, method: str = "contract", driver_edge_limit: int = DRIVER_EDGE_LIMIT, local_edges: int = LOCAL_EDGES) -> DataFrame:
+def connected_components(edges: DataFrame, method: str = "contract", driver_edge_limit: int = DRIVER_EDGE_LIMIT, local_edges: int = LOCAL_EDGES, written: bool = False) -> DataFrame:
     """(node, component): component is the least node that the edges (u, v) connect a node with.
 
     Nodes without an edge to another don't appear.  Methods: ``contract`` (default), ``star``, ``label``, ``driver``.
-    ``contract`` leaves the last ``local_edges`` (each counted both ways) to one task; 0 never does.
+    ``contract`` leaves the last ``local_edges`` (each counted both ways) to one task, all of them if there are no more; 0 never
+    does.  ``written`` says that the edges are a written table, which can be counted and read again.
     """
+    if method == "contract" and local_edges:
+        edges = edges if written else materialise(edges.select("u", "v"), "cc-given")
+        if 2 * edges.count() <= local_edges:
+            own = edges.select(F.col("u").cast("long").alias("u"), F.col("v").cast("long").alias("v")).where("u is not null and v is not null and u <> v")
+            return _in_one_task(own).select(F.col("x").alias("node"), F.col("to").alias("component"))
     if method == "driver":
         found = _on_driver(edges, driver_edge_limit)
     elif method in ("contract", "label", "star"):

@@ -103,14 +103,17 @@ def keys_only_pairs(sig: DataFrame, cfg: DedupConfig, reduce: bool = True) -> Da
     With a ``text_key`` only the least id of equal texts takes part.  With ``reduce`` an oversize bucket is first compared with
     its head, and what that connects is not compared again with itself.
     """
-    keys = band_rows(sig, cfg, "exact_band", "text_key" if "text_key" in sig.columns else None)
-    if "text_key" in keys.columns:
-        keys = keys.groupBy("band", "bucket", "text_key").agg(F.min("doc_id").alias("doc_id")).select("band", "bucket", "doc_id")
+    text = ["text_key"] if "text_key" in sig.columns else []
+    keys = band_rows(sig.withColumn("text_key", F.xxhash64("text_key")) if text else sig, cfg, "exact_band", *(text or [None]))
     # Bands in which the same documents meet are told by hashes of the set; one of them is enough.
     mark = lambda salt: F.bit_xor(F.xxhash64("doc_id", F.lit(salt)))
-    shared = keys.groupBy("band", "bucket").agg(F.count("*").alias("n"), F.min("doc_id").alias("head"), mark(1).alias("s"), mark(2).alias("t")).where("n > 1")
+    told = [F.count("*").alias("n"), F.min("doc_id").alias("head"), mark(1).alias("s"), mark(2).alias("t")]
+    shared = keys.groupBy("band", "bucket").agg(*told, *[F.min(c).alias("lo") for c in text], *[F.max(c).alias("hi") for c in text]).where("lo <> hi" if text else "n > 1")
     shared = shared.groupBy("n", "head", "s", "t").agg(F.min(F.struct("band", "bucket")).alias("b")).select("b.band", "b.bucket", "n", "head")
-    members = materialise(keys.join(shared, ["band", "bucket"]), "shared-bands")
+    members = keys.join(shared, ["band", "bucket"])
+    if text:
+        members = members.groupBy("band", "bucket", "n", "head", "text_key").agg(F.min("doc_id").alias("doc_id")).drop("text_key")
+    members = materialise(members, "shared-bands")
     found = compare((members.where(F.col("n") <= cfg.d_max) if reduce else members).join(sig.select("doc_id", "sig"), "doc_id"), cfg, reduce=reduce)
     if reduce and (members.agg(F.max("n")).first()[0] or 0) > cfg.d_max:
         found = found.union(_crowded_pairs(members.where(F.col("n") > cfg.d_max), sig, cfg))
@@ -143,7 +146,7 @@ def dedup(docs: DataFrame, cfg: DedupConfig = DedupConfig(), plan: str = "scale"
         keep(pairs)
     began = time.time()
     with releasing(docs.sparkSession) as keep:
-        clusters = materialise(connected_components(pairs.select("u", "v"), components), "clusters")
+        clusters = materialise(connected_components(pairs.select("u", "v"), components, written=True), "clusters")
         keep(clusters)
     decisions = select_survivors(clusters, cfg.keep, corpus, labels)
     seconds["union"] = time.time() - began
