@@ -11,7 +11,7 @@ from pyspark.sql import functions as F
 from corpusdedup.plans.shared import shared_dir
 from corpusdedup.queries import methods
 from corpusdedup.streaming.incremental import stream_dedup
-from corpusdedup.streaming.windows import clicks_before_purchases, distinct_events, drain, event_stream, first_of_bucket, sessions, windowed_counts
+from corpusdedup.streaming.windows import clicks_before_purchases, distinct_events, drain, event_stream, first_of_bucket, sessions, table_stream, windowed_counts
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
 SQL: dict[str, str] = {}
@@ -89,6 +89,6 @@ _KEPT = ", ".join((methods.EXACT, methods.EXACT_BAND, methods.CANDIDATES, method
 @op("foreachbatch", methods.with_(_KEPT, "SELECT doc_id, md5(text) AS digest FROM docs WHERE doc_id NOT IN (SELECT doc_id FROM comp WHERE doc_id <> cluster)", True))
 def foreachbatch(spark, sf):
     base = f"{shared_dir(spark)}/incremental-{uuid.uuid4().hex}"
-    own = spark.readStream.schema("doc_id long, text string").option("pathGlobFilter", "documents.parquet*").parquet(sf)
+    own = table_stream(spark, sf, "documents", "doc_id long, text string")
     stream_dedup(own, f"{base}/index", f"{base}/out", f"{base}/state").awaitTermination()
     return spark.read.schema("doc_id long, text string").parquet(f"{base}/out").select("doc_id", F.md5("text").alias("digest"))

@@ -16,8 +16,16 @@ from corpusdedup.plans.shared import shared_dir
 EVENTS = "event_id long, ts timestamp_ntz, user_id long, event_type string, value double, props string"
 
 
+def table_stream(spark: SparkSession, sf: str, name: str, schema: str) -> DataFrame:
+    """A stream over a given table, be it one Parquet file or a folder of them.
+
+    The bracket makes the path a pattern, which it must be for one file; a filter on file names would leave out the files of a folder.
+    """
+    return spark.readStream.schema(schema).parquet(f"{sf}/{name}.parque[t]")
+
+
 def event_stream(spark: SparkSession, sf: str, watermark: str = "1 hour") -> DataFrame:
-    own = spark.readStream.schema(EVENTS).option("pathGlobFilter", "events.parquet*").parquet(sf)
+    own = table_stream(spark, sf, "events", EVENTS)
     return own.withColumn("ts", F.col("ts").cast("timestamp")).withWatermark("ts", watermark)
 
 

@@ -1,10 +1,12 @@
 import uuid
 
+import pytest
 from pyspark.sql import functions as F
 
 from corpusdedup.config import DedupConfig
 from corpusdedup.plans.pipelines import dedup
 from corpusdedup.plans.shared import shared_dir
+from corpusdedup.queries import streams
 from corpusdedup.sources.corpus import conversations_as_documents, pages_as_documents, read_corpus, with_source_file, write_corpus
 from corpusdedup.streaming.incremental import SignatureIndex, dedup_batch, stream_dedup
 from corpusdedup.streaming.windows import drain, windowed_counts
@@ -62,3 +64,12 @@ def test_sql_functions(spark):
     assert r.s == 1.0
     rows = spark.sql("SELECT band, bucket FROM (SELECT minhash_signature(text) AS sig FROM _t WHERE doc_id = 1), LATERAL lsh_buckets(sig, 7)").collect()
     assert sorted(x.band for x in rows) == list(range(16)) and all(0 <= x.bucket < 7 for x in rows)
+
+
+@pytest.mark.parametrize("name", ["op_stream_foreachbatch", "op_stream_dedup"])
+def test_tables_in_folders_of_several_files(spark, sf, name):
+    folder = f"{shared_dir(spark)}/{uuid.uuid4().hex}"
+    for t in ("documents", "events"):
+        spark.read.parquet(f"{sf}/{t}.parquet").repartition(3).write.parquet(f"{folder}/{t}.parquet")
+    one, many = (sorted(map(tuple, streams.QUERIES[name](spark, at).collect())) for at in (sf, folder))
+    assert one == many and one
