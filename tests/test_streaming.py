@@ -66,7 +66,7 @@ def test_sql_functions(spark):
     assert sorted(x.band for x in rows) == list(range(16)) and all(0 <= x.bucket < 7 for x in rows)
 
 
-@pytest.mark.parametrize("name", ["op_stream_foreachbatch", "op_stream_dedup"])
+@pytest.mark.parametrize("name", ["op_stream_foreachbatch", "op_stream_stateful", "op_stream_dedup"])
 def test_tables_in_folders_of_several_files(spark, sf, name):
     folder = f"{shared_dir(spark)}/{uuid.uuid4().hex}"
     for t in ("documents", "events"):
