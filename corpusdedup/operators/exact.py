@@ -2,15 +2,16 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterable, Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from corpusdedup.config import DedupConfig
-from corpusdedup.operators.compare import tile_matches
-from corpusdedup.operators.signatures import signature_long
+from corpusdedup.operators.compare import compare, verify_pairs
+from corpusdedup.plans.shared import fitted, materialise
 
 
 def exact_duplicates(docs: DataFrame, key: str = "hash") -> DataFrame:
@@ -31,33 +32,53 @@ def copies_of(sig: DataFrame) -> DataFrame:
     return keys.join(heads, "text_key").where("doc_id <> u").select("u", F.col("doc_id").alias("v"))
 
 
+def agreement_keys(sig: DataFrame, cfg: DedupConfig) -> DataFrame:
+    """doc_id, key: 64-bit keys of which two signatures of enough equal entries share at least one, wherever they differ.
+
+    The positions fall into one group more than half the mismatches that a pair may have, so in some group it has one at most.
+    A key stands for a group without one of its positions.
+    """
+    groups = np.array_split(np.arange(cfg.n_hashes), (cfg.n_hashes - cfg.min_matches) // 2 + 1)
+    starts, group = np.array([g[0] for g in groups]), np.repeat(np.arange(len(groups)), [len(g) for g in groups])
+    salt = np.random.Generator(np.random.PCG64(cfg.seed)).integers(0, 1 << 64, (2, cfg.n_hashes), dtype=np.uint64)
+
+    def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for k in range(0, batch.num_rows, 256):
+                part = batch.slice(k, 256)
+                x = part.column(1).flatten().to_numpy(zero_copy_only=False).reshape(part.num_rows, -1).astype(np.uint64) + salt[0]
+                for shift, factor in ((30, 0xBF58476D1CE4E5B9), (27, 0x94D049BB133111EB)):
+                    x = (x ^ (x >> np.uint64(shift))) * np.uint64(factor)
+                x ^= x >> np.uint64(31)
+                key = np.add.reduceat(x, starts, axis=1)[:, group] - x + salt[1]
+                ids = np.repeat(part.column(0).to_numpy(zero_copy_only=False), cfg.n_hashes)
+                yield pa.RecordBatch.from_arrays([pa.array(ids, pa.int64()), pa.array(key.ravel().view(np.int64))], names=["doc_id", "key"])
+
+    return sig.where("sig is not null").select("doc_id", "sig").mapInArrow(run, "doc_id long, key long")
+
+
+def agreeing(sig: DataFrame, cfg: DedupConfig) -> DataFrame:
+    """band (0), bucket, n, doc_id: the members of shared agreement keys, and how many they are.
+
+    Of keys that the same documents share, as copies do in all of theirs, one is left; sets are told by hashes.
+    """
+    shared = agreement_keys(sig, cfg).withColumn("n", F.count("*").over(Window.partitionBy("key"))).where("n > 1")
+    shared = materialise(shared, "agreeing")
+    mark = lambda salt: F.bit_xor(F.xxhash64("doc_id", F.lit(salt)))
+    sets = shared.groupBy("key").agg(F.max("n").alias("n"), F.min("doc_id").alias("head"), mark(1).alias("s"), mark(2).alias("t"))
+    once = materialise(sets.groupBy("n", "head", "s", "t").agg(F.min("key").alias("key")).select("key"), "agreeing-sets")
+    return shared.join(fitted(once, 8), "key").select(F.lit(0).alias("band"), F.col("key").alias("bucket"), "n", "doc_id")
+
+
 def exact_minhash_pairs(sig: DataFrame, cfg: DedupConfig, method: str = "join") -> DataFrame:
     """u < v, matches of all pairs of enough equal entries, whatever their buckets.
 
-    ``join`` meets equal entries by position and value and counts them: no cross join, though entries that many documents
-    share make it quadratic in them.  ``tiles`` compares blocks of rows against blocks, each pair of blocks in one group.
+    Both methods meet candidates by ``agreement_keys``, which lose none, so entries that many unlike documents share bring nobody
+    together.  ``join`` pairs the members of a key and looks both signatures up; ``tiles`` compares them in blocks of rows.
     """
+    members = materialise(agreeing(sig, cfg), "agreeing-members")
     if method == "join":
-        long = signature_long(sig)
-        a, b = long.withColumnRenamed("doc_id", "u"), long.withColumnRenamed("doc_id", "v")
-        met = a.join(b, ["pos", "val"]).where("u < v").groupBy("u", "v").agg(F.count("*").cast("int").alias("matches"))
-        return met.where(F.col("matches") >= cfg.min_matches)
-    blocks = max(1, -(-sig.count() // 1024))
-    own = sig.where("sig is not null").select("doc_id", "sig", F.pmod(F.xxhash64("doc_id"), F.lit(blocks)).cast("int").alias("_mine"))
-    own = own.withColumn("_other", F.explode(F.sequence(F.lit(0), F.lit(blocks - 1))))
-    own = own.withColumn("bi", F.least("_mine", "_other")).withColumn("bj", F.greatest("_mine", "_other")).drop("_other")
-
-    def run(table: pa.Table) -> pa.Table:
-        part = table.column("_mine").to_numpy()
-        ids = table.column("doc_id").to_numpy()
-        s = table.column("sig").combine_chunks().flatten().to_numpy().reshape(len(ids), -1)
-        one = part == part.min()
-        two = ~one if not one.all() else one
-        i, j, n = tile_matches(s[one], s[two], cfg.min_matches)
-        u, v = ids[one][i], ids[two][j]
-        keep = u < v if one.all() else u != v
-        return pa.table({"u": np.minimum(u, v)[keep], "v": np.maximum(u, v)[keep], "matches": n[keep].astype(np.int32)})
-
-    return own.groupBy("bi", "bj").applyInArrow(run, "u long, v long, matches int")
-
-
+        a, b = members.select("bucket", F.col("doc_id").alias("u")), members.select("bucket", F.col("doc_id").alias("v"))
+        return verify_pairs(a.join(b, "bucket").where("u < v").select("u", "v").distinct(), sig, cfg)
+    found = compare(members.join(sig.select("doc_id", "sig"), "doc_id"), cfg, reduce=False)
+    return found.groupBy("u", "v").agg(F.max("matches").alias("matches"))

@@ -130,3 +130,24 @@ def test_anchors_are_the_same_in_cut_buckets(spark, sig):
     rows = band_rows(sig, CFG)
     for verify in (True, False):
         assert pairs_of(compare(rows, CFG, "anchor", verify, reduce=False).distinct()) == pairs_of(compare(rows, CFG.but(d_max=3), "anchor", verify, reduce=False).distinct())
+
+
+def test_entries_that_unlike_documents_share_bring_nobody_together(spark):
+    from corpusdedup.operators.exact import agreeing
+
+    rng = np.random.default_rng(8)
+    sig = rng.integers(10_000, 4_000_000, (400, 128))
+    sig[:, rng.choice(128, 60, replace=False)] = 7  # each pair meets at 60 positions
+    own = spark.createDataFrame([(k, s.tolist()) for k, s in enumerate(sig)], "doc_id long, sig array<int>")
+    # Some group of ten may be shared by chance in all but one entry; by position and value all 79,800 pairs would meet.
+    assert agreeing(own, CFG).count() < 10 * 400
+    near = []
+    for k in range(300):
+        s = sig[k].copy()
+        s[rng.choice(128, 25, replace=False) if k % 2 else np.arange(k % 5, 128, 5)[:25]] += 1
+        near.append((1000 + k, s.tolist()))
+    t = sig[399].copy()
+    t[rng.choice(128, 26, replace=False)] += 1
+    rows = own.union(spark.createDataFrame([*near, (2000, t.tolist()), (3000, None)], "doc_id long, sig array<int>"))
+    for method in ("join", "tiles"):
+        assert {tuple(r) for r in exact_minhash_pairs(rows, CFG, method).collect()} == {(k, 1000 + k, 103) for k in range(300)}
