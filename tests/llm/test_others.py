@@ -3,6 +3,7 @@ import random
 import re
 import zlib
 
+import numpy as np
 import pytest
 import xxhash
 
@@ -327,3 +328,23 @@ def test_threads_equal_sql(spark, seed):
 def test_native_plans(spark, sf):
     plan = order_replies(spark.read.parquet(f"{sf}/conversations.parquet"))._jdf.queryExecution().toString()
     assert not re.search("Python|Pandas|Arrow", plan)
+
+
+def test_all_windows_of_a_block_are_looked_up_side_by_side():
+    from corpusdedup.llm.decontaminate import Block
+
+    rng = np.random.default_rng(3)
+    text = rng.integers(0, 12, 4000)
+    text[1500:1520] = -1  # a gap
+    lists = {w: np.flatnonzero(text == w) for w in range(12)}
+    block = Block([b"%d" % w for w in lists], np.cumsum([len(x) for x in lists.values()]), np.concatenate(list(lists.values())).astype("<i4").tobytes(), {b"%d" % w: 10 - w for w in range(11)})
+    for n in (1, 2, 5):
+        starts = rng.integers(0, 1400, 30)
+        words = np.unique(np.stack([text[a : a + n] for a in starts if 11 not in text[a : a + n]]), axis=0)
+        row, at, exact = block.find(10 - words, 1)
+        for i, w in enumerate(words):
+            counts = [len(lists[x]) for x in w]
+            k = int(np.argsort(counts, kind="stable")[0])
+            near = [p - k for p in lists[int(w[k])] if all(j == k or np.isin(np.arange(p - k + j - 1, p - k + j + 2), lists[int(x)]).any() for j, x in enumerate(w))]
+            assert at[row == i].tolist() == near
+            assert at[(row == i) & exact].tolist() == [p for p in range(4001 - n) if (text[p : p + n] == w).all()]
