@@ -69,27 +69,32 @@ def oversize_buckets(rows: DataFrame, cfg: DedupConfig) -> DataFrame:
     return materialise(sizes.where(F.col("n") > cfg.d_max), "oversize")
 
 
-def _units(rows: DataFrame, cfg: DedupConfig, large: DataFrame | None) -> DataFrame:
-    """Add ``units`` (of the row's bucket) and ``unit`` (the row's own): parts of about ``d_max`` rows by a hash of doc_id.
+#: Rows of a bucket that travel together, in whole sub-units: 2 MB of signatures of 128 entries.
+HELD_ROWS = 1 << 12
+
+
+def _units(rows: DataFrame, cfg: DedupConfig, large: DataFrame | None, together: int = 1) -> DataFrame:
+    """Add ``units`` (of the row's bucket) and ``unit`` (the row's own): parts of about ``d_max`` rows by a hash of doc_id, so many ``together``.
 
     ``n``, if it is a column, is the size of the row's bucket; else sizes are looked up in ``large``.
     """
     if "n" not in rows.columns:
         large = oversize_buckets(rows, cfg) if large is None else large
         rows = rows.join(fitted(large.select("band", "bucket", "n"), 32), ["band", "bucket"], "left")
-    units = F.ceil(F.coalesce("n", F.lit(1)) / cfg.d_max).cast("int")
+    units = F.ceil(F.coalesce("n", F.lit(1)) / (cfg.d_max * together)).cast("int")
     return rows.withColumn("units", units).withColumn("unit", F.pmod(F.xxhash64("doc_id"), F.col("units")).cast("int"))
 
 
 def split_oversize(rows: DataFrame, cfg: DedupConfig, large: DataFrame | None = None) -> DataFrame:
     """Add ``unit``, ``bi``, ``bj``: buckets of more than ``d_max`` rows are cut in sub-units.
 
-    ``block_pairs`` sends a row to every pair of sub-units that holds its own, so no pair is lost; ``independent`` compares
-    inside sub-units only.
+    ``block_pairs`` sends a row to every pair of sub-units that holds its own, so no pair is lost; sub-units that a task can hold
+    together travel as one, so a row has no copy for each other sub-unit of its bucket.  ``independent`` compares inside sub-units only.
     """
-    own = _units(rows, cfg, large)
     if cfg.oversize == "independent":
+        own = _units(rows, cfg, large)
         return own.withColumn("bi", F.col("unit")).withColumn("bj", F.col("unit"))
+    own = _units(rows, cfg, large, max(1, HELD_ROWS // cfg.d_max))
     own = own.withColumn("other", F.explode(F.when(F.col("units") == 1, F.array(F.lit(0))).otherwise(F.sequence(F.lit(0), F.col("units") - 1))))
     return own.withColumn("bi", F.least("unit", "other")).withColumn("bj", F.greatest("unit", "other")).drop("other")
 

@@ -151,3 +151,14 @@ def test_entries_that_unlike_documents_share_bring_nobody_together(spark):
     rows = own.union(spark.createDataFrame([*near, (2000, t.tolist()), (3000, None)], "doc_id long, sig array<int>"))
     for method in ("join", "tiles"):
         assert {tuple(r) for r in exact_minhash_pairs(rows, CFG, method).collect()} == {(k, 1000 + k, 103) for k in range(300)}
+
+
+def test_sub_units_that_fit_travel_together(spark, sig, monkeypatch):
+    from corpusdedup.operators import compare as module
+
+    rows = band_rows(sig, CFG)
+    assert module.split_oversize(rows, CFG.but(d_max=3)).count() == rows.count()
+    monkeypatch.setattr(module, "HELD_ROWS", 6)
+    cut = module.split_oversize(rows, CFG.but(d_max=3))
+    assert cut.count() > rows.count() and cut.where("unit not in (bi, bj)").count() == 0
+    assert pairs_of(compare(rows, CFG.but(d_max=3), reduce=False).distinct()) == pairs_of(compare(rows, CFG, reduce=False).distinct())
