@@ -34,6 +34,25 @@ KERNELS: dict[str, Callable[[np.ndarray, DedupConfig], np.ndarray]] = {
 }
 
 
+#: Characters of the texts whose hashes a task holds at once, besides a single longer text.
+CHARS_AT_ONCE = 1 << 18
+
+
+def in_parts(texts: Iterable[str | None], limit: int = CHARS_AT_ONCE) -> Iterator[list[str]]:
+    """The texts that aren't null, in lists of at most ``limit`` characters or one text."""
+    part, held = [], 0
+    for t in texts:
+        if t is None:
+            continue
+        if part and held + len(t) > limit:
+            yield part
+            part, held = [], 0
+        part.append(t)
+        held += len(t)
+    if part:
+        yield part
+
+
 def hash_kernels(docs: DataFrame, cfg: DedupConfig = DedupConfig(), kernels: Iterable[str] = tuple(KERNELS)) -> DataFrame:
     """kernel, shingles, checksum (sum of all hashes), seconds: summed over the tasks, each kernel on the same texts in memory.
 
@@ -43,16 +62,18 @@ def hash_kernels(docs: DataFrame, cfg: DedupConfig = DedupConfig(), kernels: Ite
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            codes = [codes_of(t) for t in batch.column(0).to_pylist() if t is not None]
-            rows = []
-            for name in names:
-                kernel, n, total = KERNELS[name], 0, 0
-                began = time.perf_counter()
-                found = [kernel(c, cfg) for c in codes]
-                seconds = time.perf_counter() - began
-                for h in found:
-                    n, total = n + len(h), total + int(h.sum())
-                rows.append((name, n, total, seconds))
+            sums = {name: [0, 0, 0.0] for name in names}
+            for k in range(0, batch.num_rows, 256):
+                for part in in_parts(batch.column(0).slice(k, 256).to_pylist()):
+                    codes = [codes_of(t) for t in part]
+                    for name, own in sums.items():
+                        kernel = KERNELS[name]
+                        began = time.perf_counter()
+                        found = [kernel(c, cfg) for c in codes]
+                        own[2] += time.perf_counter() - began
+                        own[0] += sum(map(len, found))
+                        own[1] += sum(int(h.sum()) for h in found)
+            rows = [(name, *own) for name, own in sums.items()]
             cells = list(zip(*rows))
             yield pa.RecordBatch.from_arrays([pa.array(cells[0], pa.string()), pa.array(cells[1], pa.int64()), pa.array(cells[2], pa.int64()), pa.array(cells[3], pa.float64())], names=["kernel", "shingles", "checksum", "seconds"])
 

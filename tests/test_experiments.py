@@ -7,7 +7,7 @@ from pyspark.sql import functions as F
 from corpusdedup.config import DedupConfig
 from corpusdedup.functions.hashing import poly_direct, poly_prefix, poly_rolling
 from corpusdedup.operators.contamination import contained_items, gram_set
-from corpusdedup.operators.kernels import KERNELS, hash_kernels
+from corpusdedup.operators.kernels import KERNELS, hash_kernels, in_parts
 from corpusdedup.operators.metrics import fidelity, with_f1
 from corpusdedup.operators.select import sample_clusters
 from corpusdedup.plans import shared
@@ -34,6 +34,13 @@ def test_kernels_count_and_time(spark):
     assert hash_kernels(docs.limit(0)).count() in (0, len(KERNELS))
 
 
+def test_kernels_hold_a_bounded_number_of_characters():
+    texts = ["x" * 10, None, "", *["y" * 10] * 5, "z" * 100, "w"]
+    parts = list(in_parts(texts, 25))
+    assert [t for p in parts for t in p] == [t for t in texts if t is not None]
+    assert all(len(p) == 1 or sum(map(len, p)) <= 25 for p in parts) and len(parts) == 5
+
+
 def test_the_meter_sees_shuffles(spark):
     cost = measure(spark, lambda: spark.range(100_000).groupBy((F.col("id") % 1000).alias("k")).count().collect())
     assert cost["shuffle_write_bytes"] > 0 and cost["stages"] >= 2 and cost["seconds"] > 0
