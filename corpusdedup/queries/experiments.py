@@ -7,12 +7,12 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from corpusdedup.functions.shingles import jaccard_pairs
 from corpusdedup.operators.bucketing import buckets_for
 from corpusdedup.operators.kernels import hash_kernels
 from corpusdedup.operators.metrics import cluster_counts, fidelity, with_f1
 from corpusdedup.operators.select import sample_clusters
 from corpusdedup.operators.signatures import band_rows
+from corpusdedup.operators.similar_sets import jaccard_pairs
 from corpusdedup.plans.metering import measure
 from corpusdedup.plans.pipelines import dedup, find_pairs
 from corpusdedup.plans.scaling import enlarged
