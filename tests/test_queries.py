@@ -118,3 +118,8 @@ def test_entry_point(spark):
 def test_every_query_is_held_against_something():
     here = {"signature_xxhash64_checksum", "op_str_hashes_spark", "dup_pairs_dense_independent", "hash_kernel_seconds", "ablation_seconds", "communication", "c_sweep_cost", "k_sweep_cost", "pages_methods"}
     assert set(QUERIES) - set(SQL) == here
+
+
+@pytest.mark.parametrize("name", ["lsh_curve"])
+def test_spark_reads_a_given_table(spark, sf, name):
+    assert any("documents.parquet" in f for f in QUERIES[name](spark, sf).inputFiles())
