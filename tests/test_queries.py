@@ -120,6 +120,6 @@ def test_every_query_is_held_against_something():
     assert set(QUERIES) - set(SQL) == here
 
 
-@pytest.mark.parametrize("name", ["lsh_curve", "op_math_mod_sqrt"])
+@pytest.mark.parametrize("name", ["lsh_curve", "op_math_mod_sqrt", "tuning_dmax"])
 def test_spark_reads_a_given_table(spark, sf, name):
     assert any("documents.parquet" in f for f in QUERIES[name](spark, sf).inputFiles())
