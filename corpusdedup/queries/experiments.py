@@ -8,6 +8,8 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from corpusdedup.operators.bucketing import buckets_for
+from corpusdedup.operators.compare import compare
+from corpusdedup.operators.exact import exact_minhash_pairs
 from corpusdedup.operators.kernels import hash_kernels
 from corpusdedup.operators.metrics import cluster_counts, fidelity, with_f1
 from corpusdedup.operators.select import sample_clusters
@@ -96,11 +98,10 @@ FROM (SELECT (SELECT count(*) FROM {t}) AS n_a, (SELECT count(*) FROM truth) AS
 
 @query("errors_vs_true_similarity", with_(f"{DENSE_PAIRS}, {_TRUE}", " UNION ALL ".join(_ERRORS.format(m=m, t=t) for m, t in (("dense", "found"), ("exact_minhash", "pairs")))))
 def errors_vs_true_similarity(spark, sf):
-    own = docs(spark, sf)
-    truth = jaccard_pairs(own)
+    truth, s = jaccard_pairs(docs(spark, sf)), sigs(spark, sf)
     out = None
-    for plan in ("dense", "exact_minhash"):
-        one = with_f1(fidelity(find_pairs(own, CFG, plan, reduce=False), truth, ["u", "v"], "pair", plan))
+    for plan, found in (("dense", compare(band_rows(s, CFG), CFG, reduce=False)), ("exact_minhash", exact_minhash_pairs(s, CFG))):
+        one = with_f1(fidelity(found, truth, ["u", "v"], "pair", plan))
         one = one.select("method", "n_a", "n_b", "n_both", (F.col("n_a") - F.col("n_both")).alias("false_positives"), (F.col("n_b") - F.col("n_both")).alias("false_negatives"), *[F.round(c, 9).alias(c) for c in ("precision", "recall", "f1")])
         out = one if out is None else out.union(one)
     return out
