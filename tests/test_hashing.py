@@ -5,7 +5,8 @@ from hypothesis import strategies as st
 from pyspark.sql import functions as F
 
 from corpusdedup.config import DedupConfig
-from corpusdedup.functions.hashing import base_hash_column, codes_of, murmur_shingles, poly_direct, poly_prefix, poly_rolling, signature
+from corpusdedup.functions import hashing
+from corpusdedup.functions.hashing import base_hash_column, base_hashes, codes_of, murmur_shingles, poly_direct, poly_prefix, poly_rolling, set_hashes, signature
 from corpusdedup.operators.signatures import signatures
 
 CFG = DedupConfig()
@@ -85,3 +86,17 @@ def test_base_hash_columns(spark):
     df = spark.createDataFrame([("abcde",), ("ä😀xyz",)], "g string")
     got = [r[0] for r in df.select(base_hash_column(F.col("g"), CFG)).collect()]
     assert got == [poly_direct(codes_of(g), 5, CFG.p, CFG.q)[0] for g in ("abcde", "ä😀xyz")]
+
+
+@pytest.mark.parametrize("family", ["sha1", "xxhash64"])
+def test_a_shingle_met_before_is_not_hashed_again(monkeypatch, family):
+    """Also where the shingles known are dropped all the time."""
+    cfg, calls, real = CFG.but(family=family), [], hashing._gram_hash
+    monkeypatch.setattr(hashing, "_known", {})
+    monkeypatch.setattr(hashing, "_gram_hash", lambda cfg: lambda g: calls.append(g) or real(cfg)(g))
+    for text in ("abcdefgh" * 50, "abcdefgh" * 9, "\ud800é😀 xyz", "abc"):
+        assert set(set_hashes(codes_of(text), cfg).tolist()) == set(base_hashes(codes_of(text), cfg).tolist()), text
+    assert len(calls) == 8 + 3 + (396 + 68 + 3)
+    monkeypatch.setattr(hashing, "KNOWN", 2)
+    for text in ("abcdefgh" * 50, "hgfedcba" * 9):
+        assert set(set_hashes(codes_of(text), cfg).tolist()) == set(base_hashes(codes_of(text), cfg).tolist())
