@@ -11,6 +11,7 @@ from pyspark.sql import functions as F
 
 from corpusdedup.config import DedupConfig
 from corpusdedup.operators.compare import compare, verify_pairs
+from corpusdedup.operators.graph import connected_components
 from corpusdedup.plans.shared import fitted, materialise
 
 
@@ -74,11 +75,16 @@ def exact_minhash_pairs(sig: DataFrame, cfg: DedupConfig, method: str = "join")
     """u < v, matches of all pairs of enough equal entries, whatever their buckets.
 
     Both methods meet candidates by ``agreement_keys``, which lose none, so entries that many unlike documents share bring nobody
-    together.  ``join`` pairs the members of a key and looks both signatures up; ``tiles`` compares them in blocks of rows.
+    together.  ``join`` pairs the members of a key and looks both signatures up; ``tiles`` compares all documents that shared keys
+    connect, in blocks of rows, so a signature travels once and not with each of its keys.
     """
     members = materialise(agreeing(sig, cfg), "agreeing-members")
     if method == "join":
         a, b = members.select("bucket", F.col("doc_id").alias("u")), members.select("bucket", F.col("doc_id").alias("v"))
         return verify_pairs(a.join(b, "bucket").where("u < v").select("u", "v").distinct(), sig, cfg)
-    found = compare(members.join(sig.select("doc_id", "sig"), "doc_id"), cfg, reduce=False)
+    heads = members.groupBy("bucket").agg(F.min("doc_id").alias("u"))
+    linked = members.join(heads, "bucket").where("doc_id <> u").select("u", F.col("doc_id").alias("v")).distinct()
+    groups = materialise(connected_components(linked), "agreeing-groups")
+    rows = groups.select(F.lit(0).alias("band"), F.col("component").alias("bucket"), F.col("node").alias("doc_id"))
+    found = compare(rows.join(sig.select("doc_id", "sig"), "doc_id"), cfg, reduce=False)
     return found.groupBy("u", "v").agg(F.max("matches").alias("matches"))

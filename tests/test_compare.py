@@ -162,3 +162,15 @@ def test_sub_units_that_fit_travel_together(spark, sig, monkeypatch):
     cut = module.split_oversize(rows, CFG.but(d_max=3))
     assert cut.count() > rows.count() and cut.where("unit not in (bi, bj)").count() == 0
     assert pairs_of(compare(rows, CFG.but(d_max=3), reduce=False).distinct()) == pairs_of(compare(rows, CFG, reduce=False).distinct())
+
+
+def test_tiles_send_a_signature_once(spark, monkeypatch):
+    """Three nearly equal signatures share most keys, by other sets of documents."""
+    from corpusdedup.operators import exact
+
+    base, sent, real = list(range(128)), [], exact.compare
+    two, three = base[:64] + [900] + base[65:], base[:5] + [901] + base[6:]
+    rows = spark.createDataFrame([(1, base), (2, two), (3, three), (4, list(range(5000, 5128)))], "doc_id long, sig array<int>")
+    monkeypatch.setattr(exact, "compare", lambda rows, *a, **k: sent.append(rows.count()) or real(rows, *a, **k))
+    assert {tuple(r) for r in exact.exact_minhash_pairs(rows, CFG, "tiles").collect()} == {(1, 2, 127), (1, 3, 127), (2, 3, 126)}
+    assert sent == [3]
