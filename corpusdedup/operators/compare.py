@@ -10,7 +10,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from corpusdedup.config import DedupConfig
-from corpusdedup.operators.graph import local_forest
+from corpusdedup.operators.graph import connected_components, local_forest
 from corpusdedup.plans.shared import fitted, materialise
 
 TILE, CHUNK = 256, 32
@@ -205,3 +205,19 @@ def verify_pairs(pairs: DataFrame, sig: DataFrame, cfg: DedupConfig) -> DataFram
 
     both = pairs.select("u", "v").join(one, "u").join(two, "v").select("u", "v", match_count(F.col("su"), F.col("sv")).alias("matches"))
     return both.where(F.col("matches") >= cfg.min_matches)
+
+
+def crowded_pairs(members: DataFrame, sig: DataFrame, cfg: DedupConfig) -> DataFrame:
+    """Edges that connect what all pairs in these buckets connect: a star around each head, then all others.
+
+    ``members`` has band, bucket, doc_id, and the bucket's size ``n`` and least id ``head``.
+    """
+    star = members.where("doc_id <> head").select(F.col("head").alias("u"), F.col("doc_id").alias("v")).distinct()
+    star = materialise(verify_pairs(star, sig, cfg), "crowded-stars")
+    labels = materialise(connected_components(star.select("u", "v")), "crowded-labels")
+    named = members.join(fitted(labels, 16).withColumnsRenamed({"node": "doc_id"}), "doc_id", "left").withColumn("component", F.coalesce("component", "doc_id"))
+    heads = named.where("doc_id = head").select("band", "bucket", F.col("component").alias("of"))
+    flagged = materialise(named.where("n > 2").join(fitted(heads, 20), ["band", "bucket"]).select("band", "bucket", "doc_id", (F.col("component") == F.col("of")).alias("joined")), "crowded-buckets")
+    sizes = flagged.groupBy("band", "bucket").agg(F.sum(F.col("joined").cast("long")).alias("n_joined"), F.sum((~F.col("joined")).cast("long")).alias("n_others"))
+    rows = flagged.join(fitted(materialise(sizes, "crowded-sizes"), 28), ["band", "bucket"]).where("n_others > 0").join(sig.select("doc_id", "sig"), "doc_id")
+    return star.select("u", "v", "matches").union(compare(split_apart(rows, cfg), cfg))

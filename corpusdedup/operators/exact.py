@@ -10,7 +10,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from corpusdedup.config import DedupConfig
-from corpusdedup.operators.compare import compare, verify_pairs
+from corpusdedup.operators.compare import compare, crowded_pairs, verify_pairs
 from corpusdedup.operators.graph import connected_components
 from corpusdedup.plans.shared import fitted, materialise
 
@@ -33,6 +33,14 @@ def copies_of(sig: DataFrame) -> DataFrame:
     return keys.join(heads, "text_key").where("doc_id <> u").select("u", F.col("doc_id").alias("v"))
 
 
+def signature_copies(sig: DataFrame) -> tuple[DataFrame, DataFrame]:
+    """Edges (u, v) from the least id of each signature to the others that have it, and a row of each signature."""
+    own = sig.where("sig is not null")
+    keyed = own.select("doc_id", F.unhex(F.sha2(F.array_join("sig", ","), 256)).alias("text_key"))
+    copies = materialise(copies_of(keyed), "signature-copies")
+    return copies, own.join(fitted(copies.select(F.col("v").alias("doc_id")), 8), "doc_id", "left_anti")
+
+
 def agreement_keys(sig: DataFrame, cfg: DedupConfig) -> DataFrame:
     """doc_id, key: 64-bit keys of which two signatures of enough equal entries share at least one, wherever they differ.
 
@@ -59,7 +67,7 @@ def agreement_keys(sig: DataFrame, cfg: DedupConfig) -> DataFrame:
 
 
 def agreeing(sig: DataFrame, cfg: DedupConfig) -> DataFrame:
-    """band (0), bucket, n, doc_id: the members of shared agreement keys, and how many they are.
+    """band (0), bucket, n, head, doc_id: the members of shared agreement keys, how many they are and the least of them.
 
     Of keys that the same documents share, as copies do in all of theirs, one is left; sets are told by hashes.
     """
@@ -67,17 +75,24 @@ def agreeing(sig: DataFrame, cfg: DedupConfig) -> DataFrame:
     shared = materialise(shared, "agreeing")
     mark = lambda salt: F.bit_xor(F.xxhash64("doc_id", F.lit(salt)))
     sets = shared.groupBy("key").agg(F.max("n").alias("n"), F.min("doc_id").alias("head"), mark(1).alias("s"), mark(2).alias("t"))
-    once = materialise(sets.groupBy("n", "head", "s", "t").agg(F.min("key").alias("key")).select("key"), "agreeing-sets")
-    return shared.join(fitted(once, 8), "key").select(F.lit(0).alias("band"), F.col("key").alias("bucket"), "n", "doc_id")
+    once = materialise(sets.groupBy("n", "head", "s", "t").agg(F.min("key").alias("key")).select("key", "head"), "agreeing-sets")
+    return shared.join(fitted(once, 16), "key").select(F.lit(0).alias("band"), F.col("key").alias("bucket"), "n", "head", "doc_id")
 
 
-def exact_minhash_pairs(sig: DataFrame, cfg: DedupConfig, method: str = "join") -> DataFrame:
+def exact_minhash_pairs(sig: DataFrame, cfg: DedupConfig, method: str = "join", reduce: bool = False) -> DataFrame:
     """u < v, matches of all pairs of enough equal entries, whatever their buckets.
 
     Both methods meet candidates by ``agreement_keys``, which lose none, so entries that many unlike documents share bring nobody
     together.  ``join`` pairs the members of a key and looks both signatures up; ``tiles`` compares all documents that shared keys
     connect, in blocks of rows, so a signature travels once and not with each of its keys.
+
+    With ``reduce`` the pairs left connect the same documents and no more: copies of a signature hang on the least of them, and
+    the members of a key are compared with its head first, so a large group is not expanded into all its pairs.
     """
+    if reduce:
+        copies, single = signature_copies(sig)
+        members = materialise(agreeing(single, cfg), "agreeing-members")
+        return crowded_pairs(members, single, cfg).union(copies.select("u", "v", F.lit(cfg.n_hashes).alias("matches")))
     members = materialise(agreeing(sig, cfg), "agreeing-members")
     if method == "join":
         a, b = members.select("bucket", F.col("doc_id").alias("u")), members.select("bucket", F.col("doc_id").alias("v"))

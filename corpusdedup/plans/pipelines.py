@@ -10,7 +10,7 @@ from pyspark.sql import functions as F
 
 from corpusdedup.config import DedupConfig
 from corpusdedup.operators.bucketing import buckets_for
-from corpusdedup.operators.compare import compare, split_apart, verify_pairs
+from corpusdedup.operators.compare import compare, crowded_pairs
 from corpusdedup.operators.exact import copies_of, exact_duplicates, exact_minhash_pairs
 from corpusdedup.operators.graph import connected_components
 from corpusdedup.operators.normalize import clean
@@ -75,7 +75,7 @@ def find_pairs(docs: DataFrame, cfg: DedupConfig, plan: str, verify: bool = True
     seconds["generation"] = time.time() - began
     began = time.time()
     if plan == "exact_minhash":
-        pairs = exact_minhash_pairs(sig, cfg)
+        pairs = exact_minhash_pairs(sig, cfg, reduce=reduce)
     elif plan == "dense":
         pairs = compare(band_rows(sig, cfg), cfg, reduce=reduce)
     elif plan == "stream":
@@ -116,23 +116,10 @@ def keys_only_pairs(sig: DataFrame, cfg: DedupConfig, reduce: bool = True) -> Da
     members = materialise(members, "shared-bands")
     found = compare((members.where(F.col("n") <= cfg.d_max) if reduce else members).join(sig.select("doc_id", "sig"), "doc_id"), cfg, reduce=reduce)
     if reduce and (members.agg(F.max("n")).first()[0] or 0) > cfg.d_max:
-        found = found.union(_crowded_pairs(members.where(F.col("n") > cfg.d_max), sig, cfg))
+        found = found.union(crowded_pairs(members.where(F.col("n") > cfg.d_max), sig, cfg))
     return found
 
 
-def _crowded_pairs(members: DataFrame, sig: DataFrame, cfg: DedupConfig) -> DataFrame:
-    """Edges that connect what all pairs in buckets of more than ``d_max`` rows connect: a star around each head, then all others."""
-    star = members.where("doc_id <> head").select(F.col("head").alias("u"), F.col("doc_id").alias("v")).distinct()
-    star = materialise(verify_pairs(star, sig, cfg), "crowded-stars")
-    labels = materialise(connected_components(star.select("u", "v")), "crowded-labels")
-    named = members.join(fitted(labels, 16).withColumnsRenamed({"node": "doc_id"}), "doc_id", "left").withColumn("component", F.coalesce("component", "doc_id"))
-    heads = named.where("doc_id = head").select("band", "bucket", F.col("component").alias("of"))
-    flagged = materialise(named.join(fitted(heads, 20), ["band", "bucket"]).select("band", "bucket", "doc_id", (F.col("component") == F.col("of")).alias("joined")), "crowded-buckets")
-    sizes = flagged.groupBy("band", "bucket").agg(F.sum(F.col("joined").cast("long")).alias("n_joined"), F.sum((~F.col("joined")).cast("long")).alias("n_others"))
-    rows = flagged.join(fitted(materialise(sizes, "crowded-sizes"), 28), ["band", "bucket"]).where("n_others > 0").join(sig.select("doc_id", "sig"), "doc_id")
-    return star.select("u", "v", "matches").union(compare(split_apart(rows, cfg), cfg))
-
-
 def dedup(docs: DataFrame, cfg: DedupConfig = DedupConfig(), plan: str = "scale", verify: bool = True, components: str = "contract", nfc: bool = True, reduce: bool = True, collapse: bool | None = None, labels: DataFrame | None = None, pipelined: bool = True) -> DedupResult:
     """Clean, hash, compare, connect, choose.
 

@@ -174,3 +174,31 @@ def test_tiles_send_a_signature_once(spark, monkeypatch):
     monkeypatch.setattr(exact, "compare", lambda rows, *a, **k: sent.append(rows.count()) or real(rows, *a, **k))
     assert {tuple(r) for r in exact.exact_minhash_pairs(rows, CFG, "tiles").collect()} == {(1, 2, 127), (1, 3, 127), (2, 3, 126)}
     assert sent == [3]
+
+
+def test_exact_minhash_does_not_expand_copies(spark):
+    """Copies and near copies are connected as by all their pairs, by about as many edges as there are documents."""
+    from corpusdedup.operators.graph import connected_components
+
+    rng = np.random.default_rng(9)
+    base, rows = rng.integers(0, 1000, (3, 128)), []
+    for k in range(600):
+        s = base[k % 2].copy()
+        if k % 2:  # near copies of the second, of which every tenth is too far from most
+            s[rng.choice(128, 45 if k % 10 == 1 else rng.integers(0, 14), replace=False)] = rng.integers(2000, 9000)
+        rows.append((k, s.tolist()))
+    t = base[2].copy()
+    t[:25] = -1
+    rows += [(1000, base[2].tolist()), (1001, t.tolist()), (1002, None)]
+    sig = spark.createDataFrame(rows, "doc_id long, sig array<int>").cache()
+    parts = lambda pairs: {(r.node, r.component) for r in connected_components(pairs.select("u", "v")).collect()}
+    every, few = exact_minhash_pairs(sig, CFG), exact_minhash_pairs(sig, CFG, reduce=True)
+    assert parts(few) == parts(every) and {(1000, 1000), (1001, 1000)} <= parts(few)
+    assert every.count() > 50_000 and few.select("u", "v").distinct().count() < 2 * 603
+
+
+def test_exact_minhash_plan_does_not_expand_copies(spark):
+    from corpusdedup.plans.pipelines import find_pairs
+
+    own = spark.createDataFrame([(i, "the same text in many copies, " * 10) for i in range(400)], "doc_id long, text string")
+    assert find_pairs(own, CFG, "exact_minhash").count() == 399 and find_pairs(own, CFG, "exact_minhash", reduce=False).count() == 400 * 399 // 2
