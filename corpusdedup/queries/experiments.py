@@ -18,6 +18,7 @@ from corpusdedup.operators.similar_sets import jaccard_pairs
 from corpusdedup.plans.metering import measure
 from corpusdedup.plans.pipelines import dedup, find_pairs
 from corpusdedup.plans.scaling import enlarged
+from corpusdedup.plans.shared import delete, dropping_shuffles
 from corpusdedup.plans.store import HashStore, streamed_compare
 from corpusdedup.plans.tuning import comm_bytes, fit_cost_model, k_opt
 from corpusdedup.queries.methods import CFG, CLUSTERS, DENSE_PAIRS, DOCS, GRAMS, SIG, base_sql, docs, murmur_sql, sigs, table, with_
@@ -139,8 +140,10 @@ def pages_methods(spark, sf):
     """method, members, clusters, removed and seconds of every plan on the pages."""
     own, rows = pages_as_documents(table(spark, sf, "pages")), []
     for plan in ("scale", "dense", "gpu_baseline", "cpu_baseline", "exact_minhash"):
-        r = dedup(own, CFG, plan)
-        n = cluster_counts(r.decisions).first()
+        with dropping_shuffles(spark):
+            r = dedup(own, CFG, plan)
+            n = cluster_counts(r.decisions).first()
+        delete(spark, r.pairs, r.clusters)
         rows.append((plan, n["members"], n["clusters"], n["removed"], *[round(r.seconds[x], 3) for x in ("generation", "comparison", "union")]))
     return spark.createDataFrame(rows, "method string, members long, clusters long, removed long, generation double, comparison double, union_seconds double")
 

@@ -157,3 +157,19 @@ def test_a_cluster_must_name_its_shared_folder():
     for master in ("spark://host:7077", "local-cluster[2,1,1024]", "yarn"):
         with pytest.raises(ValueError, match="spark.checkpoint.dir"):
             shared.shared_dir(session(master))
+
+
+def test_pages_methods_leave_no_shuffle_and_no_table(spark, sf, tmp_path):
+    """Pages in copies: all plans find the same, and what one of them wrote and exchanged is gone before the next."""
+    import os
+
+    from corpusdedup.queries.experiments import pages_methods
+
+    pages = spark.read.parquet(f"{sf}/pages.parquet").limit(6)
+    pages.crossJoin(spark.range(20)).selectExpr("page_id * 1000 + id AS page_id", "url", "html").write.parquet(f"{tmp_path}/pages.parquet")
+    at = spark.conf.get("spark.checkpoint.dir")
+    files = lambda: {f.getName() for f in spark._jvm.scala.jdk.javaapi.CollectionConverters.asJava(spark._jvm.org.apache.spark.SparkEnv.get().blockManager().diskBlockManager().getAllFiles()) if f.getName().startswith("shuffle_")}
+    shuffles, tables = files(), set(os.listdir(at)) if os.path.isdir(at) else set()
+    found = {r.method: (r.members, r.clusters, r.removed) for r in pages_methods(spark, str(tmp_path)).collect()}
+    assert set(found.values()) == {(100, 5, 95)}  # one of the six pages is too short
+    assert len(files() - shuffles) == 0 and set(os.listdir(at)) == tables
